@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, runtime
+from . import bpe, runtime, substrings
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -27,8 +27,28 @@ def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substrings.remove_repeats(documents(spark, sf_dir)).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 QUERIES: dict[str, Query] = {
     "op1_byte_bpe": op1_byte_bpe,
+    "op10_substring_dedup": op10_substring_dedup,
 }
 
-ORACLES: dict[str, str] = {}
+#: Words of a text, as every operator here takes them; a null or empty text has none.
+SQL_WORDS = "regexp_extract_all(coalesce(text, ''), '[^ \\x09-\\x0D]+')"
+
+ORACLES: dict[str, str] = {
+    "op10_substring_dedup": f"""
+        with d as (select doc_id, {SQL_WORDS} as w from documents),
+        win as (select doc_id, s, array_to_string(w[s:s+49], ' ') as t from (select doc_id, w, unnest(range(1, len(w) - 48)) as s from d where len(w) >= 50)),
+        least as (select t, min(doc_id) as m from win group by t),
+        hit as (select distinct doc_id, s + k as p from win join least using (t), range(50) r(k) where m < doc_id),
+        gone as (select doc_id, list(p) as g, count(*) as n from hit group by doc_id),
+        word as (select doc_id, unnest(w) as x, unnest(range(1, len(w) + 1)) as p from d),
+        kept as (select doc_id, string_agg(x, ' ' order by p) as t from word anti join hit using (doc_id, p) group by doc_id)
+        select d.doc_id, len(w)::bigint as n_words, coalesce(gone.n, 0)::bigint as n_removed, sha256(coalesce(t, '')) as kept_sha256
+        from d left join gone using (doc_id) left join kept using (doc_id)
+    """,
+}
