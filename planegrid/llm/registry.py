@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, runtime, substrings
+from . import bpe, packing, runtime, substrings
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -27,12 +27,22 @@ def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op7_binary_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packed(documents(spark, sf_dir))
+
+
+def packed(docs: DataFrame) -> DataFrame:
+    found = packing.pieces(docs, runtime.public_file("byte_bpe_50k.json"), runtime.split_pattern(), end_id=1, with_ids=False)
+    return packing.pack(found)
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.remove_repeats(documents(spark, sf_dir)).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
 
 QUERIES: dict[str, Query] = {
     "op1_byte_bpe": op1_byte_bpe,
+    "op7_binary_packing": op7_binary_packing,
     "op10_substring_dedup": op10_substring_dedup,
 }
 
