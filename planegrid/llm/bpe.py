@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 from . import runtime
 
 #: Pre-tokens and neighbour pairs that a worker remembers.
-MOST_WORDS, MOST_PAIRS = 400_000, 1_000_000
+MOST_WORDS, MOST_PAIRS = 700_000, 700_000
 
 
 class ByteVocabulary:
@@ -56,6 +57,10 @@ class ByteVocabulary:
                     self.shorter[i] = ranks[token[:n]]
                     break
         self.automaton.make_automaton()
+        self.lengths = [len(self.bytes_of.get(i, b"")) for i in range(size)]
+        self.sizes = np.array(self.lengths, dtype=np.int64)
+        self.places = np.concatenate([[0], np.cumsum(self.sizes)])[:-1]
+        self.blob = np.frombuffer(b"".join(self.bytes_of.get(i, b"") for i in range(size)), dtype=np.uint8)
         self.fits = runtime.BoundedCache(self._fits, MOST_PAIRS)
         self.ids_of = runtime.BoundedCache(self._packed, MOST_WORDS)
 
@@ -97,32 +102,42 @@ class ByteVocabulary:
         longest = [-1] * len(piece)
         for end, (length, token) in self.automaton.iter(piece.decode("latin-1")):
             longest[end - length + 1] = token  # matches come by their end, so the last is the longest
-        dead = bytearray(len(piece) + 1)
+        size, shorter, fits, last = self.lengths, self.shorter, self.fits, len(piece)
+        dead = bytearray(last + 1)
         out: list[int] = []
-        at, token = 0, longest[0]
+        at, token, before = 0, longest[0], -1
         while True:
-            while token >= 0 and (dead[at + len(self.bytes_of[token])] or (out and not self.fits[out[-1], token])):
-                token = self.shorter[token]
+            while token >= 0:
+                to = at + size[token]
+                if not dead[to] and (before < 0 or fits[before, token]):
+                    break
+                token = shorter[token]
             if token >= 0:
                 out.append(token)
-                at += len(self.bytes_of[token])
-                if at == len(piece):
+                if to == last:
                     return out
+                at, before = to, token
                 token = longest[at]
             else:
                 dead[at] = 1
                 token = out.pop()  # its end is dead now, so a shorter one takes its place
-                at -= len(self.bytes_of[token])
+                at -= size[token]
+                before = out[-1] if out else -1
 
     def _packed(self, piece: str) -> bytes:
-        return np.array(self.encode_piece(piece.encode("utf-8", "surrogatepass")), dtype="<u4").tobytes()
+        return array("I", self.encode_piece(piece.encode("utf-8"))).tobytes()
 
     def encode(self, pieces: list[str]) -> bytes:
         """Little-endian 32-bit ids of a text's pre-tokens."""
         return b"".join(map(self.ids_of.__getitem__, pieces))
 
-    def decode(self, ids: list[int]) -> bytes:
-        return b"".join(map(self.bytes_of.__getitem__, ids))
+    def decode(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The bytes of all ids end to end, and the place at which each id's bytes start, with the total."""
+        if len(ids) and (ids.min() < 0 or ids.max() >= len(self.sizes) or not self.sizes[ids].all()):
+            raise ValueError("an id is not in the vocabulary")
+        size = self.sizes[ids]
+        ends = np.concatenate([[0], np.cumsum(size)])
+        return self.blob[np.repeat(self.places[ids] - ends[:-1], size) + np.arange(ends[-1])], ends
 
 
 class _Shared:
@@ -171,12 +186,19 @@ def decode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", ids_col: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocab = shared.get()
-        step = 256
+        step = 1000
         for batch in batches:
             for at in range(0, batch.num_rows, step):
                 part = batch.slice(at, step)
-                rows = [vocab.decode(ids) if ids else b"" for ids in part.column(1).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(rows, pa.binary())], ["doc_id", "ids", "decoded"])
+                lists = part.column(1).fill_null([])
+                flat = lists.flatten()
+                if flat.null_count:
+                    raise ValueError("an id is null")
+                data, ends = vocab.decode(flat.to_numpy())
+                offsets = lists.offsets.to_numpy()
+                offsets = pa.py_buffer(ends[offsets - offsets[0]].astype(np.int32))
+                decoded = pa.Array.from_buffers(pa.binary(), part.num_rows, [None, offsets, pa.py_buffer(data)])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), decoded], ["doc_id", "ids", "decoded"])
 
     return df.select(F.col(id_col).alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(run, _schema(df, id_col, "ids array<int>, decoded binary"))
 
