@@ -124,8 +124,8 @@ def pieces(df: DataFrame, tokenizer: str, pattern: str, end_id: int, most: int =
 def pack(found: DataFrame) -> DataFrame:
     """Adds sequence_id and offset to pieces: each is a sequence of its own, numbered through the buckets.
 
-    The pieces are range-partitioned by bucket, document and start, so a bucket's sequences lie together and
+    The pieces are written once, as range-partitioning looks at them twice, then range-partitioned by bucket, document and start, so a bucket's sequences lie together and
     large buckets spread over partitions.
     """
     order = [F.col("length").desc(), F.col("doc_id"), F.col("start"), F.col("doc_tokens"), F.col("ids_crc32")]
-    return found.repartitionByRange(*order).sortWithinPartitions(*order).select("*", F.monotonically_increasing_id().alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
+    return runtime.cut(found).repartitionByRange(*order).sortWithinPartitions(*order).select("*", F.monotonically_increasing_id().alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
