@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, packing, runtime, substrings
+from . import bpe, neardup, packing, runtime, substrings
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -27,6 +27,10 @@ def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(documents(spark, sf_dir), percent=85)
+
+
 def op7_binary_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed(documents(spark, sf_dir))
 
@@ -42,6 +46,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Query] = {
     "op1_byte_bpe": op1_byte_bpe,
+    "op6_near_duplicates": op6_near_duplicates,
     "op7_binary_packing": op7_binary_packing,
     "op10_substring_dedup": op10_substring_dedup,
 }
@@ -50,6 +55,16 @@ QUERIES: dict[str, Query] = {
 SQL_WORDS = "regexp_extract_all(coalesce(text, ''), '[^ \\x09-\\x0D]+')"
 
 ORACLES: dict[str, str] = {
+    "op6_near_duplicates": f"""
+        with recursive d as (select doc_id, {SQL_WORDS.replace("coalesce(text, '')", "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')")} as w from documents),
+        sh as (select distinct doc_id, array_to_string(w[s:s+4], ' ') as t from (select doc_id, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) as s from d where len(w) > 0)),
+        n as (select doc_id, count(*) as n from sh group by doc_id),
+        pair as (select x.doc_id as a, y.doc_id as b, count(*) as c from sh x join sh y on x.t = y.t and x.doc_id <> y.doc_id group by 1, 2),
+        link as materialized (select a, b from pair join n x on a = x.doc_id join n y on b = y.doc_id where 100 * pair.c >= 85 * (x.n + y.n - pair.c)),
+        reach as (select doc_id as a, doc_id as b from d union select reach.a, link.b from reach join link on reach.b = link.a)
+        select doc_id, coalesce(n, 0)::bigint as n_shingles, c as component_id, c = doc_id as kept
+        from d left join n using (doc_id) join (select a as doc_id, min(b) as c from reach group by a) using (doc_id)
+    """,
     "op10_substring_dedup": f"""
         with d as (select doc_id, {SQL_WORDS} as w from documents),
         win as (select doc_id, s, array_to_string(w[s:s+49], ' ') as t from (select doc_id, w, unnest(range(1, len(w) - 48)) as s from d where len(w) >= 50)),
