@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, neardup, packing, runtime, substrings
+from . import bpe, neardup, packing, runtime, secret_scan, substrings
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -40,6 +40,15 @@ def packed(docs: DataFrame) -> DataFrame:
     return packing.pack(found)
 
 
+def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    spans = F.col("secret_spans")
+    count = lambda kind: F.size(F.filter(spans, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    base = F.filter(spans, lambda s: s["kind"] != "entropy")
+    return secret_scan.scan(documents(spark, sf_dir).select("doc_id", "text")).select(
+        "doc_id", *map(count, ("assign", "access", "hex")), F.sha2(secret_scan.spans_text(base), 256).alias("base_sha256"), secret_scan.spans_text(spans).alias("spans")
+    )
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.remove_repeats(documents(spark, sf_dir)).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
@@ -48,6 +57,7 @@ QUERIES: dict[str, Query] = {
     "op1_byte_bpe": op1_byte_bpe,
     "op6_near_duplicates": op6_near_duplicates,
     "op7_binary_packing": op7_binary_packing,
+    "op9_secret_scan": op9_secret_scan,
     "op10_substring_dedup": op10_substring_dedup,
 }
 
