@@ -195,17 +195,19 @@ def remove_repeats(df: DataFrame, size: int = 50, id_col: str = "doc_id", text_c
     """One row for each row of df: doc_id, n_words, n_removed, removed, kept; see the module."""
     docs = _documents(df, id_col, text_col)
     first = F.min("doc_id").alias("first_id")
+    # what the frequent sides of the joins meet is written first, so that hot keys can be split at run time
     digests = _digests(docs)
-    copies = digests.join(digests.groupBy("d", "e").agg(first), ["d", "e"]).groupBy("doc_id").agg(F.bool_and(F.col("doc_id") > F.col("first_id")).alias("copy")).where("copy")
+    firsts = runtime.cut(digests.groupBy("d", "e").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("d", "e", "first_id"))
+    copies = digests.join(firsts, ["d", "e"], "left").groupBy("doc_id").agg(F.bool_and(F.coalesce(F.col("doc_id") > F.col("first_id"), F.lit(False))).alias("copy")).where("copy")
     copies = runtime.cut(copies)
     named = docs.join(copies, "doc_id", "left").select("doc_id", "text", F.coalesce("copy", F.lit(False)).alias("copy"))
     heads = named.where("doc_id is not null and not copy").select("doc_id", "text")
 
     anchors = _anchor_rows(heads, size)
-    shared = anchors.groupBy("anchor").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("anchor", "first_id")
+    shared = runtime.cut(anchors.groupBy("anchor").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("anchor", "first_id"))
     held = anchors.join(shared, "anchor").groupBy("doc_id").agg(F.collect_set(F.struct("anchor", (F.col("doc_id") > F.col("first_id")).alias("later"))).alias("anchors"))
     held = runtime.cut(held)
     windows = _window_rows(heads.join(held, "doc_id").select("doc_id", "text", "anchors"), size)
-    least = windows.groupBy("h", "g").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("h", "g", "first_id")
+    least = runtime.cut(windows.groupBy("h", "g").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("h", "g", "first_id"))
     found = windows.where("later").join(least, ["h", "g"]).where("doc_id > first_id").groupBy("doc_id").agg(F.collect_set("spot").alias("spots"))
     return _cut_rows(named.join(found, "doc_id", "left").select("doc_id", "text", "spots", "copy"), size)
