@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fingerprint, neardup, packing, quality, runtime, secret_scan, substrings
+from . import bpe, fingerprint, lmscore, neardup, packing, quality, runtime, secret_scan, substrings
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -31,6 +31,10 @@ def op2_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.compare_edited(documents(spark, sf_dir))
 
 
+def op3_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lmscore.score(documents(spark, sf_dir), runtime.public_file("piece_bpe_32k.model"))
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.rate(documents(spark, sf_dir))
 
@@ -64,6 +68,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Query] = {
     "op1_byte_bpe": op1_byte_bpe,
     "op2_fingerprint": op2_fingerprint,
+    "op3_lm_score": op3_lm_score,
     "op4_quality_rules": op4_quality_rules,
     "op6_near_duplicates": op6_near_duplicates,
     "op7_binary_packing": op7_binary_packing,
