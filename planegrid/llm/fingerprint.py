@@ -46,11 +46,18 @@ def _sample(term: str, log_weight: str, lane: int) -> Column:
 def lanes(texts: DataFrame, keys: list[str], text_col: str, n_lanes: int = LANES) -> DataFrame:
     """Rows (keys, lanes array<int>): the samples of each text; keys are unique.
 
-    If texts is hash-partitioned by some of keys, terms are counted and sampled without another shuffle.
+    A text's terms are counted within its row, so what is shuffled is a row of minima for each text.
     """
-    word = F.explode_outer(F.split(F.coalesce(F.col(text_col), F.lit("")), r"[\x20\x09-\x0D]+", -1)).alias("_word")
-    terms = texts.select(*keys, word).select(*keys, F.when(F.col("_word") != "", F.xxhash64("_word")).alias("_term"))
-    counted = terms.groupBy(*keys, "_term").agg(F.count("*").alias("_n")).withColumn("_log", F.log("_n"))
+    words = F.array_remove(F.split(F.coalesce(F.col(text_col), F.lit("")), r"[\x20\x09-\x0D]+", -1), "")
+    rows = texts.select(*keys, F.sort_array(F.transform(words, lambda w: F.xxhash64(w))).alias("_all"))
+    every = F.col("_all")
+    first = F.filter(F.sequence(F.lit(0), F.size(every) - 1), lambda i: (i == 0) | (every[i] != every[F.greatest(i - 1, F.lit(0))]))
+    rows = rows.withColumn("_first", F.when(F.size(every) > 0, first).otherwise(F.array().cast("array<int>")))
+    begin = F.col("_first")
+    stop = lambda j: F.when(j + 1 < F.size(begin), begin[F.least(j + 1, F.size(begin) - 1)]).otherwise(F.size(every))
+    terms = F.transform(begin, lambda i, j: F.struct(every[i].alias("term"), (stop(j) - i).alias("n")))
+    counted = rows.select(*keys, F.explode_outer(terms).alias("_x")).select(*keys, F.col("_x.term").alias("_term"), F.log("_x.n").alias("_log"))
+    # xxhash64 passes over nulls, so a text without terms has to be told apart
     sampled = [F.min(F.when(F.col("_term").isNotNull(), _sample("_term", "_log", k))).alias(f"_s{k}") for k in range(n_lanes)]
     least = counted.groupBy(*keys).agg(*sampled)
     low = [F.coalesce(F.col(f"_s{k}").bitwiseAND(F.lit(_MASK)) - F.lit(1 << 31), F.lit(-1)).cast("int") for k in range(n_lanes)]
@@ -75,14 +82,17 @@ def _keyed(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def _numbered(rows: DataFrame) -> DataFrame:
-    return rows.withColumn("nth", F.row_number().over(Window.partitionBy("k", "free").orderBy("text")))
+    return rows.withColumn("nth", F.row_number().over(Window.partitionBy("k").orderBy("free", "text")))
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n_lanes: int = LANES) -> DataFrame:
-    """Rows (doc_id, lanes, fingerprint), one for each row of df."""
-    rows = _numbered(_keyed(df, id_col, text_col))
-    found = lanes(rows, ["k", "free", "nth"], "text", n_lanes)
-    return found.select(F.when(~F.col("free"), F.col("k")).alias("doc_id"), "lanes", written(F.col("lanes")).alias("fingerprint"))
+    """Rows (doc_id, lanes, fingerprint), one for each row of df. Equal rows are sampled once."""
+    rows = _keyed(df, id_col, text_col).withColumn("mark", F.sha2("text", 256))
+    # rows that agree in these keys have one text, of which more copies change neither terms nor minima
+    found = lanes(rows.select("k", "free", "mark", "text"), ["k", "free", "mark"], "text", n_lanes)
+    times = rows.groupBy("k", "free", "mark").count()
+    each = found.join(times, ["k", "free", "mark"]).withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("count").cast("int"))))
+    return each.select(F.when(~F.col("free"), F.col("k")).alias("doc_id"), "lanes", written(F.col("lanes")).alias("fingerprint"))
 
 
 def successors(rows: DataFrame) -> DataFrame:
@@ -111,17 +121,16 @@ def compare_edited(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     half = (F.char_length("text") / 2).cast("int")
     ids = rows.where("not free").groupBy(F.col("k").alias("doc_id")).agg(F.max(half).alias("half"))
     after = runtime.cut(successors(ids))
-    begins = rows.where("not free").join(after, F.col("k") == F.col("next_id")).select(F.col("doc_id").alias("k"), F.lit(False).alias("free"), F.substring(F.col("text"), F.lit(1), F.col("half")).alias("begin"))
-    begins = begins.groupBy("k", "free").agg(F.min("begin").alias("begin"))
-    both = _numbered(rows.join(begins, ["k", "free"], "left"))
+    begins = rows.join(after, F.col("k") == F.col("next_id")).select(F.col("doc_id").alias("k"), F.when(~F.col("free"), F.substring(F.col("text"), F.lit(1), F.col("half"))).alias("begin"))
+    both = _numbered(rows.join(begins.groupBy("k").agg(F.min("begin").alias("begin")), "k", "left"))
     n = F.char_length("text")
-    edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.coalesce(F.substring(F.col("begin"), F.lit(1), half), F.lit("")))
-    both = both.select("k", "free", "nth", n.cast("long").alias("n_chars"), "text", edited.alias("edited")).withColumn("edited_sha256", F.sha2("edited", 256))
+    begin = F.when(F.col("free"), F.lit("")).otherwise(F.coalesce(F.substring(F.col("begin"), F.lit(1), half), F.lit("")))
+    both = both.select("k", "free", "nth", n.cast("long").alias("n_chars"), "text", F.concat(F.substring(F.col("text"), F.lit(1), n - half), begin).alias("edited"))
     pair = F.explode(F.array(F.struct(F.lit(0).alias("kind"), F.col("text").alias("text")), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))).alias("x")
-    kinds = both.select("k", "free", "nth", "n_chars", "edited_sha256", pair).select("k", "free", "nth", "n_chars", "edited_sha256", "x.kind", "x.text")
-    found = lanes(kinds, ["k", "free", "nth", "n_chars", "edited_sha256", "kind"], "text", n_lanes)
+    found = lanes(both.select("k", "nth", pair).select("k", "nth", "x.kind", "x.text"), ["k", "nth", "kind"], "text", n_lanes)
     of = lambda kind: F.first(F.when(F.col("kind") == kind, F.col("lanes")), ignorenulls=True)
-    found = runtime.cut(found.groupBy("k", "free", "nth", "n_chars", "edited_sha256").agg(of(0).alias("own"), of(1).alias("edited")))
+    found = found.groupBy("k", "nth").agg(of(0).alias("own"), of(1).alias("edited"))
+    found = runtime.cut(both.select("k", "free", "nth", "n_chars", F.sha2("edited", 256).alias("edited_sha256")).join(found, ["k", "nth"]))
     # each document's lanes go to the one before it
     nexts = found.where("nth = 1 and not free").join(after, F.col("k") == F.col("next_id")).select(F.col("doc_id").alias("k"), F.lit(False).alias("free"), F.col("own").alias("next"))
     return found.join(nexts, ["k", "free"], "left").select(
