@@ -22,6 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from . import runtime, vectext
 
@@ -131,15 +132,15 @@ def _search(owner: np.ndarray, known: np.ndarray, row: np.ndarray, anchor: np.nd
     return out
 
 
-def _cut_rows(docs: DataFrame, size: int) -> DataFrame:
-    """doc_id, n_words, n_removed, removed (intervals of words), kept (the words left, joined by one space)."""
+def _cut_rows(marked: DataFrame, size: int, carried: list[str]) -> DataFrame:
+    """The carried columns, n_words, n_removed, removed (intervals of words), kept (the words left, joined by one space)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in runtime.chunks(batch, 1):
-                w = vectext.words(part.column(1))
+            for part in runtime.chunks(batch, 0):
+                w = vectext.words(part.column(0))
                 total, n = w.first[-1], len(w)
-                lists, copy = part.column(2).fill_null([]), part.column(3).to_numpy(zero_copy_only=False)
+                lists, copy = part.column(1).fill_null([]), part.column(2).to_numpy(zero_copy_only=False)
                 owner = np.repeat(np.arange(n), np.diff(lists.offsets.to_numpy()))
                 spots = lists.flatten().to_numpy()
                 mine = (spots >> 32 << 32) == _tags(w.hashes(), w.first)[owner]
@@ -157,9 +158,13 @@ def _cut_rows(docs: DataFrame, size: int) -> DataFrame:
                 spans = _intervals(w, gone)
                 offsets = pa.py_buffer(np.concatenate([[0], np.cumsum(lengths)]).astype(np.int32))
                 kept = pa.StringArray.from_buffers(n, offsets, pa.py_buffer(text))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(w.counts.astype(np.int64)), pa.array(n_removed.astype(np.int64)), spans, kept], ["doc_id", "n_words", "n_removed", "removed", "kept"])
+                more = [pa.array(w.counts.astype(np.int64)), pa.array(n_removed.astype(np.int64)), spans, kept]
+                yield pa.RecordBatch.from_arrays([*(part.column(3 + k) for k in range(len(carried))), *more], [*carried, "n_words", "n_removed", "removed", "kept"])
 
-    return docs.mapInArrow(run, "doc_id long, n_words long, n_removed long, removed array<struct<first:int,stop:int>>, kept string")
+    more = StructType.fromDDL("n_words long, n_removed long, removed array<struct<first:int,stop:int>>, kept string")
+    schema = StructType([*(marked.schema[c] for c in carried), *more])
+    own = [F.col("text").alias("_words_of"), F.col("spots").alias("_spots"), F.col("copy").alias("_copy")]
+    return marked.select(*own, *carried).mapInArrow(run, schema)
 
 
 def join_words(w: vectext.Words, keep: np.ndarray) -> tuple[bytes, np.ndarray]:
@@ -193,14 +198,27 @@ def _intervals(w: vectext.Words, gone: np.ndarray) -> pa.Array:
 
 def remove_repeats(df: DataFrame, size: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each row of df: doc_id, n_words, n_removed, removed, kept; see the module."""
-    docs = _documents(df, id_col, text_col)
+    marked = _marked(_documents(df, id_col, text_col), size)
+    return _cut_rows(marked, size, ["doc_id"]).select("doc_id", "n_words", "n_removed", "removed", "kept")
+
+
+def without_repeats(df: DataFrame, size: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """df with its columns, where texts that lose words are replaced by the words left; no row goes."""
+    docs = df.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"), F.struct(*(F.col(f"`{c}`") for c in df.columns if c != text_col)).alias("rest"))
+    cut = _cut_rows(_marked(docs, size), size, ["doc_id", "rest", "text"])
+    text = F.when(F.col("n_removed") > 0, F.col("kept")).otherwise(F.col("text"))
+    return cut.select(text.alias(text_col), "rest.*").select(df.columns)
+
+
+def _marked(docs: DataFrame, size: int) -> DataFrame:
+    """docs with spots (where windows to remove start, with the rows' tags) and copy (all of the words are an earlier document's)."""
     first = F.min("doc_id").alias("first_id")
     # what the frequent sides of the joins meet is written first, so that hot keys can be split at run time
-    digests = _digests(docs)
+    digests = _digests(docs.select("doc_id", "text"))
     firsts = runtime.cut(digests.groupBy("d", "e").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("d", "e", "first_id"))
     copies = digests.join(firsts, ["d", "e"], "left").groupBy("doc_id").agg(F.bool_and(F.coalesce(F.col("doc_id") > F.col("first_id"), F.lit(False))).alias("copy")).where("copy")
     copies = runtime.cut(copies)
-    named = docs.join(copies, "doc_id", "left").select("doc_id", "text", F.coalesce("copy", F.lit(False)).alias("copy"))
+    named = docs.join(copies, "doc_id", "left").withColumn("copy", F.coalesce("copy", F.lit(False)))
     heads = named.where("doc_id is not null and not copy").select("doc_id", "text")
 
     anchors = _anchor_rows(heads, size)
@@ -210,4 +228,4 @@ def remove_repeats(df: DataFrame, size: int = 50, id_col: str = "doc_id", text_c
     windows = _window_rows(heads.join(held, "doc_id").select("doc_id", "text", "anchors"), size)
     least = runtime.cut(windows.groupBy("h", "g").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("h", "g", "first_id"))
     found = windows.where("later").join(least, ["h", "g"]).where("doc_id > first_id").groupBy("doc_id").agg(F.collect_set("spot").alias("spots"))
-    return _cut_rows(named.join(found, "doc_id", "left").select("doc_id", "text", "spots", "copy"), size)
+    return named.join(found, "doc_id", "left")
