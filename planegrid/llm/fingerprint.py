@@ -6,7 +6,7 @@ ln(a) = ln(c) - r * (t - b) - r. The lane keeps the term with the smallest a, to
 agree in a lane with a probability equal to their generalised Jaccard similarity, the sum of smaller weights over
 the sum of larger ones.
 
-A lane's value packs ln(a) into the upper half of a long and a hash of (term, t) into the lower, so that a plain
+A lane's value packs ln(a) into the upper half of a long and 32 bits of (term, t) into the lower, so that a plain
 minimum, which Spark combines early and without objects, is the sample.
 
 Rows: a null or empty text has no terms; its lanes all hold -1 and agree with those of other empty texts. Equal
@@ -40,7 +40,7 @@ def _sample(term: str, log_weight: str, lane: int) -> Column:
     r, c, b = -F.log(u[0] * u[1]), -F.log(u[3] * u[4]), u[2]
     t = F.floor(F.col(log_weight) / r + b)
     place = F.floor((F.log(c) - r * (t - b) - r + OFFSET) * SCALE)
-    return F.shiftleft(place, 32).bitwiseOR(F.xxhash64(F.col(term), t).bitwiseAND(F.lit(_MASK)))
+    return F.shiftleft(place, 32).bitwiseOR(F.col(term).bitwiseXOR(F.shiftleft(t, 9)).bitwiseAND(F.lit(_MASK)))
 
 
 def lanes(texts: DataFrame, keys: list[str], text_col: str, n_lanes: int = LANES) -> DataFrame:

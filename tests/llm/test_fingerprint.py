@@ -39,7 +39,7 @@ def brute(text, n_lanes=fingerprint.LANES):
             r, c, b = -math.log(u[0] * u[1]), -math.log(u[3] * u[4]), u[2]
             t = math.floor(math.log(n) / r + b)
             a = math.floor((math.log(c) - r * (t - b) - r + fingerprint.OFFSET) * fingerprint.SCALE)
-            value = (a, of_long(t, first) & 0xFFFFFFFF)
+            value = (a, (term ^ t << 9) & 0xFFFFFFFF)
             best = value if best is None or value < best else best
         out.append(f"{(best[1] if best else (1 << 31) - 1) ^ 1 << 31:08x}")
     return "".join(out)
