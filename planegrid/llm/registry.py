@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fingerprint, lmscore, neardup, packing, quality, runtime, secret_scan, substrings
+from . import bpe, fingerprint, license_scan, lmscore, neardup, packing, quality, runtime, secret_scan, substrings, token_count
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -39,6 +39,14 @@ def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.rate(documents(spark, sf_dir))
 
 
+def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    matches = F.col("matches")
+    written = F.transform(matches, lambda m: F.concat_ws(":", m["license"], m["first_word"].cast("string"), m["stop_word"].cast("string")))
+    return license_scan.scan(documents(spark, sf_dir)).select(
+        "doc_id", F.size(matches).cast("long").alias("n_matches"), F.array_join(F.sort_array(F.array_distinct(matches["license"])), ",").alias("licenses"), F.array_join(written, ",").alias("matches")
+    )
+
+
 def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(documents(spark, sf_dir), percent=85)
 
@@ -52,6 +60,10 @@ def packed(docs: DataFrame) -> DataFrame:
     return packing.pack(found)
 
 
+def op8_token_count(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_count.count(documents(spark, sf_dir), runtime.public_file("piece_bpe_32k.model"))
+
+
 def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     spans = F.col("secret_spans")
     count = lambda kind: F.size(F.filter(spans, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
@@ -77,8 +89,10 @@ QUERIES: dict[str, Query] = {
     "op2_fingerprint": op2_fingerprint,
     "op3_lm_score": op3_lm_score,
     "op4_quality_rules": op4_quality_rules,
+    "op5_license_scan": op5_license_scan,
     "op6_near_duplicates": op6_near_duplicates,
     "op7_binary_packing": op7_binary_packing,
+    "op8_token_count": op8_token_count,
     "op9_secret_scan": op9_secret_scan,
     "op10_substring_dedup": op10_substring_dedup,
 }

@@ -72,8 +72,13 @@ class Words:
         return mix(raw + (self.end - self.start).astype(np.uint64) * U(0xA24BAED4963EE407))
 
 
-def words(column: pa.Array, lower: bool = False) -> Words:
-    """Of a string column; a null row has no words."""
+#: Besides white space, ASCII punctuation ends a word.
+PLAIN = _SPACE.copy()
+PLAIN[[b for b in range(128) if not chr(b).isalnum()]] = True
+
+
+def words(column: pa.Array, lower: bool = False, space: np.ndarray = _SPACE) -> Words:
+    """Of a string column; a null row has no words. space: flags of the bytes between words."""
     n = len(column)
     if column.null_count:
         column = column.fill_null("")
@@ -84,7 +89,7 @@ def words(column: pa.Array, lower: bool = False) -> Words:
     offsets = offsets - offsets[0]
     if lower:
         data = _LOWER[data]
-    space = _SPACE[data]
+    space = space[data]
     begins = np.ones(len(data), dtype=bool)
     if len(data):
         begins[1:] = space[:-1]
