@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from . import runtime
 
 #: Most frequent words that workers hold (about 200 bytes each), and words that a worker counts before it passes them on.
-HEAD, FLUSH = 200_000, 200_000
+HEAD, FLUSH = 100_000, 200_000
 SCALE = 10**10
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 
@@ -158,6 +158,21 @@ def _scored(counts: DataFrame, shared, log_p: np.ndarray, total: int, kinds: int
     return counts.select("word", "c", "n").mapInArrow(run, "word binary, n long, known long, base long, score long")
 
 
+def _frequent(scored: DataFrame) -> dict[bytes, tuple[int, int, int]]:
+    """known, base and score of the most frequent words: all above a count, at most HEAD of them."""
+    grade = F.floor(F.log2("n") * 8).cast("int")
+    held, least = 0, None
+    for r in scored.groupBy(grade.alias("grade")).count().orderBy(F.desc("grade")).collect():  # some hundreds of grades
+        held += r["count"]
+        if held > HEAD:
+            break
+        least = r.grade
+    if least is None:
+        return {}
+    top = scored.where(grade >= least).select("word", "known", "base", "score").toArrow()
+    return dict(zip(top.column(0).to_pylist(), zip(*(top.column(c).to_pylist() for c in (1, 2, 3)))))
+
+
 def _rows(docs: DataFrame, head) -> DataFrame:
     """A row for each text with the sums of its frequent words, and one for each of its other words.
 
@@ -219,9 +234,7 @@ def score(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str
     log_end = math.log10((ends + 0.5) / (pieces.sum() + ends + 0.5))
     base_end = math.log10((ends + 0.5) / (total + 0.5 * (kinds + 1)))
     scored = runtime.cut(_scored(counts, shared, log_p, total, kinds))
-    top = scored.orderBy(F.desc("n"), "word").limit(HEAD).collect()
-    head = spark.sparkContext.broadcast({bytes(r.word): (r.known, r.base, r.score) for r in top})
-    del top
+    head = spark.sparkContext.broadcast(_frequent(scored))
     rows = _rows(docs, head).join(scored.select(F.col("word").alias("key"), F.col("known").alias("k"), F.col("base").alias("b"), F.col("score").alias("s")), "key", "left")
     own = {x: F.when(F.col("rows") == 1, F.col(x)).otherwise(F.col("tokens") * F.col(x[0])) for x in ("known", "base", "score")}
     found = rows.groupBy("doc_id", "train", "mark").agg(F.sum("rows").alias("rows"), F.sum(F.when(F.col("rows") == 1, F.col("tokens"))).alias("tokens"), *(F.sum(c).alias(x) for x, c in own.items()))
