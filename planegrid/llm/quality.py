@@ -124,7 +124,9 @@ def _with_distance(rows: DataFrame) -> DataFrame:
         for k in range(i):
             rest = rest - F.col(_FACTOR[i, k]) * F.col(f"_z{k}")
         rows = rows.withColumn(f"_z{i}", rest / F.col(_FACTOR[i, i]))
-    return rows.withColumn("_far", sum((F.col(f"_z{i}") * F.col(f"_z{i}") for i in range(1, P)), F.col("_z0") * F.col("_z0"))).drop(*(f"_z{i}" for i in range(P)))
+    far = sum((F.col(f"_z{i}") * F.col(f"_z{i}") for i in range(1, P)), F.col("_z0") * F.col("_z0"))
+    # a filter on the distance must stay above: pushed down, it would repeat all that the distance is made of, many times over
+    return rows.withColumn("_far", far + F.monotonically_increasing_id() * F.lit(0)).drop(*(f"_z{i}" for i in range(P)))
 
 
 def _fitted(sums: DataFrame, inflate: float) -> DataFrame:
