@@ -20,7 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
@@ -210,22 +210,35 @@ def without_repeats(df: DataFrame, size: int = 50, id_col: str = "doc_id", text_
     return cut.select(text.alias(text_col), "rest.*").select(df.columns)
 
 
+def _turned(name: str) -> Column:
+    return F.bitwise_not(F.col(name))
+
+
+def _several(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """(keys, first_id) of the keys with more than one document, the first key turned.
+
+    A turned key makes Spark shuffle these rows for a join with rows of the same key, rather than joining in the
+    partitions of the count; only then can it split the partitions of frequent keys at run time.
+    """
+    found = rows.groupBy(*keys).agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("first_id < last_id")
+    return found.select(_turned(keys[0]).alias(keys[0]), *keys[1:], "first_id")
+
+
 def _marked(docs: DataFrame, size: int) -> DataFrame:
     """docs with spots (where windows to remove start, with the rows' tags) and copy (all of the words are an earlier document's)."""
-    first = F.min("doc_id").alias("first_id")
-    # what the frequent sides of the joins meet is written first, so that hot keys can be split at run time
     digests = _digests(docs.select("doc_id", "text"))
-    firsts = runtime.cut(digests.groupBy("d", "e").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("d", "e", "first_id"))
-    copies = digests.join(firsts, ["d", "e"], "left").groupBy("doc_id").agg(F.bool_and(F.coalesce(F.col("doc_id") > F.col("first_id"), F.lit(False))).alias("copy")).where("copy")
+    firsts = _several(digests, ["d", "e"])
+    copies = digests.withColumn("d", _turned("d")).join(firsts, ["d", "e"], "left").groupBy("doc_id").agg(F.bool_and(F.coalesce(F.col("doc_id") > F.col("first_id"), F.lit(False))).alias("copy")).where("copy")
     copies = runtime.cut(copies)
     named = docs.join(copies, "doc_id", "left").withColumn("copy", F.coalesce("copy", F.lit(False)))
     heads = named.where("doc_id is not null and not copy").select("doc_id", "text")
 
     anchors = _anchor_rows(heads, size)
-    shared = runtime.cut(anchors.groupBy("anchor").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("anchor", "first_id"))
-    held = anchors.join(shared, "anchor").groupBy("doc_id").agg(F.collect_set(F.struct("anchor", (F.col("doc_id") > F.col("first_id")).alias("later"))).alias("anchors"))
+    shared = _several(anchors, ["anchor"])
+    met = anchors.withColumn("turned", _turned("anchor")).join(shared.withColumnRenamed("anchor", "turned"), "turned")
+    held = met.groupBy("doc_id").agg(F.collect_set(F.struct("anchor", (F.col("doc_id") > F.col("first_id")).alias("later"))).alias("anchors"))
     held = runtime.cut(held)
     windows = _window_rows(heads.join(held, "doc_id").select("doc_id", "text", "anchors"), size)
-    least = runtime.cut(windows.groupBy("h", "g").agg(first, F.max("doc_id").alias("last_id")).where("first_id < last_id").select("h", "g", "first_id"))
-    found = windows.where("later").join(least, ["h", "g"]).where("doc_id > first_id").groupBy("doc_id").agg(F.collect_set("spot").alias("spots"))
+    least = _several(windows, ["h", "g"])
+    found = windows.where("later").withColumn("h", _turned("h")).join(least, ["h", "g"]).where("doc_id > first_id").groupBy("doc_id").agg(F.collect_set("spot").alias("spots"))
     return named.join(found, "doc_id", "left")
