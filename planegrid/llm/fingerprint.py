@@ -26,11 +26,13 @@ LANES = 32
 OFFSET, SCALE = 512.0, float(1 << 20)
 _MASK = (1 << 32) - 1
 _UNIT = 2.0**-21
+#: What tells lanes apart: multiples of a fixed odd number, as signed longs.
+_MARKS = [((k + 1) * 0x9E3779B97F4A7C15 + (1 << 63)) % (1 << 64) - (1 << 63) for k in range(2 * 256)]
 
 
 def _uniforms(term: str, lane: int) -> list[Column]:
     """Five numbers in (0, 1): three from one hash with 21 bits each, two from another."""
-    one, two = F.xxhash64(F.col(term), F.lit(2 * lane)), F.xxhash64(F.col(term), F.lit(2 * lane + 1))
+    one, two = (F.xxhash64(F.col(term).bitwiseXOR(F.lit(x))) for x in _MARKS[2 * lane : 2 * lane + 2])
     bits = lambda h, k: (F.shiftrightunsigned(h, 21 * k).bitwiseAND(F.lit((1 << 21) - 1)) + 0.5) * _UNIT
     return [bits(one, 0), bits(one, 1), bits(one, 2), bits(two, 0), bits(two, 1)]
 
