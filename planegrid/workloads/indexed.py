@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from planegrid.operators import ytree
+from planegrid.operators import valuetree, ytree
 from planegrid.operators.rankspace import map_rects, rank_space
 from planegrid.plans.storage import cut
 from planegrid.sources import grids
@@ -110,3 +110,32 @@ def reported(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES["index_report_P"] = reported
 ORACLES["index_report_P"] = f"{static.hits_sql('P')} select qid, x, y, w from h"
+
+
+_VALUES: dict[tuple, tuple[DataFrame, valuetree.ValueTree]] = {}
+
+
+def value_index(spark: SparkSession, sf_dir: str, grid: str, bits: int = 4, block: int = 256) -> tuple[DataFrame, valuetree.ValueTree]:
+    key = (spark.sparkContext.applicationId, sf_dir, grid, bits, block)
+    if key not in _VALUES:
+        ranked = cut(rank_space(grids.points(spark, sf_dir, grid)))
+        _VALUES[key] = ranked, valuetree.build(ranked, bits, block)
+    return _VALUES[key]
+
+
+def add_value(name: str, grid: str, method, select: str, bits: int = 4) -> None:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        ranked, tree = value_index(spark, sf_dir, grid, bits)
+        return method(tree, bounds(spark, ranked, grid), rect_source.rects(spark, grid))
+
+    QUERIES[name] = run
+    ORACLES[name] = f"{static.hits_sql(grid)} {select}"
+
+
+add_value("index_kth_P", "P", lambda t, b, r: valuetree.kth_in(t, b, static._ranks(r)), static._KTH)
+add_value("index_count_values_P", "P", lambda t, b, r: valuetree.count_values(t, b, 5, 11), "select qid, count(h.qid)::bigint as cnt from r left join (select * from h where w between 5 and 11) h using (qid) group by qid")
+for _strict, _up, _down in ((False, ">=", "<="), (True, ">", "<")):
+    add_value(f"index_neighbours_P{'_strict' * _strict}", "P", lambda t, b, r, s=_strict: valuetree.neighbours(t, b, 12, s), f"select qid, min(case when h.w {_up} 12 then h.w end) as succ, max(case when h.w {_down} 12 then h.w end) as pred from r left join h using (qid) group by qid")
+for _alpha, _inc in (("0.5", False), ("0.05", False), ("0.2", True)):
+    for _g in ("P", "D"):
+        add_value(f"index_majority_{_g}_{_alpha.replace('.', '')}{'_inclusive' * _inc}", _g, lambda t, b, r, a=_alpha, i=_inc: valuetree.majority_in(t, b, a, i), f"{static.FREQ} select qid, w, freq, cnt from f where freq::decimal(38,8) {'>=' if _inc else '>'} {_alpha} * cnt")
