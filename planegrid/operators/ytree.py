@@ -162,25 +162,33 @@ def moments_in(tree: YTree, bounds: DataFrame) -> DataFrame:
     return finish_moments(bounds.select("qid").join(found, "qid", "left"))
 
 
+def pieces(tree: YTree, rows: DataFrame, j: int) -> tuple[DataFrame, DataFrame]:
+    """Whole nodes (qid, node, lo, hi) of level j, their entries taken apart.
+
+    First (qid, part): weights of the one or two blocks at the ends, as far as they lie inside. Second (qid, node, h, idx):
+    aligned runs of 2**h blocks that make up the blocks between, none of which lies in a larger one.
+    """
+    rows = rows.select("qid", "node", "lo", "hi", F.floor(F.col("lo") / tree.block).alias("b0"), F.floor((F.col("hi") - 1) / tree.block).alias("b1"))
+    touched = rows.withColumn("blk", F.explode(F.array_distinct(F.array("b0", "b1")))).join(tree.levels[j].select("node", "blk", "vals"), ["node", "blk"])
+    start = F.greatest(F.col("lo") - F.col("blk") * tree.block, F.lit(0))
+    stop = F.least(F.col("hi") - F.col("blk") * tree.block, F.lit(tree.block))
+    touched = touched.select("qid", F.slice("vals", (start + 1).cast("int"), (stop - start).cast("int")).alias("part"))
+    inner = rows.where("b1 - b0 > 1").select("qid", "node", (F.col("b0") + 1).alias("a"), F.col("b1").alias("z"))
+    inner = inner.withColumn("h", F.explode(F.sequence(F.lit(0), F.floor(F.log2(F.col("z") - F.col("a"))).cast("int"))))
+    inner = inner.withColumn("idx", F.expr("explode(array_distinct(array(shiftright(a + shiftleft(1L, h) - 1, h), shiftright(z, h) - 1)))"))
+    inside = "shiftleft(idx, h) >= a and shiftleft(idx + 1, h) <= z"
+    alone = "shiftleft(shiftright(idx, 1), h + 1) < a or shiftleft(shiftright(idx, 1) + 1, h + 1) > z"
+    return touched, inner.where(f"{inside} and ({alone})").select("qid", "node", "h", "idx")
+
+
 def extrema_in(tree: YTree, bounds: DataFrame) -> DataFrame:
     """qid, lo, hi: of every whole node the parts of two blocks at its ends, and aligned runs of the blocks between."""
     whole, ends = cover(tree, bounds)
     parts = [_leaf_points(tree, ends).select("qid", F.col("w").alias("least"), F.col("w").alias("most"))]
     for j in range(1, tree.depth + 1):
-        rows = whole.where(F.col("lvl") == j).select("qid", "node", "lo", "hi", F.floor(F.col("lo") / tree.block).alias("b0"), F.floor((F.col("hi") - 1) / tree.block).alias("b1"))
-        blocks = tree.levels[j].select("node", "blk", "vals")
-        touched = rows.withColumn("blk", F.explode(F.array_distinct(F.array("b0", "b1")))).join(blocks, ["node", "blk"])
-        start = F.greatest(F.col("lo") - F.col("blk") * tree.block, F.lit(0))
-        stop = F.least(F.col("hi") - F.col("blk") * tree.block, F.lit(tree.block))
-        cutout = F.slice("vals", (start + 1).cast("int"), (stop - start).cast("int"))
-        parts.append(touched.select("qid", F.array_min(cutout).alias("least"), F.array_max(cutout).alias("most")))
-        inner = rows.where("b1 - b0 > 1").select("qid", "node", (F.col("b0") + 1).alias("a"), F.col("b1").alias("z"))
-        inner = inner.withColumn("h", F.explode(F.sequence(F.lit(0), F.floor(F.log2(F.col("z") - F.col("a"))).cast("int"))))
-        first, last = "shiftright(a + shiftleft(1L, h) - 1, h)", "shiftright(z, h) - 1"
-        inner = inner.withColumn("idx", F.expr(f"explode(array_distinct(array({first}, {last})))"))
-        inside = "shiftleft(idx, h) >= a and shiftleft(idx + 1, h) <= z"
-        alone = "shiftleft(shiftright(idx, 1), h + 1) < a or shiftleft(shiftright(idx, 1) + 1, h + 1) > z"
-        parts.append(inner.where(f"{inside} and ({alone})").join(tree.dyads[j], ["node", "h", "idx"]).select("qid", "least", "most"))
+        touched, inner = pieces(tree, whole.where(F.col("lvl") == j), j)
+        parts.append(touched.select("qid", F.array_min("part").alias("least"), F.array_max("part").alias("most")))
+        parts.append(inner.join(tree.dyads[j], ["node", "h", "idx"]).select("qid", "least", "most"))
     found = reduce(DataFrame.union, parts).groupBy("qid").agg(F.min("least").alias("lo"), F.max("most").alias("hi"))
     return bounds.select("qid").join(found, "qid", "left").select("qid", "lo", "hi")
 

@@ -7,7 +7,7 @@ from importlib import import_module
 
 from pyspark.sql import DataFrame, SparkSession
 
-MODULES = ("static", "indexed", "changing", "operators")
+MODULES = ("static", "indexed", "changing", "operators", "measures")
 
 
 def _modules():
