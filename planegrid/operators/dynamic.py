@@ -48,7 +48,8 @@ def tiers(sizes: list[int], factor: int = 4) -> list[list[int]]:
     for size in sizes:
         groups.append([size])
         while len(groups) > 1 and sum(groups[-2]) <= factor * sum(groups[-1]):
-            groups[-2] += groups.pop()
+            last = groups.pop()
+            groups[-1] += last
     return groups
 
 
