@@ -233,7 +233,8 @@ def _marked(docs: DataFrame, size: int) -> DataFrame:
     named = docs.join(copies, "doc_id", "left").withColumn("copy", F.coalesce("copy", F.lit(False)))
     heads = named.where("doc_id is not null and not copy").select("doc_id", "text")
 
-    anchors = _anchor_rows(heads, size)
+    # copies count too: their anchors may make more windows compared, never fewer, and texts need no shuffle here
+    anchors = _anchor_rows(docs.where("doc_id is not null").select("doc_id", "text"), size)
     shared = _several(anchors, ["anchor"])
     met = anchors.withColumn("turned", _turned("anchor")).join(shared.withColumnRenamed("anchor", "turned"), "turned")
     held = met.groupBy("doc_id").agg(F.collect_set(F.struct("anchor", (F.col("doc_id") > F.col("first_id")).alias("later"))).alias("anchors"))
