@@ -27,6 +27,8 @@ from pyspark.sql.types import StructType
 from . import runtime, vectext
 
 U = np.uint64
+#: Ids of copies up to this many are broadcast (16 bytes each); more are joined by id.
+MOST_BROADCAST = 1_000_000
 
 
 def _anchors(w: vectext.Words, hashes: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -233,8 +235,10 @@ def _marked(docs: DataFrame, size: int) -> DataFrame:
     named = docs.join(copies, "doc_id", "left").withColumn("copy", F.coalesce("copy", F.lit(False)))
     heads = named.where("doc_id is not null and not copy").select("doc_id", "text")
 
-    # copies count too: their anchors may make more windows compared, never fewer, and texts need no shuffle here
+    # texts need no shuffle here: anchors of copies go afterwards
     anchors = _anchor_rows(docs.where("doc_id is not null").select("doc_id", "text"), size)
+    gone = copies.select("doc_id")
+    anchors = anchors.join(F.broadcast(gone) if gone.count() <= MOST_BROADCAST else gone, "doc_id", "left_anti")
     shared = _several(anchors, ["anchor"])
     met = anchors.withColumn("turned", _turned("anchor")).join(shared.withColumnRenamed("anchor", "turned"), "turned")
     held = met.groupBy("doc_id").agg(F.collect_set(F.struct("anchor", (F.col("doc_id") > F.col("first_id")).alias("later"))).alias("anchors"))
