@@ -15,6 +15,12 @@ Candidates that a sketch of the whole signature rules out by more than five stan
 others are confirmed on the full sets: first the likeliest one of each class, then those whose ends the links so
 far leave apart. Other columns of the input are not carried along, whatever their names.
 
+Then the forest's least-depth regions that still hold several components are gone through in full: components
+whose sketches allow a link anywhere in a region form a family, and in a family all texts of different components
+are compared by their full sets. Large regions and families are dealt over tasks as pairs of blocks, a large
+component's own blocks are not paired with each other, and only edges that join components come out. So a link is
+missed only if its ends share no region at the least depth in any tree, or if the sketch rules it out.
+
 Rows: null and empty texts have empty sets. A row with a null id gets a null component and is kept. Rows that
 share an id are each judged by their own text; kept holds if the id is its component's smallest.
 """
@@ -31,12 +37,16 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import runtime, vectext
-from .components import components
+from .components import components, of_few
 
 U = np.uint64
 #: The forest: trees, values in a tree's order, the depth from which rows count as neighbours, rows looked back.
 TREES, DEPTH, LEAST, BACK = 16, 6, 2, 3
 LANES = TREES * DEPTH
+#: A block of a large region or family: rows and bytes of text; columns of a matrix of shingles.
+BLOCK_ROWS, BLOCK_BYTES, COLUMNS = 2000, 8 << 20, 4096
+#: Regions or members up to this many are broadcast (about 40 bytes each); more are joined by key.
+MOST_BROADCAST = 300_000
 _rng = np.random.default_rng(20240229)
 _MULTIPLY = _rng.integers(0, 1 << 63, LANES, dtype=np.uint64) * U(2) + U(1)
 _ADD = _rng.integers(0, 1 << 63, LANES, dtype=np.uint64)
@@ -216,6 +226,174 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, width: int, percent: int) ->
     return rows.mapInArrow(run, "a long, b long")
 
 
+def _small(rows: DataFrame) -> DataFrame:
+    return F.broadcast(rows) if rows.count() <= MOST_BROADCAST else rows
+
+
+def _dealt(rows: DataFrame, extra: list[str]) -> DataFrame:
+    """Rows (key, comp, doc_id, bytes, *extra) of keys with several components, as (g, side, comp, doc_id, *extra), sorted by g.
+
+    A small key is one group. Of a large one each two blocks are a group, side 0 and 1, so that every two rows of
+    different components meet in a group (within side 0 if there is no side 1).
+    """
+    whole = rows.groupBy("key").agg(F.count("*").alias("c"), F.sum("bytes").alias("w"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo != hi")
+    whole = runtime.cut(whole.select("key", F.greatest(F.ceil(F.col("c") / BLOCK_ROWS), F.ceil(F.col("w") / BLOCK_BYTES)).alias("parts")))
+    columns = ["g", "side", "comp", "doc_id", *extra]
+    out = rows.join(_small(whole.where("parts <= 1").select("key")), "key").select(F.col("key").alias("g"), F.lit(0).alias("side"), "comp", "doc_id", *extra)
+    crowded = whole.where("parts > 1").select("key")
+    if not crowded.isEmpty():
+        many = runtime.cut(rows.join(_small(crowded), "key"))
+        parts = lambda c, w: F.greatest(F.ceil(c / BLOCK_ROWS), F.ceil(w / BLOCK_BYTES)).cast("int")
+        each = runtime.cut(many.groupBy("key", "comp").agg(F.count("*").alias("c"), F.sum("bytes").alias("w")).withColumn("k", parts(F.col("c"), F.col("w"))))
+        large = each.where("k > 1").select("key", "comp", "k")
+        mixed = each.where("k <= 1").groupBy("key").agg(F.sum("c").alias("c"), F.sum("w").alias("w")).select("key", parts(F.col("c"), F.col("w")).alias("k"))
+        block = lambda owner, part: F.struct(F.lit(owner is not None).alias("large"), (owner if owner is not None else F.lit(0).cast("long")).alias("owner"), part.alias("part"))
+        at = lambda c: F.pmod(F.xxhash64(c), F.col("k")).cast("int")
+        placed = many.join(large, ["key", "comp"]).select(*many.columns, block(F.col("comp"), at("doc_id")).alias("block"))
+        rest = many.join(large, ["key", "comp"], "left_anti").join(mixed, "key").select(*many.columns, block(None, at("comp")).alias("block"))
+        placed = runtime.cut(placed.unionByName(rest))
+        blocks = runtime.cut(placed.select("key", "block").distinct())
+        two = blocks.withColumnRenamed("block", "x").join(blocks.withColumnRenamed("block", "y"), "key")
+        two = runtime.cut(two.where("x < y and not (x.large and y.large and x.owner = y.owner) or x = y and not x.large").withColumn("g", F.xxhash64("key", "x", "y")))
+        for side, name in enumerate("xy"):
+            pairs = two.where("x != y" if side else "true").select("key", F.col(name).alias("block"), "g")
+            out = out.unionByName(placed.join(pairs, ["key", "block"]).withColumn("side", F.lit(side)).select(columns))
+    return out.select(columns).repartition("g").sortWithinPartitions("g")
+
+
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches sorted by their first column, dealt anew so that no value is in two of them."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        g = batch.column(0).to_numpy()
+        last = int(np.flatnonzero(g != g[-1])[-1]) + 1 if (g != g[-1]).any() else 0
+        if last or held and held[-1].column(0)[-1].as_py() != g[-1]:
+            yield pa.Table.from_batches([*held, batch.slice(0, last)]).combine_chunks().to_batches()[0]
+            held = []
+        held.append(batch.slice(last))
+    if held:
+        yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+
+
+def _join(root: np.ndarray, a: np.ndarray, b: np.ndarray) -> list[int]:
+    """Joins a[k] and b[k] in root, whose entries point at their ends; the places k that joined two parts."""
+    used = []
+    for k, (x, y) in enumerate(zip(a.tolist(), b.tolist())):
+        while root[x] != x:
+            x = root[x]
+        while root[y] != y:
+            y = root[y]
+        if x != y:
+            root[max(x, y)] = min(x, y)
+            used.append(k)
+    if used:
+        while (root[root] != root).any():
+            root[:] = root[root]
+    return used
+
+
+def _edges(comp: np.ndarray, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(comp[a]), pa.array(comp[b])], ["a", "b"])
+
+
+def _families(classes: DataFrame, percent: int) -> DataFrame:
+    """Edges (a, b) between components that a region and the sketches allow to link; classes with comp."""
+    keys = F.array(*(F.xxhash64(F.lit(t), F.substring("labels", 2 * DEPTH * t + 1, 2 * LEAST)) for t in range(TREES)))
+    rows = classes.select(F.explode(keys).alias("key"), "comp", "doc_id", F.lit(0).alias("bytes"), "n", "bits")
+    limit = _most_apart(percent)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in _groups(batches):
+            g, side, comp = (batch.column(k).to_numpy() for k in (0, 1, 2))
+            n, bits = batch.column(4).to_numpy(), _bytes_of(batch.column(5), LANES // 4)
+            two = np.isin(g, g[side == 1])
+            _, start, root = np.unique(np.stack([g, comp]), axis=1, return_index=True, return_inverse=True)
+            root = start[root.ravel()]
+            here, d = np.arange(len(g)), 0
+            while len(here):
+                d += 1
+                here = here[here < len(g) - d]
+                here = here[g[here] == g[here + d]]
+                a, b = here, here + d
+                use = (root[a] != root[b]) & (~two[a] | (side[a] != side[b])) & (100 * np.minimum(n[a], n[b]) >= percent * np.maximum(n[a], n[b]))
+                a, b = a[use], b[use]
+                x = bits[a] ^ bits[b]
+                near = np.bitwise_count((x | x >> 1) & 0x55).sum(axis=1) <= limit
+                a, b = a[near], b[near]
+                used = _join(root, a, b)
+                if used:
+                    yield _edges(comp, a[used], b[used])
+
+    return _dealt(rows, ["n", "bits"]).mapInArrow(run, "a long, b long").distinct()
+
+
+def _common(values: np.ndarray, first: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Sizes of the intersections of the sets of left with those of right."""
+    _, column, times = np.unique(values, return_inverse=True, return_counts=True)
+    row, shared = np.repeat(np.arange(len(first) - 1), np.diff(first)), times[column] > 1
+    row, column = row[shared], (np.cumsum(times > 1) - 1)[column[shared]]
+    order = np.argsort(column, kind="stable")
+    row, column = row[order], column[order]
+    out = np.zeros((len(left), len(right)), dtype=np.float32)
+    at = np.full((2, len(first) - 1), -1)
+    at[0, left], at[1, right] = np.arange(len(left)), np.arange(len(right))
+    for low in range(0, int(column[-1]) + 1 if len(column) else 0, COLUMNS):
+        a, b = np.searchsorted(column, [low, low + COLUMNS])
+        sides = []
+        for k, members in enumerate((left, right)):
+            inside = at[k, row[a:b]]
+            one = np.zeros((len(members), min(COLUMNS, int(column[-1]) + 1 - low)), dtype=np.float32)
+            one[inside[inside >= 0], column[a:b][inside >= 0] - low] = 1
+            sides.append(one)
+        out += sides[0] @ sides[1].T
+    return out
+
+
+def _exact(members: DataFrame, width: int, percent: int) -> DataFrame:
+    """Edges (a, b) between components with a link, from members (key, comp, doc_id, bytes, text): all texts of a key."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in _groups(batches):
+            g = batch.column(0).to_numpy()
+            bounds = [0, *(np.flatnonzero(g[1:] != g[:-1]) + 1).tolist(), len(g)]
+            for begin, stop in zip(bounds[:-1], bounds[1:]):
+                side, comp = (batch.column(k).to_numpy()[begin:stop] for k in (1, 2))
+                values, first = shingle_sets(batch.column(4).slice(begin, stop - begin), width)
+                n, here = np.diff(first), np.arange(stop - begin)
+                left, right = (here[side == 0], here[side == 1]) if side.any() else (here, here)
+                both = _common(values, first, left, right).astype(np.int64)
+                links = (both > 0) & (100 * both >= percent * (n[left][:, None] + n[right][None, :] - both)) & (comp[left][:, None] != comp[right][None, :])
+                a, b = np.nonzero(links)
+                _, once = np.unique(np.stack([comp[left[a]], comp[right[b]]]), axis=1, return_index=True)
+                _, start, root = np.unique(comp, return_index=True, return_inverse=True)
+                root, a, b = start[root], left[a[once]], right[b[once]]
+                used = _join(root, a, b)
+                if used:
+                    yield _edges(comp, a[used], b[used])
+
+    return _dealt(members, ["text"]).mapInArrow(run, "a long, b long").distinct()
+
+
+def _completed(docs: DataFrame, classes: DataFrame, joined: DataFrame, width: int, percent: int) -> DataFrame:
+    """joined (node, component) with the links that crowded regions hold besides the candidates."""
+    found = classes.join(joined.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", "n", "bits", "labels", F.coalesce("component", "doc_id").alias("comp"))
+    found = runtime.cut(found)
+    maybe = runtime.cut(_families(found, percent))
+    if maybe.isEmpty():
+        return joined
+    family = of_few(maybe)
+    named = runtime.cut(maybe.select(F.explode(F.array("a", "b")).alias("comp")).distinct().join(family.withColumnRenamed("node", "comp"), "comp", "left").select("comp", F.coalesce("component", "comp").alias("key")))
+    members = runtime.cut(found.select("doc_id", "comp").join(named, "comp"))
+    members = runtime.cut(docs.join(_small(members), "doc_id").select("key", "comp", "doc_id", F.octet_length("text").alias("bytes"), "text"))
+    links = runtime.cut(_exact(members, width, percent))
+    if links.isEmpty():
+        return joined
+    moved = of_few(links).toDF("component", "to")
+    return found.select(F.col("doc_id").alias("node"), F.col("comp").alias("component")).join(moved, "component", "left").select("node", F.coalesce("to", "component").alias("component"))
+
+
 def near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each row of df: doc_id, n_shingles, component_id, kept; see the module."""
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
@@ -231,7 +409,7 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id_col: st
     ends = pairs.join(best, ["a", "b"], "left_anti").join(a, "a", "left").join(b, "b", "left").select("a", "b", F.coalesce("at_a", "a").alias("at_a"), F.coalesce("at_b", "b").alias("at_b"))
     apart = ends.where("at_a != at_b")
     linked = runtime.cut(_confirmed(apart, texts, width, percent))
-    joined = components(tree.union(linked))
+    joined = _completed(docs, classes, components(tree.union(linked)), width, percent)
     member = sketch.select("doc_id", "n", "d", "e")
     rep = classes.select("d", "e", F.col("doc_id").alias("node")).join(joined, "node", "left").select("d", "e", F.coalesce("component", "node").alias("component"))
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))

@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from planegrid.llm import neardup
-from planegrid.llm.components import components
+from planegrid.llm.components import components, of_few
 from tests.llm import brute
 
 
@@ -32,6 +32,35 @@ def test_large_group_of_near_copies(spark):
     assert got(spark.createDataFrame(rows, "doc_id long, text string"), 85) == sorted(brute.near_duplicates(rows, 85))
 
 
+def test_hub_in_the_middle_of_its_copies(spark):
+    """Copies link to the original only, which stands in the middle of the ids."""
+    rnd = random.Random(11)
+    base = [f"w{k}" for k in range(400)]
+    rows = []
+    for k in range(1000):
+        words = list(base)
+        for at in rnd.sample(range(400), 5) if k != 500 else ():
+            words[at] = f"x{k}_{at}"
+        rows.append((k, " ".join(words)))
+    want = sorted(brute.near_duplicates(rows, 85))
+    assert sum(not r[3] for r in want) > 900
+    assert got(spark.createDataFrame(rows, "doc_id long, text string"), 85) == want
+
+
+def test_blocks_of_a_crowded_family(spark, monkeypatch):
+    """Regions and families over many blocks, one component much larger than the others."""
+    monkeypatch.setattr(neardup, "BLOCK_ROWS", 16)
+    rnd = random.Random(12)
+    base = [f"w{k}" for k in range(200)]
+    rows = []
+    for k in range(240):
+        words = list(base)
+        for at in rnd.sample(range(200), rnd.choice((0, 1, 1, 4, 5, 5, 6))):
+            words[at] = f"x{k}_{at}"
+        rows.append((k, " ".join(words)))
+    assert got(spark.createDataFrame(rows, "doc_id long, text string"), 85) == sorted(brute.near_duplicates(rows, 85))
+
+
 def test_odd_rows(spark):
     rows = [(1, None), (2, ""), (3, " \n"), (4, "A b c"), (5, "a B\tc"), (6, "a b c d e"), (9, "x" * 100_000), (8, "x" * 100_000)]
     df = spark.createDataFrame(rows, "doc_id long, text string").select("*", F.lit(1).alias("d"), F.lit(2).alias("labels"))
@@ -46,3 +75,9 @@ def test_components_of_a_path_and_a_star(spark):
     edges = [(k, k + 1) for k in range(100, 160)] + [(5, k) for k in range(10, 50)] + [(49, 51), (51, 3), (7, 7)]
     found = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert found == {k: 100 for k in range(101, 161)} | {k: 3 for k in (5, *range(10, 50), 51)}
+
+
+def test_components_of_few_edges(spark):
+    edges = [(k, k + 1) for k in range(100, 160)] + [(5, k) for k in range(10, 50)] + [(49, 51), (51, 3), (7, 7)]
+    df = spark.createDataFrame(edges, "a long, b long")
+    assert sorted(map(tuple, of_few(df).collect())) == sorted(map(tuple, of_few(df, 1).collect())) == sorted(map(tuple, components(df).collect()))
