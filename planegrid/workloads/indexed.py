@@ -71,6 +71,10 @@ QUERIES["sequence_access"] = accessed
 ORACLES["sequence_access"] = f"{_RANKED} select xr, yr from b where xr % 7 = 3"
 
 
+QUERIES["sequence_access_all"] = lambda spark, sf_dir: ytree.access(index(spark, sf_dir, "P", 2, 256)[1], index(spark, sf_dir, "P", 2, 256)[0].select("xr"))
+ORACLES["sequence_access_all"] = f"{_RANKED} select xr, yr from b"
+
+
 def ranked_symbols(spark: SparkSession, sf_dir: str) -> DataFrame:
     _, tree = index(spark, sf_dir, "P", 2, 256)
     asked = spark.range(40).select((F.col("id") % 4).alias("c"), (F.col("id") * 49).alias("i"))
@@ -87,6 +91,26 @@ ORACLES["sequence_rank_select"] = f"""{_RANKED}, n as (select count(*) as n from
     union all select 'select', id % 4, id * 13, case when id = 0 then -1 else o.xr end from range(40) q(id) left join o on o.c = id % 4 and o.j = id * 13"""
 
 
+def ranked_symbols_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each symbol's ranks at 40 places from 0 to the table's size, and selections from 0 to half of it."""
+    ranked, tree = index(spark, sf_dir, "P", 2, 256)
+    n = ranked.count()
+    at = lambda parts: F.expr(f"id * {n}L div {parts}")
+    every = spark.range(40).crossJoin(spark.range(4).withColumnRenamed("id", "c"))
+    found = ytree.sequence_rank(tree, every.select("c", at(39).alias("i"))).select(F.lit("rank").alias("what"), "c", F.col("i").alias("arg"), F.col("r").alias("answer"))
+    picked = ytree.sequence_select(tree, every.select("c", at(78).alias("j")))
+    return found.union(picked.select(F.lit("select"), "c", "j", "place"))
+
+
+QUERIES["sequence_rank_select_all"] = ranked_symbols_all
+ORACLES["sequence_rank_select_all"] = f"""{_RANKED}, n as (select count(*) as n from b),
+    t as (select case when n <= 256 then 8 else 8 + 2 * ceil((ceil(log2(n)) - 8) / 2.0) end as top from n),
+    s as (select xr, (yr >> (t.top - 2)::int) & 3 as c from b, t), o as (select c, xr, row_number() over (partition by c order by xr) as j from s),
+    q as (select c, id * n // 39 as i, id * n // 78 as j from range(40) a(id), range(4) b(c), n)
+    select 'rank' as what, q.c, q.i as arg, (select count(*) from s where s.c = q.c and s.xr < q.i) as answer from q
+    union all select 'select', q.c, q.j, case when q.j = 0 then -1 else o.xr end from q left join o on o.c = q.c and o.j = q.j"""
+
+
 def covered(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The cover's nodes and leaves hold together what the rectangle holds; as y-intervals they are disjoint."""
     ranked, tree = index(spark, sf_dir, "P")

@@ -52,6 +52,7 @@ for _g in ("L", "O"):
     add(f"count_rect_{_g}" if _g != "L" else "count_rect", _g, scan.count_in, COUNT)
     add(f"dominant_rect_{_g}" if _g != "L" else "dominant_rect", _g, lambda h, r: staircase.dominant_points(h), _dominant(1, 1))
 add("report_rect", "L", lambda h, r: scan.report_in(h.where("qid = 6")), "select qid, x, y, w from h where qid = 6")
+add("report_rect_all", "L", lambda h, r: scan.report_in(h), "select qid, x, y, w from h")
 add("dominant_worst_combo", "C", lambda h, r: staircase.dominant_points(h, "NW"), _dominant(-1, 1))
 for _c, (_a, _b) in staircase.CORNERS.items():
     add(f"dominant_corner_{_c.lower()}", "P", lambda h, r, c=_c: staircase.dominant_points(h, c), _dominant(_a, _b))
