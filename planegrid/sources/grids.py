@@ -40,6 +40,8 @@ GRIDS = {
     "D": Grid("documents", "n_chars", "doc_id", "case lang when 'de' then 0 when 'en' then 1 when 'es' then 2 else 3 end", ("n_chars", "doc_id", "case lang when 'de' then 0 when 'en' then 1 when 'es' then 2 else 3 end")),
     "V": Grid("embeddings", "cast(embedding[0] as double)", "cast(embedding[1] as double)", "cast(label as bigint)", ("cast(embedding[1] as double)", "cast(embedding[2] as double)", "cast(label as bigint)")),
 }
+#: The documents again, with rectangles that reach beyond any id.
+GRIDS["W"] = GRIDS["D"]
 #: Customers by their number of orders and balance: a grid from two tables.
 CUSTOMER_SQL = f"""select cast(n as bigint) as x, {_cents("c_acctbal")} as y, cast(c_nationkey as bigint) as w
     from customer join (select o_custkey, count(*) as n from orders group by o_custkey) o on c_custkey = o_custkey"""

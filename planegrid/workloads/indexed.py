@@ -161,5 +161,5 @@ add_value("index_count_values_P", "P", lambda t, b, r: valuetree.count_values(t,
 for _strict, _up, _down in ((False, ">=", "<="), (True, ">", "<")):
     add_value(f"index_neighbours_P{'_strict' * _strict}", "P", lambda t, b, r, s=_strict: valuetree.neighbours(t, b, 12, s), f"select qid, min(case when h.w {_up} 12 then h.w end) as succ, max(case when h.w {_down} 12 then h.w end) as pred from r left join h using (qid) group by qid")
 for _alpha, _inc in (("0.5", False), ("0.05", False), ("0.2", True)):
-    for _g in ("P", "D"):
+    for _g in ("P", "D", "W"):
         add_value(f"index_majority_{_g}_{_alpha.replace('.', '')}{'_inclusive' * _inc}", _g, lambda t, b, r, a=_alpha, i=_inc: valuetree.majority_in(t, b, a, i), f"{static.FREQ} select qid, w, freq, cnt from f where freq::decimal(38,8) {'>=' if _inc else '>'} {_alpha} * cnt")

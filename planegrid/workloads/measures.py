@@ -32,7 +32,7 @@ def _fixed(spark: SparkSession, sf_dir: str, grid: str, built: tuple[int, int],
     return candidates.majority_fixed(tree, lists, bounds(spark, ranked, grid), grids.points(spark, sf_dir, grid), rect_source.rects(spark, grid), *asked)
 
 
-for _g, _built, _asked in (("L", (8, 100), (8, 100)), ("D", (1, 5), (1, 5)), ("D", (1, 5), (1, 2))):
+for _g, _built, _asked in (("L", (8, 100), (8, 100)), ("D", (1, 5), (1, 5)), ("D", (1, 5), (1, 2)), ("W", (1, 5), (1, 5)), ("W", (1, 5), (1, 2))):
     _name = f"majority_fixed_{_g}_{_built[0]}_{_built[1]}_asked_{_asked[0]}_{_asked[1]}"
     QUERIES[_name] = lambda spark, sf_dir, g=_g, b=_built, a=_asked: _fixed(spark, sf_dir, g, b, a)
     ORACLES[_name] = f"{static.hits_sql(_g)}{static.FREQ} select qid, w, freq, cnt from f where freq * {_asked[1]} > cnt * {_asked[0]}"

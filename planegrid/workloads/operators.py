@@ -143,11 +143,16 @@ def _arrays(spark, sf_dir):
 
 
 @_register("op_map_value_histogram", f"{static.hits_sql('D')}{static.FREQ} select qid, w, freq from f")
-def _histogram(spark, sf_dir):
-    f = scan.frequencies(points_in(grids.points(spark, sf_dir, "D"), rect_source.rects(spark, "D")))
+def _histogram(spark, sf_dir, grid="D"):
+    f = scan.frequencies(points_in(grids.points(spark, sf_dir, grid), rect_source.rects(spark, grid)))
     return f.groupBy("qid").agg(F.map_from_entries(F.collect_list(F.struct("w", "freq"))).alias("m")).select("qid", F.explode("m").alias("w", "freq"))
 
 
+@_register("op_map_value_histogram_W", f"{static.hits_sql('W')}{static.FREQ} select qid, w, freq from f")
+def _histogram_whole(spark, sf_dir):
+    return _histogram(spark, sf_dir, "W")
+
+
 @_register("op_string_weight_grid", "select p_partkey, cast(regexp_extract(p_brand, '([0-9]+)', 1) as bigint) as brand, upper(p_type) as kind from part")
 def _strings(spark, sf_dir):
     return _t(spark, sf_dir, "part")[0].select("p_partkey", F.regexp_extract("p_brand", "([0-9]+)", 1).cast("long").alias("brand"), F.upper("p_type").alias("kind"))

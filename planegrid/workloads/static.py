@@ -65,9 +65,9 @@ for _g, _n in (("E", "min_max_rect"), ("S", "argmin_rect"), ("V", "extrema_inten
     add(_n, _g, scan.extrema_in, EXTREMA)
 add("topk_values_rect", "E", lambda h, r: scan.topk_values(h, 5), "select qid, o as ord, w, x, y from (select *, row_number() over (partition by qid order by w, x, y) as o from h) where o <= 5")
 add("topk_largest_rect", "S", lambda h, r: scan.topk_values(h, 3, True), "select qid, o as ord, w, x, y from (select *, row_number() over (partition by qid order by w desc, x, y) as o from h) where o <= 3")
-for _g, _alpha, _inc in (("L", "0.08", False), ("L", "0.5", False), ("L", "0.2", True), ("D", "0.5", False), ("D", "0.2", False), ("D", "0.5", True), ("V", "0.08", False), ("V", "0.1", True)):
+for _g, _alpha, _inc in (("L", "0.08", False), ("L", "0.5", False), ("L", "0.2", True), ("D", "0.5", False), ("D", "0.2", False), ("D", "0.5", True), ("W", "0.5", False), ("W", "0.2", False), ("W", "0.5", True), ("V", "0.08", False), ("V", "0.1", True)):
     add(f"majority_rect_{_g}_{_alpha.replace('.', '')}{'_inclusive' * _inc}", _g, lambda h, r, a=_alpha, i=_inc: scan.majority_in(h, a, i), f"{FREQ} select qid, w, freq, cnt from f where freq::decimal(38,8) {'>=' if _inc else '>'} {_alpha} * cnt")
-for _g in ("L", "D", "V"):
+for _g in ("L", "D", "W", "V"):
     add(f"mode_rect_{_g}", _g, lambda h, r: scan.topk_frequent(h, 1), f"{FREQ} select qid, o as ord, w, freq from (select *, row_number() over (partition by qid order by freq desc, w) as o from f) where o <= 1")
     add(f"topk_frequent_rect_{_g}", _g, lambda h, r: scan.topk_frequent(h, 3), f"{FREQ} select qid, o as ord, w, freq from (select *, row_number() over (partition by qid order by freq desc, w) as o from f) where o <= 3")
 
