@@ -28,11 +28,22 @@ U = np.uint64
 #: Fixed notices, by their names.
 TEMPLATES = {
     "Apache-2.0": "Licensed under the Apache License, Version 2.0.",
+    "AGPL": "GNU Affero General Public License",
+    "Apache-2.0-disclaimer": 'Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.',
+    "BSD": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",
+    "BSD-3-endorsement": "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.",
+    "BSD-disclaimer": 'THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED.',
     "CC-BY-NC-4.0": "Licensed under CC BY-NC 4.0.",
     "CC-BY-SA-4.0": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
     "GPL-3.0": "This work is licensed under the GNU General Public License, version 3.",
+    "GPL-header": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    "ISC": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+    "LGPL": "GNU Lesser General Public License",
     "MIT": "Released under the MIT License.",
+    "MIT-disclaimer": 'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT.',
     "MIT-permission": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction.",
+    "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
+    "Unlicense": "This is free and unencumbered software released into the public domain.",
     "all-rights-reserved": "All rights reserved.",
 }
 _rng = np.random.default_rng(77)
@@ -91,23 +102,28 @@ def scan(df: DataFrame, templates: dict[str, str] = TEMPLATES, containment: floa
     bands = {n: bands_for(n, containment, miss) for n in lengths}
     signature = [[_lane(s, k).min() for k in range(bands[n])] for n, s in known]
 
-    def candidates(shingles: np.ndarray) -> dict[int, np.ndarray]:
-        """By template: places of windows that agree in a band."""
-        out = {t: [] for t in range(len(known))}
-        for k in range(max(bands.values(), default=0)):
-            lane = _lane(shingles, k)
-            for n in lengths:
-                if k < bands[n]:
-                    least = _sliding(lane, window_of(n) - 1)
-                    for t, (length, _) in enumerate(known):
-                        if length == n:
-                            out[t].append(np.flatnonzero(least == signature[t][k]))
-        return {t: np.unique(np.concatenate(x)) for t, x in out.items() if x}
+    every = np.unique(np.concatenate([x for _, x in known])) if known else np.zeros(0, dtype=np.uint64)
+
+    def candidates(shingles: np.ndarray, first: np.ndarray) -> dict[int, np.ndarray]:
+        """By template: places of windows that agree in a band, in rows that have enough of its shingles anywhere."""
+        out = {}
+        hit = np.flatnonzero(np.isin(shingles, every))
+        found, row = shingles[hit], np.searchsorted(first, hit, side="right") - 1
+        for t, (n, wanted) in enumerate(known):
+            mine = np.isin(found, wanted)
+            enough = np.bincount(row[mine], minlength=len(first) - 1) >= containment * len(wanted)
+            if not enough.any():
+                continue
+            at = np.flatnonzero(np.repeat(enough, np.diff(first)))
+            some = shingles[at]
+            agree = [np.flatnonzero(_sliding(_lane(some, k), window_of(n) - 1) == signature[t][k]) for k in range(bands[n])]
+            out[t] = at[np.unique(np.concatenate(agree))]
+        return out
 
     def of_rows(w: vectext.Words) -> list[list[tuple]]:
         shingles = _shingles(w)
         found: list[list[tuple]] = [[] for _ in range(len(w))]
-        for t, places in candidates(shingles).items():
+        for t, places in candidates(shingles, w.first).items():
             n, wanted = known[t]
             rows = np.searchsorted(w.first, places, side="right") - 1
             best: tuple | None = None

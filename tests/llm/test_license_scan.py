@@ -63,3 +63,15 @@ def test_edited_and_odd_texts(spark):
     key = lambda r: (repr(r[0]), r[1])
     assert sorted(((r.doc_id, [(m.first_word, m.stop_word, m.license, m.containment) for m in r.matches]) for r in got), key=key) == sorted(((k, brute(t)) for k, t in rows), key=key)
     assert license_scan.scan(df.limit(0)).count() == 0
+
+
+def test_common_notices_are_found(spark):
+    texts = {
+        "BSD": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1.",
+        "ISC": "Permission to use, copy, modify, and distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+        "MPL-2.0": "# This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy",
+        "LGPL": "it under the terms of the GNU Lesser General Public License as published",
+        "GPL-header": "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version.",
+    }
+    got = license_scan.scan(spark.createDataFrame(list(texts.items()), "doc_id string, text string")).collect()
+    assert {r.doc_id: [m.license for m in r.matches] for r in got} == {k: [k] for k in texts}
