@@ -97,3 +97,12 @@ def test_odd_texts_and_redaction(spark):
             at = max(at, b)
         assert r.text == out + text[at:]
     assert secret_scan.scan(df.limit(0)).count() == 0
+
+
+def test_keys_of_letters_only(spark):
+    keys = ["qWzRtYpLkJhGfDsAxCvB", "nB+vCxZlKjHg/FdSaPoIu", "QwErTyUiOpAsDfGhJkLzXc"]
+    plain = ["internationalization-of-words", "SOME_LONG_CONSTANT_NAME", "Some-Title/With_Capitals", "aCamelCaseNameOfWords", "a/b-" * 20_000 + "long", "=" * 30]
+    df = spark.createDataFrame(list(enumerate(keys + plain)), "k int, text string")
+    got = {r.k: [tuple(s) for s in r.secret_spans] for r in secret_scan.scan(df).collect()}
+    assert got == {k: brute(t)[1] for k, t in enumerate(keys + plain)}
+    assert [bool(got[k]) for k in sorted(got)] == [True] * len(keys) + [False] * len(plain)
