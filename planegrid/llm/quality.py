@@ -25,7 +25,7 @@ from . import runtime
 
 #: Features, in the order of the vector, each with the least standard deviation that it is given (in thousandths):
 #: a feature that is nearly constant in clean texts must not turn small differences into outliers.
-FEATURES = {"word_length": 80, "symbols": 95, "capitals": 110, "repeated_lines": 110, "repeated_words": 100}
+FEATURES = {"word_length": 80, "symbols": 95, "capitals": 110, "repeated_lines": 180, "repeated_words": 130}
 P = len(FEATURES)
 Q = [f"_q{k}" for k in range(P)]
 #: Share of rows that a concentration step keeps, its number of steps, rows that a group needs for an estimate of its own.

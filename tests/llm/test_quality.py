@@ -104,10 +104,6 @@ def test_odd_rows(spark):
     assert quality.rate(df.limit(0)).count() == 0 and quality.keep_good(df.limit(0)).count() == 0
 
 
-def test_repeated_lines_reject_alone(spark):
-    """Five of twelve lines repeat the first short one; nothing else is unlike the other texts."""
-    rows = [(k, " ".join(f"word{k}x{i}" + "\n" * (i % 10 == 9) for i in range(70)), "en", "web") for k in range(100, 300)]
-    lines = [" ".join(f"word999x{10 * j + i}" for i in range(10)) for j in range(6)]
-    rows.append((999, "\n".join(f"{line}\nword999x00" for line in lines), "en", "web"))
-    got = {r.doc_id: r.kept for r in quality.rate(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
-    assert not got.pop(999) and all(got.values())
+def test_symbols_reject_alone():
+    """35 symbols in 100 words are too many if clean texts have none and no scatter."""
+    assert math.sqrt(quality.chi2_point(1 - quality.TAIL, 5)) * quality.FEATURES["symbols"] < 1000 * math.sqrt(0.35)
