@@ -23,8 +23,39 @@ from pyspark.sql import functions as F
 
 from . import runtime
 
-#: Pre-tokens and neighbour pairs that a worker remembers.
-MOST_WORDS, MOST_PAIRS = 700_000, 700_000
+#: Bytes that a worker's memos of pre-tokens and of neighbour pairs may take; pre-tokens beyond LONG characters are not kept.
+WORD_BYTES, PAIR_BYTES, LONG = 48 << 20, 24 << 20, 64
+#: Ids that are decoded at a time.
+STEP = 1 << 17
+
+
+class ByteTable:
+    """The bytes of every id: all that decoding needs."""
+
+    def __init__(self, ranks: dict[bytes, int]):
+        bytes_of = {i: b for b, i in ranks.items()}
+        size = max(bytes_of, default=-1) + 1
+        self.sizes = np.array([len(bytes_of.get(i, b"")) for i in range(size)], dtype=np.int32)
+        self.places = np.concatenate([[0], np.cumsum(self.sizes)])[:-1].astype(np.int32)
+        self.blob = np.frombuffer(b"".join(bytes_of.get(i, b"") for i in range(size)), dtype=np.uint8)
+
+    def lengths(self, ids: np.ndarray) -> np.ndarray:
+        """How many bytes each id stands for."""
+        if len(ids) and (ids.min() < 0 or ids.max() >= len(self.sizes)):
+            raise ValueError("an id is not in the vocabulary")
+        size = self.sizes[ids]
+        if not size.all():
+            raise ValueError("an id is not in the vocabulary")
+        return size
+
+    def decode(self, ids: np.ndarray, size: np.ndarray) -> bytes:
+        """The bytes of all ids end to end; size: their lengths()."""
+        out = []
+        for at in range(0, len(ids), STEP):
+            part, n = ids[at : at + STEP], size[at : at + STEP]
+            ends = np.cumsum(n, dtype=np.int32)
+            out.append(self.blob[np.repeat(self.places[part] - ends + n, n) + np.arange(ends[-1], dtype=np.int32)].tobytes())
+        return b"".join(out)
 
 
 class ByteVocabulary:
@@ -58,15 +89,8 @@ class ByteVocabulary:
                     break
         self.automaton.make_automaton()
         self.lengths = [len(self.bytes_of.get(i, b"")) for i in range(size)]
-        self.sizes = np.array(self.lengths, dtype=np.int64)
-        self.places = np.concatenate([[0], np.cumsum(self.sizes)])[:-1]
-        self.blob = np.frombuffer(b"".join(self.bytes_of.get(i, b"") for i in range(size)), dtype=np.uint8)
-        self.fits = runtime.BoundedCache(self._fits, MOST_PAIRS)
-        self.ids_of = runtime.BoundedCache(self._packed, MOST_WORDS)
-
-    @classmethod
-    def from_file(cls, content: bytes) -> ByteVocabulary:
-        return cls({base64.b64decode(token): int(rank) for token, rank in map(bytes.split, content.splitlines())})
+        self.fits = runtime.BoundedCache(self._fits, PAIR_BYTES, lambda pair, fits: 144)
+        self.ids_of = runtime.BoundedCache(self._packed, WORD_BYTES, lambda piece, ids: 4 * len(piece) + len(ids) if len(piece) <= LONG else None)
 
     def _last_merge(self, token: bytes, rank: int) -> tuple[int, int] | None:
         """The two ids whose merge completes token, or None if the merges never build it."""
@@ -131,17 +155,13 @@ class ByteVocabulary:
         """Little-endian 32-bit ids of a text's pre-tokens."""
         return b"".join(map(self.ids_of.__getitem__, pieces))
 
-    def decode(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """The bytes of all ids end to end, and the place at which each id's bytes start, with the total."""
-        if len(ids) and (ids.min() < 0 or ids.max() >= len(self.sizes) or not self.sizes[ids].all()):
-            raise ValueError("an id is not in the vocabulary")
-        size = self.sizes[ids]
-        ends = np.concatenate([[0], np.cumsum(size)])
-        return self.blob[np.repeat(self.places[ids] - ends[:-1], size) + np.arange(ends[-1])], ends
+
+def _ranks(content: bytes) -> dict[bytes, int]:
+    return {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, content.splitlines())}
 
 
 class _Shared:
-    """A broadcast file; workers that stay alive build its vocabulary once, by its digest."""
+    """A broadcast file; workers that stay alive build what they need of it once, by its digest."""
 
     def __init__(self, df: DataFrame, path: str):
         with open(path, "rb") as f:
@@ -149,14 +169,14 @@ class _Shared:
         self.digest = hashlib.sha256(content).hexdigest()
         self.content = df.sparkSession.sparkContext.broadcast(content)
 
-    def get(self) -> ByteVocabulary:
-        found = _KEPT.get(self.digest)
+    def get(self, kind: type):
+        found = _KEPT.get((kind.__name__, self.digest))
         if found is None:
-            found = _KEPT[self.digest] = ByteVocabulary.from_file(self.content.value)
+            found = _KEPT[kind.__name__, self.digest] = kind(_ranks(self.content.value))
         return found
 
 
-_KEPT: dict[str, ByteVocabulary] = {}
+_KEPT: dict[tuple[str, str], ByteVocabulary | ByteTable] = {}
 
 
 def encode(df: DataFrame, vocabulary: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -169,7 +189,7 @@ def encode(df: DataFrame, vocabulary: str, pattern: str, id_col: str = "doc_id",
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import regex
 
-        vocab, find = shared.get(), regex.compile(pattern).findall
+        vocab, find = shared.get(ByteVocabulary), regex.compile(pattern).findall
         for batch in batches:
             for part in runtime.chunks(batch, 1):
                 rows = [vocab.encode(find(text)) if text else b"" for text in part.column(1).to_pylist()]
@@ -185,20 +205,24 @@ def decode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", ids_col: str
     shared = _Shared(df, vocabulary)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocab = shared.get()
-        step = 1000
+        table = shared.get(ByteTable)
         for batch in batches:
-            for at in range(0, batch.num_rows, step):
-                part = batch.slice(at, step)
-                lists = part.column(1).fill_null([])
-                flat = lists.flatten()
+            lists = batch.column(1).fill_null([])
+            ends = lists.offsets.to_numpy()
+            at = 0
+            while at < batch.num_rows:
+                to = max(at + 1, int(np.searchsorted(ends, ends[at] + STEP, side="right")) - 1)
+                part = lists.slice(at, to - at)
+                flat = part.flatten()
                 if flat.null_count:
                     raise ValueError("an id is null")
-                data, ends = vocab.decode(flat.to_numpy())
-                offsets = lists.offsets.to_numpy()
-                offsets = pa.py_buffer(ends[offsets - offsets[0]].astype(np.int32))
-                decoded = pa.Array.from_buffers(pa.binary(), part.num_rows, [None, offsets, pa.py_buffer(data)])
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), decoded], ["doc_id", "ids", "decoded"])
+                ids = flat.to_numpy()
+                size = table.lengths(ids)
+                places = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])[ends[at : to + 1] - ends[at]]
+                data = pa.py_buffer(table.decode(ids, size))
+                decoded = pa.Array.from_buffers(pa.binary(), to - at, [None, pa.py_buffer(places.astype(np.int32)), data])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, to - at), batch.column(1).slice(at, to - at), decoded], ["doc_id", "ids", "decoded"])
+                at = to
 
     return df.select(F.col(id_col).alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(run, _schema(df, id_col, "ids array<int>, decoded binary"))
 

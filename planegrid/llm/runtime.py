@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,10 +16,13 @@ CHUNK_BYTES = 1 << 20
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Uses spark.checkpoint.dir; only where it is unset (tests on one machine) a temporary folder is set."""
+    """Uses spark.checkpoint.dir; where it is unset, a temporary folder is set on a single machine only."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="planegrid-checkpoint-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all machines share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="planegrid-checkpoint-"))
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -26,6 +31,14 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def stored(df: DataFrame) -> DataFrame:
+    """The same rows, written as Parquet below the shared checkpoint folder, so that readers take only the columns they need."""
+    ensure_checkpoint_dir(df.sparkSession)
+    path = f"{df.sparkSession.sparkContext.getCheckpointDir()}/stored-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def public_file(name: str) -> str:
     import public_tokenizers
 
@@ -54,14 +67,26 @@ def chunks(batch: pa.RecordBatch, text: int) -> Iterator[pa.RecordBatch]:
 
 
 class BoundedCache(dict):
-    """Memo of make(key) that starts anew beyond a number of entries, so a worker's memory stays bounded."""
+    """Memo of make(key) that starts anew beyond a number of bytes, so a worker's memory stays bounded.
+
+    size(key, value): bytes of an entry beside what any entry takes, or None if it is not to be kept.
+    """
+
+    #: What an entry takes at least: its place in the table, the headers of key and value.
+    ENTRY = 200
 
-    def __init__(self, make, most: int):
+    def __init__(self, make, most: int, size):
         super().__init__()
-        self.make, self.most = make, most
+        self.make, self.most, self.size, self.held = make, most, size, 0
 
     def __missing__(self, key):
-        if len(self) >= self.most:
+        value = self.make(key)
+        more = self.size(key, value)
+        if more is None:
+            return value
+        self.held += more + self.ENTRY
+        if self.held > self.most:
             self.clear()
-        value = self[key] = self.make(key)
+            self.held = more + self.ENTRY
+        self[key] = value
         return value
