@@ -33,7 +33,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import runtime, vectext
@@ -58,7 +58,7 @@ def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
     h = w.hashes()
     at, row = vectext.starts(w.first, width)
     short = np.flatnonzero((w.counts > 0) & (w.counts < width))
-    values = np.concatenate([vectext.windows(h, width)[at], vectext.rows(h, w.first)[short]])
+    values = np.concatenate([vectext.windows(h, width)[at], vectext.rows(h, w.first)[0][short]])
     row = np.concatenate([row, short])
     if len(short):
         order = np.argsort(row, kind="stable")
@@ -84,8 +84,13 @@ def _bytes_of(column: pa.Array, width: int) -> np.ndarray:
     return np.frombuffer(column.buffers()[2], dtype=np.uint8, count=len(column) * width, offset=at).reshape(-1, width)
 
 
+def text_mark(text_col: str) -> Column:
+    """Tells the rows of one id apart by their texts."""
+    return F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
+
+
 def sketches(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, n, d, e, labels, bits): set size, 128 bits of the set, sort labels of all trees, two bits a lane."""
+    """(doc_id, mark, n, d, e, labels, bits): set size, 128 bits of the set, sort labels of all trees, two bits a lane."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -99,17 +104,17 @@ def sketches(docs: DataFrame, width: int) -> DataFrame:
                     begin = first[:-1][full]
                     for k in range(LANES):
                         lanes[full, k] = np.minimum.reduceat(((values * _MULTIPLY[k] + _ADD[k]) >> U(32)).astype(np.uint32), begin)
-                    d[full], e[full] = np.add.reduceat(vectext.mix(values), begin), np.bitwise_xor.reduceat(vectext.second(values), begin)
+                    d[full], e[full] = np.add.reduceat(vectext.mix(values), begin), np.bitwise_xor.reduceat(vectext.mix(values ^ U(0x5851F42D4C957F2D)), begin)
                 spread = vectext.mix(lanes.astype(np.uint64) + U(0x9E37))
                 labels = (spread >> U(48)).astype(">u2").view(np.uint8).reshape(len(size), 2 * LANES)
                 two = (spread & U(3)).astype(np.uint8).reshape(len(size), LANES // 4, 4)
                 bits = two[..., 0] | two[..., 1] << 2 | two[..., 2] << 4 | two[..., 3] << 6
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(size), pa.array(d.view(np.int64)), pa.array(e.view(np.int64)), _fixed(labels, 2 * LANES), _fixed(bits, LANES // 4)],
-                    ["doc_id", "n", "d", "e", "labels", "bits"],
+                    [part.column(0), part.column(2), pa.array(size), pa.array(d.view(np.int64)), pa.array(e.view(np.int64)), _fixed(labels, 2 * LANES), _fixed(bits, LANES // 4)],
+                    ["doc_id", "mark", "n", "d", "e", "labels", "bits"],
                 )
 
-    return docs.mapInArrow(run, "doc_id long, n long, d long, e long, labels binary, bits binary")
+    return docs.select("doc_id", "text", text_mark("text").alias("mark")).mapInArrow(run, "doc_id long, mark long, n long, d long, e long, labels binary, bits binary")
 
 
 def _most_apart(percent: int) -> int:
@@ -395,7 +400,7 @@ def _completed(docs: DataFrame, classes: DataFrame, joined: DataFrame, width: in
 
 
 def near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row for each row of df: doc_id, n_shingles, component_id, kept; see the module."""
+    """One row for each row of df: doc_id, n_shingles, component_id, kept, mark (text_mark() of the row); see the module."""
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     sketch = runtime.cut(sketches(docs, width))
     classes = runtime.cut(sketch.where("n > 0 and doc_id is not null").groupBy("d", "e").agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in ("n", "labels", "bits"))))
@@ -410,7 +415,17 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id_col: st
     apart = ends.where("at_a != at_b")
     linked = runtime.cut(_confirmed(apart, texts, width, percent))
     joined = _completed(docs, classes, components(tree.union(linked)), width, percent)
-    member = sketch.select("doc_id", "n", "d", "e")
+    member = sketch.select("doc_id", "mark", "n", "d", "e")
     rep = classes.select("d", "e", F.col("doc_id").alias("node")).join(joined, "node", "left").select("d", "e", F.coalesce("component", "node").alias("component"))
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
-    return member.join(runtime.cut(rep), ["d", "e"], "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("doc_id") == F.coalesce("component", "doc_id"), F.lit(True)).alias("kept"))
+    return member.join(runtime.cut(rep), ["d", "e"], "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("doc_id") == F.coalesce("component", "doc_id"), F.lit(True)).alias("kept"), "mark")
+
+
+def without_near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of df that are kept: a row goes if its own text is in a component with a smaller id.
+
+    Rows that share an id but not a text are told apart.
+    """
+    found = near_duplicates(df, percent, width, id_col, text_col)
+    gone = runtime.cut(found.where("not kept").select(F.col("doc_id").alias("_gone_id"), F.col("mark").alias("_gone_mark")).distinct())
+    return df.join(gone, (F.col(f"`{id_col}`").cast("long") == F.col("_gone_id")) & (text_mark(f"`{text_col}`") == F.col("_gone_mark")), "left_anti")

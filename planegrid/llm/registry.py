@@ -48,7 +48,7 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return neardup.near_duplicates(documents(spark, sf_dir), percent=85)
+    return neardup.near_duplicates(documents(spark, sf_dir), percent=85).drop("mark")
 
 
 def op7_binary_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,8 +6,8 @@ intervals of words.
 
 Every window is hashed, but only windows that may repeat are shuffled. A window's anchor is the smallest hash
 among its runs of size // 2 words, so equal windows have equal anchors, and a window whose anchor occurs in one
-document only can't repeat. Whole copies of a document are settled by their digest beforehand. What is left is
-counted in Spark on 96 bits of hash, and the anchors agree as well.
+document only can't repeat. Whole copies of a document are settled by a digest of their words beforehand. What is
+left is counted in Spark on 96 bits from two independent hashes, and the anchors agree as well.
 
 Rows: a null or empty text has no words and loses none. A null id is smaller than none: its row stays whole and
 removes nothing. Rows that share an id are one document for the rule, and each is judged and returned. Other
@@ -56,16 +56,15 @@ def _digests(docs: DataFrame) -> DataFrame:
         for batch in batches:
             for part in runtime.chunks(batch, 1):
                 w = vectext.words(part.column(1))
-                h = w.hashes()
-                both = [pa.array(vectext.rows(x, w.first).view(np.int64)) for x in (h, vectext.second(h))]
-                yield pa.RecordBatch.from_arrays([part.column(0), *both], ["doc_id", "d", "e"])
+                both = [vectext.rows(w.hashes(family), w.first)[family] for family in (0, 1)]
+                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(x.view(np.int64)) for x in both)], ["doc_id", "d", "e"])
 
     return docs.where("doc_id is not null").mapInArrow(run, "doc_id long, d long, e long")
 
 
 def _tags(hashes: np.ndarray, first: np.ndarray) -> np.ndarray:
     """31 bits of each row's words, to tell rows with one id apart; shifted past a place."""
-    return (vectext.rows(hashes, first) >> U(33)).astype(np.int64) << 32
+    return (vectext.rows(hashes, first)[0] >> U(33)).astype(np.int64) << 32
 
 
 def _anchor_rows(docs: DataFrame, size: int) -> DataFrame:
@@ -112,7 +111,7 @@ def _window_rows(docs: DataFrame, size: int) -> DataFrame:
                     hit[sought] = found
                     late[sought] = found & later[order][safe]
                 at, row, late = at[hit], row[hit], late[hit]
-                one, two = vectext.windows(hashes, size), vectext.windows(vectext.second(hashes), size)
+                one, two = vectext.windows(hashes, size), vectext.windows(w.hashes(1), size, 1)
                 spot = _tags(hashes, w.first)[row] | (at - w.first[row])
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(one[at].view(np.int64)), pa.array((two[at] >> U(32)).astype(np.uint32).view(np.int32)), part.column(0).take(pa.array(row)), pa.array(spot), pa.array(late)],

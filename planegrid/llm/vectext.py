@@ -2,19 +2,24 @@
 
 A word is a maximal run of bytes other than space and \\t \\n \\v \\f \\r; these are single bytes in UTF-8, so
 bytes and code points give the same words. Hashes are polynomials over 2**64 with fixed odd bases, taken from
-prefix sums (Rabin-Karp), then mixed.
+prefix sums (Rabin-Karp), then mixed. Such polynomials agree on some pairs of sequences of a thousand symbols or
+more, whatever the base (Thue-Morse sequences), so they serve only for short runs: longer words and whole rows
+have a cryptographic digest instead. Two families of hashes with bases of their own are independent.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
 
 U = np.uint64
 #: Fixed odd bases; BASE over the bytes of a word, STEP over the words of a window.
-BASE, STEP = U(0x9E3779B97F4A7C15), U(0xD6E8FEB86659FD93)
+BASE, STEP = (U(0x9E3779B97F4A7C15), U(0xC2B2AE3D27D4EB4F)), (U(0xD6E8FEB86659FD93), U(0x9FB21C651E98DF25))
+#: Symbols up to which a polynomial hash is trusted.
+SHORT = 256
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -64,12 +69,22 @@ class Words:
     def counts(self) -> np.ndarray:
         return np.diff(self.first)
 
-    def hashes(self) -> np.ndarray:
-        n = len(self.data)
+    def hashes(self, family: int = 0) -> np.ndarray:
+        """A hash of each word."""
+        n, base = len(self.data), BASE[family]
         sums = np.zeros(n + 1, dtype=np.uint64)
-        np.cumsum((self.data.astype(np.uint64) + U(1)) * powers(BASE, n)[:n], out=sums[1:])
-        raw = (sums[self.end] - sums[self.start]) * powers(inverse(BASE), n)[self.start]
-        return mix(raw + (self.end - self.start).astype(np.uint64) * U(0xA24BAED4963EE407))
+        np.cumsum((self.data.astype(np.uint64) + U(1)) * powers(base, n)[:n], out=sums[1:])
+        raw = (sums[self.end] - sums[self.start]) * powers(inverse(base), n)[self.start]
+        out = mix(raw + (self.end - self.start).astype(np.uint64) * U(0xA24BAED4963EE407))
+        for k in np.flatnonzero(self.end - self.start > SHORT).tolist():
+            out[k] = digest(self.data[self.start[k] : self.end[k]], family)[0]
+        return out
+
+
+def digest(data: np.ndarray, family: int = 0) -> tuple[int, int]:
+    """128 bits of an array's bytes."""
+    found = blake2b(np.ascontiguousarray(data).tobytes(), digest_size=16, salt=b"%d" % family).digest()
+    return int.from_bytes(found[:8], "little"), int.from_bytes(found[8:], "little")
 
 
 #: Besides white space, ASCII punctuation ends a word.
@@ -104,28 +119,28 @@ def words(column: pa.Array, lower: bool = False, space: np.ndarray = _SPACE) ->
     return Words(data, start, end, np.searchsorted(start, offsets))
 
 
-def windows(values: np.ndarray, size: int) -> np.ndarray:
+def windows(values: np.ndarray, size: int, family: int = 0) -> np.ndarray:
     """A hash of every run of size values, by its first place; runs may cross rows, see starts()."""
     n = len(values)
     if n < size:
         return np.zeros(0, dtype=np.uint64)
+    if size > SHORT:
+        parts, out = windows(values, SHORT, family), np.zeros(n - size + 1, dtype=np.uint64)
+        for at in (*range(0, size - SHORT, SHORT), size - SHORT):
+            out = mix(out * STEP[family] + parts[at : at + len(out)])
+        return out
+    step = STEP[family]
     sums = np.zeros(n + 1, dtype=np.uint64)
-    np.cumsum(values * powers(STEP, n)[:n], out=sums[1:])
-    return mix((sums[size:] - sums[:-size]) * powers(inverse(STEP), n)[: n - size + 1])
-
-
-def rows(values: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """A hash of each row's whole run of values, its length included."""
-    n = len(values)
-    sums = np.zeros(n + 1, dtype=np.uint64)
-    np.cumsum(values * powers(STEP, n)[:n], out=sums[1:])
-    raw = (sums[first[1:]] - sums[first[:-1]]) * powers(inverse(STEP), n)[first[:-1]]
-    return mix(raw + np.diff(first).astype(np.uint64) * U(0xA24BAED4963EE407))
+    np.cumsum(values * powers(step, n)[:n], out=sums[1:])
+    return mix((sums[size:] - sums[:-size]) * powers(inverse(step), n)[: n - size + 1])
 
 
-def second(hashes: np.ndarray) -> np.ndarray:
-    """Other hashes of the same words, so that hashes of runs of both have 128 bits together."""
-    return mix(hashes ^ U(0x5851F42D4C957F2D))
+def rows(values: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """128 bits of each row's whole run of values, as two arrays; a row without values has zeros."""
+    bounds = first.tolist()
+    found = [digest(values[a:b]) if b > a else (0, 0) for a, b in zip(bounds[:-1], bounds[1:])]
+    both = np.array(found, dtype=np.uint64).reshape(-1, 2)
+    return both[:, 0].copy(), both[:, 1].copy()
 
 
 def starts(first: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:

@@ -66,8 +66,8 @@ def test_odd_rows(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string").select("*", F.lit(1).alias("d"), F.lit(2).alias("labels"))
     assert got(df, 80) == sorted(brute.near_duplicates(rows, 80))
     again = spark.createDataFrame([(4, "a b c"), (4, "a b c"), (None, "a b c"), (7, "A B C")], "doc_id long, text string")
-    assert sorted(tuple(r) for r in neardup.near_duplicates(again).collect() if r.doc_id) == [(4, 1, 4, True), (4, 1, 4, True), (7, 1, 4, False)]
-    assert [tuple(r) for r in neardup.near_duplicates(again).collect() if r.doc_id is None] == [(None, 1, None, True)]
+    assert sorted(tuple(r)[:4] for r in neardup.near_duplicates(again).collect() if r.doc_id) == [(4, 1, 4, True), (4, 1, 4, True), (7, 1, 4, False)]
+    assert [tuple(r)[:4] for r in neardup.near_duplicates(again).collect() if r.doc_id is None] == [(None, 1, None, True)]
     assert neardup.near_duplicates(df.limit(0)).count() == 0
 
 
@@ -81,3 +81,24 @@ def test_components_of_few_edges(spark):
     edges = [(k, k + 1) for k in range(100, 160)] + [(5, k) for k in range(10, 50)] + [(49, 51), (51, 3), (7, 7)]
     df = spark.createDataFrame(edges, "a long, b long")
     assert sorted(map(tuple, of_few(df).collect())) == sorted(map(tuple, of_few(df, 1).collect())) == sorted(map(tuple, components(df).collect()))
+
+
+def test_rows_of_one_id_are_judged_by_their_own_texts(spark):
+    """A text that nothing repeats stays, also if another row of its id is a copy."""
+    t, u, v = " ".join(f"t{k}" for k in range(60)), " ".join(f"u{k}" for k in range(60)), " ".join(f"t{k}" for k in range(59))
+    rows = [(1, t, 1), (2, t, 2), (2, u, 3), (3, v, 4), (None, u, 5), (4, None, 6), (4, "", 7)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, mark int")
+    kept = neardup.without_near_duplicates(df)
+    assert kept.columns == df.columns and sorted(r.mark for r in kept.collect()) == [1, 3, 5, 6, 7]
+
+
+def thue_morse(n):
+    return [bin(k).count("1") % 2 for k in range(n)]
+
+
+def test_sequences_on_which_polynomial_hashes_agree(spark):
+    """Neither words nor texts whose symbols follow a Thue-Morse sequence and its complement are taken for copies."""
+    one = thue_morse(4096)
+    texts = ["".join("ab"[x ^ flip] for x in one) for flip in (0, 1)] + ["".join("ab"[x ^ flip] for x in one) + " c d e f g" for flip in (0, 1)]
+    got = neardup.near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert all(r.kept for r in got)

@@ -47,3 +47,20 @@ def test_random_texts_with_few_words(spark, size):
 def test_empty_table(spark):
     df = spark.read.parquet(f"{SF}/documents.parquet").limit(0)
     assert substrings.remove_repeats(df).count() == 0 and substrings.without_repeats(df).count() == 0
+
+
+def test_sequences_on_which_polynomial_hashes_agree(spark):
+    """Texts without a common window, though words follow a Thue-Morse sequence and its complement, keep all words."""
+    signs = [bin(k).count("1") % 2 for k in range(4096)]
+    blocks = ["alpha " * 30 + "beta " * 7, "gamma " * 30 + "delta " * 7]
+    rows = [(flip, "".join(blocks[x ^ flip].replace("alpha", "a%d" % (k % 3 * 0)) for k, x in enumerate(signs[:256]))) for flip in (0, 1)]
+    rows += [(2 + flip, " ".join("xy"[x ^ flip] + "z" * 3 for x in signs)) for flip in (0, 1)]
+    rows += [(4 + flip, " ".join("".join("ab"[x ^ flip] for x in signs) + str(k) for k in range(60))) for flip in (0, 1)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert got(df, 50) == want(rows, 50)
+
+
+def test_windows_longer_than_a_polynomial_is_trusted_for(spark):
+    words = [f"w{k}" for k in range(700)]
+    rows = [(1, " ".join(words)), (2, "x " + " ".join(words[:500])), (3, " ".join(words[400:]))]
+    assert got(spark.createDataFrame(rows, "doc_id long, text string"), 300) == want(rows, 300)
