@@ -2,10 +2,14 @@
 
 Every text gets counts (words, symbols, repeated lines, words in repeated three-word windows) and a vector of
 five transformed shares. For each language and source a minimum-covariance-determinant estimate gives a centre
-and a scatter that junk does not move: starting from medians and median deviations, concentration steps take the
-rows nearest by Mahalanobis distance and fit again, and a last step reweights. A text goes if a base rule fails
-or its squared distance is beyond a chi-square cutoff. Groups with too few rows use their language's estimate,
-then that of all rows. Only DataFrame expressions are used.
+and a scatter that junk does not move: of a fixed share of the rows, those whose scatter has the least determinant.
+Three deterministic starts (medians and median deviations; means and scatter of all rows; the same of rows cut off
+at two deviations) are each improved by concentration steps, which take the rows nearest by Mahalanobis distance
+and fit again, until the determinant stops falling; the start that ends at the least one counts, and a last step
+reweights. Every scatter is regularised by a fixed diagonal (as in minimum regularised covariance determinants),
+because features that hardly vary would make it singular. A text goes if a base rule fails or its squared distance
+is beyond a chi-square cutoff. Groups with too few rows use their language's estimate, then that of all rows. Only
+DataFrame expressions are used.
 
 The shares are rounded to thousandths, so sums are exact integers and quantiles come from counts of a bounded
 number of values: results do not depend on the order of rows, and hot groups are pre-aggregated.
@@ -28,8 +32,10 @@ from . import runtime
 FEATURES = {"word_length": 80, "symbols": 95, "capitals": 110, "repeated_lines": 180, "repeated_words": 130}
 P = len(FEATURES)
 Q = [f"_q{k}" for k in range(P)]
-#: Share of rows that a concentration step keeps, its number of steps, rows that a group needs for an estimate of its own.
-SHARE, STEPS, ENOUGH = 0.7, 3, 60
+#: Share of rows that a concentration step keeps, rows that a group needs for an estimate of its own.
+SHARE, ENOUGH = 0.7, 60
+#: A determinant has stopped falling if its logarithm falls by less.
+SETTLED = 1e-6
 #: Tail probability of the cutoff.
 TAIL = 1e-5
 #: Groups up to this many are broadcast (about 250 bytes each); more are joined by key.
@@ -106,77 +112,101 @@ def statistics(df: DataFrame, text_col: str = "text", lang_col: str = "lang", so
         share("n_repeat_words", "n_words"),
     ]
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    group = F.to_json(F.struct(F.col(lang_col).cast("string").alias("lang"), F.col(source_col).cast("string").alias("source")))
-    wide = F.to_json(F.struct(F.col(lang_col).cast("string").alias("lang")))
+    # nulls are written out, so that a group with one is not mistaken for a wider group
+    key = lambda **columns: F.to_json(F.struct(*(F.col(c).cast("string").alias(name) for name, c in columns.items())), {"ignoreNullFields": "false"})
+    group, wide = key(lang=lang_col, source=source_col), key(lang=lang_col)
     return df.withColumns(dict(zip(Q, features)) | {"base_failed": failed, "_group": group, "_wide": wide}).drop("_t", "_w", "_lines", "_capitals", "_n_lines")
 
 
 _CENTER = [f"_c{i}" for i in range(P)]
+#: Lower triangles: of the Cholesky factor of a scatter, and of the scatter's inverse.
 _FACTOR = {(i, k): f"_l{i}{k}" for i in range(P) for k in range(i + 1)}
+_INVERSE = {(i, k): f"_p{i}{k}" for i, k in _FACTOR}
 
 
-def _with_distance(rows: DataFrame) -> DataFrame:
-    """Adds _far, the squared Mahalanobis distance, by forward substitution in the Cholesky factor; the values between
-    are columns, so that each is worked out once.
-    """
-    for i in range(P):
-        rest = F.col(Q[i]) - F.col(_CENTER[i])
-        for k in range(i):
-            rest = rest - F.col(_FACTOR[i, k]) * F.col(f"_z{k}")
-        rows = rows.withColumn(f"_z{i}", rest / F.col(_FACTOR[i, i]))
-    far = sum((F.col(f"_z{i}") * F.col(f"_z{i}") for i in range(1, P)), F.col("_z0") * F.col("_z0"))
-    # a filter on the distance must stay above: pushed down, it would repeat all that the distance is made of, many times over
-    return rows.withColumn("_far", far + F.monotonically_increasing_id() * F.lit(0)).drop(*(f"_z{i}" for i in range(P)))
+#: The squared Mahalanobis distance, as one flat sum, so that pushing a filter down doesn't unfold it.
+_FAR = " + ".join(f"({Q[i]} - {_CENTER[i]}) * ({Q[k]} - {_CENTER[k]}) * {name} * {1 if i == k else 2}" for (i, k), name in _INVERSE.items())
+
+
+def _inverted(found: DataFrame) -> DataFrame:
+    """found: _CENTER, _FACTOR and other columns. Adds _INVERSE and _det, the logarithm of the determinant; _FACTOR goes."""
+    m = {(i, k): f"_m{i}{k}" for i, k in _FACTOR}  # of the factor's inverse, by diagonals
+    for gap in range(P):
+        each = []
+        for i in range(gap, P):
+            k = i - gap
+            before = " + ".join(f"{_FACTOR[i, j]} * {m[j, k]}" for j in range(k, i))
+            each.append(f"{f'-({before})' if before else '1'} / {_FACTOR[i, i]} as {m[i, k]}")
+        found = found.selectExpr("*", *each)
+    det = " + ".join(f"2 * ln({_FACTOR[i, i]})" for i in range(P))
+    inverse = [f"{' + '.join(f'{m[j, i]} * {m[j, k]}' for j in range(i, P))} as {name}" for (i, k), name in _INVERSE.items()]
+    return found.selectExpr("*", f"{det} as _det", *inverse).drop(*_FACTOR.values(), *m.values())
 
 
 def _fitted(sums: DataFrame, inflate: float) -> DataFrame:
-    """sums: _key, _n, _s{i}, _s{i}_{k}. Centre and Cholesky factor of the inflated scatter with its floor."""
-    n = F.col("_n")
-    sums = sums.withColumns({_CENTER[i]: F.col(f"_s{i}") / n for i in range(P)})
+    """sums: the keys, _n, _rows, _s{i}, _s{i}_{k}. Centre, inverse and determinant of the inflated scatter with its floor."""
+    sums = runtime.cut(sums)  # one row for each group and start
+    sums = sums.selectExpr("*", *(f"_s{i} / _n as {_CENTER[i]}" for i in range(P)))
     floors = [x * x for x in FEATURES.values()]
-    for i in range(P):
-        for k in range(i + 1):
-            value = (F.col(f"_s{i}_{k}") / n - F.col(_CENTER[i]) * F.col(_CENTER[k])) * inflate
-            if i == k:
-                value = F.greatest(value, F.lit(0.0)) + F.lit(float(floors[i]))
-            for j in range(k):
-                value = value - F.col(_FACTOR[i, j]) * F.col(_FACTOR[k, j])
-            value = F.sqrt(F.greatest(value, F.lit(1.0))) if i == k else value / F.col(_FACTOR[k, k])
-            sums = sums.withColumn(_FACTOR[i, k], value)
-    return sums.select("_key", "_rows", *_CENTER, *_FACTOR.values())
+
+    def rest(i: int, k: int) -> str:
+        value = f"(_s{i}_{k} / _n - {_CENTER[i]} * {_CENTER[k]}) * {inflate!r}D"
+        value = f"greatest({value}, 0D) + {floors[i]}" if i == k else value
+        return value + "".join(f" - {_FACTOR[i, j]} * {_FACTOR[k, j]}" for j in range(k))
+
+    for k in range(P):
+        sums = sums.selectExpr("*", f"sqrt(greatest({rest(k, k)}, 1D)) as {_FACTOR[k, k]}")
+        if k < P - 1:
+            sums = sums.selectExpr("*", *(f"({rest(i, k)}) / {_FACTOR[k, k]} as {_FACTOR[i, k]}" for i in range(k + 1, P)))
+    return _inverted(sums.select("_key", "_start", "_rows", *_CENTER, *_FACTOR.values()))
+
+
+def _sums(rows: DataFrame, q: list[str] = Q) -> DataFrame:
+    """Exact: features are integers below 2**15 in size. q: the columns that stand for the features."""
+    cross = [f"sum(cast({q[i]} as bigint) * {q[k]}) as _s{i}_{k}" for i in range(P) for k in range(i + 1)]
+    each = ["count(*) as _n", "first(_rows) as _rows", *(f"sum({q[i]}) as _s{i}" for i in range(P)), *cross]
+    return rows.groupBy("_key", "_start").agg(*map(F.expr, each))
 
 
-def _sums(rows: DataFrame) -> DataFrame:
-    """Exact: features are integers below 2**15 in size."""
-    cross = [F.sum(F.col(Q[i]).cast("long") * F.col(Q[k])).alias(f"_s{i}_{k}") for i in range(P) for k in range(i + 1)]
-    return rows.groupBy("_key").agg(F.count("*").alias("_n"), F.first("_rows").alias("_rows"), *(F.sum(Q[i]).alias(f"_s{i}") for i in range(P)), *cross)
+def _starts(rows: DataFrame) -> DataFrame:
+    """Centres and scatters (_key, _start, ...) to start from, by medians, by all rows, and by rows cut off at two deviations."""
+    middle = runtime.cut(rows.groupBy("_key").agg(F.expr("count(*) as _rows"), *(F.expr(f"percentile({q}, 0.5D) as {c}") for q, c in zip(Q, _CENTER))))
+    wide = rows.join(_small(middle), "_key").groupBy("_key").agg(*(F.expr(f"percentile(abs({q} - {c}), 0.5D) as _d{i}") for i, (q, c) in enumerate(zip(Q, _CENTER))))
+    root = [f"sqrt(pow(1.4826D * _d{i}, 2) + {x * x}) as _r{i}" for i, x in enumerate(FEATURES.values())]
+    middle = runtime.cut(middle.join(wide, "_key").selectExpr("_key", "_rows", *_CENTER, *root))
+    first = _inverted(middle.selectExpr("_key", "0 as _start", "_rows", *_CENTER, *(f"{f'_r{i}' if i == k else '0D'} as {name}" for (i, k), name in _FACTOR.items())))
+    near = rows.join(_small(middle), "_key")
+    every = _fitted(_sums(near.selectExpr("*", "1 as _start")), 1.0)
+    cut_off = [f"cast(round(greatest(least({q}, {c} + 2 * _r{i}), {c} - 2 * _r{i})) as int) as _u{i}" for i, (q, c) in enumerate(zip(Q, _CENTER))]
+    inner = _fitted(_sums(near.selectExpr("*", "2 as _start", *cut_off), [f"_u{i}" for i in range(P)]), 1.0)
+    return first.unionByName(every).unionByName(inner)
 
 
 def estimates(stats: DataFrame) -> DataFrame:
-    """Rows (_group, centre, factor): the estimate that each group uses, from rows of statistics()."""
-    rows = stats.where(~F.col("base_failed")).select(F.explode(F.array(F.col("_group"), F.col("_wide"), F.lit("{}"))).alias("_key"), *Q)
-    middle = runtime.cut(rows.groupBy("_key").agg(F.count("*").alias("_rows"), *(F.percentile(q, F.lit(0.5)).alias(c) for q, c in zip(Q, _CENTER))))
-    spread = [F.percentile(F.abs(F.col(q) - F.col(c)), F.lit(0.5)).alias(f"_d{i}") for i, (q, c) in enumerate(zip(Q, _CENTER))]
-    wide = rows.join(_small(middle), "_key").groupBy("_key").agg(*spread)
-    floors = list(FEATURES.values())
-    start = middle.join(wide, "_key").select("_key", "_rows", *_CENTER, *((F.sqrt(F.pow(1.4826 * F.col(f"_d{i}"), 2) + float(floors[i] ** 2)) if i == k else F.lit(0.0)).alias(name) for (i, k), name in _FACTOR.items()))
-    now = runtime.cut(start)
+    """Rows (_group, centre, inverse): the estimate that each group uses, from rows of statistics()."""
+    rows = stats.where("not base_failed").selectExpr("explode(array(_group, _wide, '{}')) as _key", *Q)
+    own = [*_CENTER, *_INVERSE.values()]
+    state = runtime.cut(_starts(rows).selectExpr("_key", "_start", "_rows", *own, "double('inf') as _det", "false as _done"))
     inflate = SHARE / _chi2_below(chi2_point(SHARE, P), P + 2)
-    for _ in range(STEPS):
-        far = _with_distance(rows.join(_small(now), "_key"))
+    small = F.broadcast if state.count() <= MOST_BROADCAST else lambda groups: groups
+    while not (going := state.where("not _done")).isEmpty():
         # distances count in hundredths up to 200, so a quantile is of a bounded number of values
-        far = far.withColumn("_far", F.floor(F.least(F.sqrt("_far"), F.lit(200.0)) * 100).cast("int"))
-        limit = runtime.cut(far.groupBy("_key").agg(F.percentile("_far", F.lit(SHARE)).alias("_limit")))
-        now = runtime.cut(_fitted(_sums(far.join(_small(limit), "_key").where("_far <= _limit")), inflate))
+        far = rows.join(small(going.drop("_det", "_done")), "_key").selectExpr("_key", "_start", "_rows", f"cast(floor(least(sqrt({_FAR}), 200D) * 100) as int) as _at", *Q)
+        limit = runtime.cut(far.groupBy("_key", "_start").agg(F.expr(f"percentile(_at, {SHARE!r}D) as _limit")))
+        fresh = _fitted(_sums(far.join(small(limit), ["_key", "_start"]).where("_at <= _limit")), inflate)
+        fresh = fresh.select("_key", "_start", F.struct(*own, "_det").alias("_new"))
+        # a step that doesn't lower the determinant is not taken, and ends the start's steps
+        falls = f"coalesce(_new._det < _det - {SETTLED!r}D, false)"
+        state = runtime.cut(state.join(small(fresh), ["_key", "_start"], "left").selectExpr("_key", "_start", "_rows", *(f"if({falls}, _new.{c}, {c}) as {c}" for c in (*own, "_det")), f"not {falls} as _done"))
+    best = state.groupBy("_key").agg(F.expr("min_by(struct(*), struct(_det, _start)) as best")).select("best.*").drop("_det", "_done")
     weight = 0.975 / _chi2_below(chi2_point(0.975, P), P + 2)
-    near = _with_distance(rows.join(_small(now), "_key")).where(F.col("_far") <= chi2_point(0.975, P))
-    final = runtime.cut(_fitted(_sums(near), weight))
+    near = rows.join(small(best), "_key").where(f"{_FAR} <= {chi2_point(0.975, P)!r}D")
+    final = runtime.cut(_fitted(_sums(near), weight).drop("_start", "_det"))
     groups = stats.select("_group", "_wide").distinct()
-    own, lang, every = (final.select(F.col("_key").alias(key), F.struct(*[c for c in final.columns if c != "_key"]).alias(name)) for key, name in (("_group", "own"), ("_wide", "lang"), ("_all", "every")))
-    every = every.where("_all = '{}'").select("every")
-    use = groups.join(own, "_group", "left").join(lang, "_wide", "left").join(F.broadcast(every), F.lit(True), "left")  # one row at most
-    use = use.select("_group", F.when(F.col("own._rows") >= ENOUGH, F.col("own")).when(F.col("lang._rows") >= ENOUGH, F.col("lang")).otherwise(F.col("every")).alias("use"))
-    return runtime.cut(use.select("_group", "use.*").drop("_rows"))
+    every = final.where("_key = '{}'").selectExpr(f"struct(_rows, {', '.join(own)}) as every")  # one row at most
+    found, lang = (final.selectExpr(f"_key as {key}", f"struct(_rows, {', '.join(own)}) as {name}") for key, name in (("_group", "found"), ("_wide", "lang")))
+    use = groups.join(found, "_group", "left").join(lang, "_wide", "left").join(F.broadcast(every), F.lit(True), "left")
+    return runtime.cut(use.selectExpr("_group", f"case when found._rows >= {ENOUGH} then found when lang._rows >= {ENOUGH} then lang else every end as use").select("_group", "use.*").drop("_rows"))
 
 
 def _small(groups: DataFrame) -> DataFrame:
@@ -185,21 +215,20 @@ def _small(groups: DataFrame) -> DataFrame:
 
 def judged(stats: DataFrame, use: DataFrame) -> DataFrame:
     """stats with distance (null without an estimate) and kept."""
-    rows = _with_distance(stats.join(_small(use), "_group", "left")).withColumn("distance", F.sqrt("_far"))
-    near = F.coalesce(F.col("_far") <= chi2_point(1 - TAIL, P), F.lit(True))
-    return rows.withColumn("kept", ~F.col("base_failed") & near).drop(*Q, "_group", "_wide", "_far", *_CENTER, *_FACTOR.values())
+    rows = stats.join(_small(use), "_group", "left").withColumn("distance", F.expr(f"sqrt({_FAR})"))
+    near = F.coalesce(F.col("distance") <= math.sqrt(chi2_point(1 - TAIL, P)), F.lit(True))
+    return rows.withColumn("kept", ~F.col("base_failed") & near).drop(*Q, "_group", "_wide", *_CENTER, *_INVERSE.values())
 
 
 def rate(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """One row for each row of df: doc_id, COUNTS, base_failed, kept, distance."""
     named = df.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), F.col(source_col).alias("source"))
-    stats = runtime.cut(statistics(named).drop("text", "lang", "source"))
+    stats = runtime.stored(statistics(named).drop("text", "lang", "source"))
     return judged(stats, estimates(stats)).select("doc_id", *COUNTS, "base_failed", "kept", "distance")
 
 
 def keep_good(df: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
-    """The rows of df that are kept, with df's columns. Texts are looked at twice rather than shuffled."""
-    named = df.select(F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), F.col(source_col).alias("source"))
-    use = estimates(runtime.cut(statistics(named).select("_group", "_wide", "base_failed", *Q)))
+    """The rows of df that are kept, with df's columns. Rows are written once with their statistics, which the estimates read without the rows."""
     inside = df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_row"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), F.col(source_col).alias("source"))
-    return judged(statistics(inside), use).where("kept").select("_row.*")
+    stats = runtime.stored(statistics(inside).select("_row", "_group", "_wide", "base_failed", *Q))
+    return judged(stats, estimates(stats)).where("kept").select("_row.*")

@@ -44,11 +44,21 @@ def far(x, estimate):
 
 
 def mcd(x):
+    """Of three starts, each improved until its determinant stops falling, the one that ends at the least."""
     c = np.median(x, axis=0)
-    now = c, np.diag((1.4826 * np.median(abs(x - c), axis=0)) ** 2 + FLOOR**2)
-    for _ in range(quality.STEPS):
-        d = np.floor(np.minimum(far(x, now), 200) * 100 + 1e-9)
-        now = fit(x[d <= np.quantile(d, quality.SHARE)], quality.SHARE / quality._chi2_below(quality.chi2_point(quality.SHARE, 5), 7))
+    dev = np.sqrt((1.4826 * np.median(abs(x - c), axis=0)) ** 2 + FLOOR**2)
+    ends = []
+    for now in ((c, np.diag(dev**2)), fit(x, 1.0), fit(np.floor(np.clip(x, c - 2 * dev, c + 2 * dev) + 0.5), 1.0)):
+        least = math.inf
+        while True:
+            d = np.floor(np.minimum(far(x, now), 200) * 100 + 1e-9)
+            new = fit(x[d <= np.quantile(d, quality.SHARE)], quality.SHARE / quality._chi2_below(quality.chi2_point(quality.SHARE, 5), 7))
+            det = np.linalg.slogdet(new[1])[1]
+            if det >= least - quality.SETTLED:
+                break
+            least, now = det, new
+        ends.append((least, now))
+    now = min(ends, key=lambda e: e[0])[1]
     near = far(x, now) ** 2 <= quality.chi2_point(0.975, 5)
     return fit(x[near], 0.975 / quality._chi2_below(quality.chi2_point(0.975, 5), 7))
 
@@ -104,6 +114,22 @@ def test_odd_rows(spark):
     assert quality.rate(df.limit(0)).count() == 0 and quality.keep_good(df.limit(0)).count() == 0
 
 
+def test_groups_with_nulls_have_estimates_of_their_own(spark):
+    """Rows without a source, or without language and source, neither join nor count again in the wider groups."""
+    rows = []
+    for k, (lang, source) in enumerate((("en", None), ("en", "x"), (None, None), (None, "x"))):
+        rows += [(1000 * k + j, " ".join(f"{'abcdefghij'[: 2 + 2 * k]}{j * m % 997}" for m in range(80 + j)), lang, source) for j in range(1, 110)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    stats = quality.statistics(df).cache()
+    keys = {(r.lang, r.source): (r._group, r._wide) for r in stats.select("lang", "source", "_group", "_wide").distinct().collect()}
+    assert len({g for g, _ in keys.values()}) == 4 and len({w for _, w in keys.values()}) == 2 and not {g for g, _ in keys.values()} & {w for _, w in keys.values()}
+    use = {r._group: r for r in quality.estimates(stats).collect()}
+    for (lang, source), (group, _) in keys.items():
+        x = np.array([features(t) for _, t, a, b in rows if (a, b) == (lang, source) and 2 * counts(t)[5] <= counts(t)[1]], dtype=float)
+        assert len(x) >= quality.ENOUGH
+        assert np.allclose([use[group][c] for c in quality._CENTER], mcd(x)[0], atol=1e-6)
+
+
 def test_symbols_reject_alone():
     """35 symbols in 100 words are too many if clean texts have none and no scatter."""
     assert math.sqrt(quality.chi2_point(1 - quality.TAIL, 5)) * quality.FEATURES["symbols"] < 1000 * math.sqrt(0.35)
