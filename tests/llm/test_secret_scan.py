@@ -65,6 +65,7 @@ ODD = [
     "123e4567-e89b-12d3-a456-426614174000 wJalrXUtnFEMI/K7MDENG/bPxRfiCYEXAMPLEKEY",
     "aaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaZx9Qw8Er7Ty6Ui5Op4Lk3Jh2bbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbbQ1w2E3r4T5y6U7i8O9p0AsDf",
     "ſecret=abcdefgh toKen=abcdefgh",
+    "qzjxkvbwpyhfmugdtrnlceaisoqzjxkv QZJXKVBWPYHFMUGDTRNLCEAISOQZJXKV",
 ]
 
 
