@@ -108,6 +108,26 @@ def _piece_counts(counts: DataFrame, shared) -> np.ndarray:
     return out
 
 
+def _learned(counts: DataFrame, shared, ends: int) -> tuple[np.ndarray, float]:
+    """Natural logarithms of the probabilities of all pieces, by id, and of the end."""
+    pieces = _piece_counts(counts, shared) + 0.5
+    total = pieces.sum() + ends + 0.5
+    return np.log(pieces / total), math.log((ends + 0.5) / total)
+
+
+def _training(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    text = F.col(text_col).cast("string")
+    return df.select(F.col(id_col).alias("doc_id"), text.alias("text"), is_training(F.col(id_col)).alias("train"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("mark"))
+
+
+def learned_scores(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> np.ndarray:
+    """Natural logarithms of the probabilities of the vocabulary's pieces, by id, learned from df's training rows."""
+    with open(vocabulary, "rb") as f:
+        shared = df.sparkSession.sparkContext.broadcast(f.read())
+    docs = _training(df, id_col, text_col).where("train")
+    return _learned(runtime.cut(_counted(docs)), shared, docs.count())[0]
+
+
 class Lattice:
     """log_p: natural logarithms of the probabilities of all pieces, by id."""
 
@@ -223,15 +243,12 @@ def score(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str
     with open(vocabulary, "rb") as f:
         content = f.read()
     shared = spark.sparkContext.broadcast(content)
-    text = F.col(text_col).cast("string")
-    docs = df.select(F.col(id_col).alias("doc_id"), text.alias("text"), is_training(F.col(id_col)).alias("train"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("mark"))
+    docs = _training(df, id_col, text_col)
     counts = runtime.cut(_counted(docs))
     ends = docs.where("train").count()
     words, kinds = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count_if(F.col("c") > 0)).first()
     total, kinds = words + ends, kinds + (ends > 0)
-    pieces = _piece_counts(counts, shared) + 0.5
-    log_p = np.log(pieces / (pieces.sum() + ends + 0.5))
-    log_end = math.log10((ends + 0.5) / (pieces.sum() + ends + 0.5))
+    log_p, log_end = _learned(counts, shared, ends)
     base_end = math.log10((ends + 0.5) / (total + 0.5 * (kinds + 1)))
     scored = runtime.cut(_scored(counts, shared, log_p, total, kinds))
     head = spark.sparkContext.broadcast(_frequent(scored))
@@ -248,5 +265,5 @@ def score(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str
         (whole("known") + F.lit(int(ends > 0))).alias("n_known"),
         F.lit(total).cast("long").alias("train_tokens"),
         ((whole("base") + F.lit(round(base_end * SCALE))) / float(SCALE)).alias("base_score"),
-        ((whole("score") + F.lit(round(log_end * SCALE))) / float(SCALE)).alias("score"),
+        ((whole("score") + F.lit(round(log_end / math.log(10) * SCALE))) / float(SCALE)).alias("score"),
     )

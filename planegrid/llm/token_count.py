@@ -2,24 +2,24 @@
 
 A pre-token is a word with the vocabulary's boundary mark before it; its token count is that of its best
 segmentation, the one with the largest sum of piece scores (fewer tokens on ties). A worker inserts the distinct
-pre-tokens that it has not met into a trie and walks it in depth-first order, which is the pre-tokens' sorted
-order; the forward scores of a prefix are worked out once for all pre-tokens below it, and what is kept for each
-terminal is its count.
+pre-tokens into a trie. A node stands for a prefix and holds the prefix's forward score, worked out once when the
+node is made from those of the nodes above it; so it serves all pre-tokens below, also those that come later. A
+terminal's token count is stored with its node.
 
-The vocabulary file gives its pieces in merge order without probabilities; the score of the piece at place k is
--ln(k + 2), as frequencies of such pieces fall about inversely with their rank. A character without a piece is
-spelled by the byte pieces, one token each.
+The vocabulary file gives pieces without probabilities. Scores are those that the language-model operator learns
+for the same pieces from the training rows of a table, or any others given by piece id. A character without a
+piece is spelled by the byte pieces, one token each.
 
 Rows: a null or empty text has no pre-tokens and no tokens. Repeated rows and null ids are counted each. Texts
-are handled where they lie: nothing is shuffled. Other columns are not carried along, whatever their names.
+are handled where they lie: no text is shuffled. Other columns are not carried along, whatever their names.
 """
 
 from __future__ import annotations
 
 import hashlib
-import math
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,81 +27,100 @@ from pyspark.sql.types import StructType
 
 from . import runtime
 
-#: Pre-tokens whose counts a worker remembers.
-MOST_WORDS = 500_000
-_KEPT: dict[str, PrefixCounter] = {}
+#: Nodes that a worker's trie may have (about 400 bytes each) before it starts anew; characters of a pre-token that it holds.
+MOST_NODES, DEEP = 300_000, 200
+MARK = "▁"
+_KEPT: dict[str, PrefixTrie] = {}
 
 
-class PrefixCounter:
-    """scores: of the pieces; byte_score: of each byte of a character without a piece."""
+class PrefixTrie:
+    """scores: of the pieces; byte_scores: of the 256 byte pieces.
 
-    def __init__(self, scores: dict[str, float], byte_score: float):
-        self.scores, self.byte_score = scores, byte_score
+    A node is [children by character, forward score, minus the tokens used]; the score and tokens are those of the
+    best segmentation of the node's prefix, so a pre-token's count stands in its terminal.
+    """
+
+    def __init__(self, scores: dict[str, float], byte_scores: list[float]):
+        self.scores, self.byte_scores = scores, byte_scores
         self.longest = max(map(len, scores), default=1)
-        self.known: dict[str, int] = {}
+        self.clear()
+
+    def clear(self) -> None:
+        self.root: list = [{}, 0.0, 0]
+        self.nodes = 1
 
     @classmethod
-    def from_model(cls, content: bytes) -> PrefixCounter:
+    def from_model(cls, content: bytes, log_p: np.ndarray) -> PrefixTrie:
         import sentencepiece
 
         model = sentencepiece.SentencePieceProcessor(model_proto=content)
-        ids = [i for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_unused(i))]
-        whole = [i for i in ids if not model.is_byte(i)]
-        return cls({model.id_to_piece(i): -math.log(k + 2) for k, i in enumerate(whole)}, -math.log(len(ids) + 2))
-
-    def walk(self, pretokens: Iterable[str]) -> Iterator[tuple[str, int]]:
-        """Each pre-token with its count; they must come sorted, so that shared prefixes follow each other."""
-        path, cells = "", [(0.0, 0)]  # cells[k]: best score of the first k characters, minus the tokens used
-        scores, longest = self.scores, self.longest
-        for word in pretokens:
-            most = min(len(path), len(word))
-            depth = next((k for k in range(most) if path[k] != word[k]), most)
-            del cells[depth + 1 :]
-            for end in range(depth + 1, len(word) + 1):
-                best = None
-                for start in range(max(0, end - longest), end):
-                    if (score := scores.get(word[start:end])) is not None:
-                        before = cells[start]
-                        new = (before[0] + score, before[1] - 1)
-                        if best is None or new > best:
-                            best = new
-                if word[end - 1] not in scores:
-                    n = len(word[end - 1].encode())
-                    new = (cells[end - 1][0] + n * self.byte_score, cells[end - 1][1] - n)
-                    best = new if best is None or new > best else best
-                cells.append(best)
-            path = word
-            yield word, -cells[-1][1]
-
-    def counts(self, texts: list[list[str]]) -> list[int]:
-        known = self.known
-        fresh = {w for words in texts for w in words if w not in known}
-        if len(known) + len(fresh) > MOST_WORDS:
-            known.clear()
-            fresh = {w for words in texts for w in words}
-        known.update((w[1:], n) for w, n in self.walk("▁" + w for w in sorted(fresh)))
+        byte, scores = [0.0] * 256, {}
+        for i in range(model.get_piece_size()):
+            if model.is_byte(i):
+                byte[int(model.id_to_piece(i)[3:5], 16)] = float(log_p[i])
+            elif not (model.is_control(i) or model.is_unknown(i) or model.is_unused(i)):
+                scores[model.id_to_piece(i)] = float(log_p[i])
+        return cls(scores, byte)
+
+    def _best(self, text: str, before: list) -> tuple[float, int]:
+        """Score and minus tokens of a prefix that ends with text; before: the nodes of the prefixes at text's places."""
+        end, scores, best = len(text), self.scores, None
+        for start in range(max(0, end - self.longest), end):
+            if (score := scores.get(text[start:])) is not None:
+                new = (before[start][1] + score, before[start][2] - 1)
+                if best is None or new > best:
+                    best = new
+        last = text[-1]
+        if last not in scores:
+            spelled = last.encode()
+            new = (before[-1][1] + sum(self.byte_scores[b] for b in spelled), before[-1][2] - len(spelled))
+            best = new if best is None or new > best else best
+        return best
+
+    def count(self, word: str) -> int:
+        """Tokens of a pre-token; what is new of it is inserted, as far as it is not too deep."""
+        if self.nodes > MOST_NODES:
+            self.clear()
+        path = [self.root]
+        for k, char in enumerate(word[:DEEP]):
+            node = path[-1][0].get(char)
+            if node is None:
+                node = path[-1][0][char] = [{}, *self._best(word[: k + 1], path)]
+                self.nodes += 1
+            path.append(node)
+        for k in range(DEEP, len(word)):
+            del path[: -self.longest]
+            path.append((None, *self._best(word[k + 1 - len(path) : k + 1], path)))
+        return -path[-1][2]
+
+    def counts(self, texts: list[list[bytes]]) -> list[int]:
+        """Tokens of each text's words. Each distinct word is looked up once."""
+        known = {w: self.count(MARK + w.decode()) for w in set().union(*texts)}
         return [sum(map(known.__getitem__, words)) for words in texts]
 
 
-def count(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def count(df: DataFrame, vocabulary: str, log_p: np.ndarray, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each row of df: doc_id, n_pretokens, n_tokens.
 
-    vocabulary: path on the driver of a sentencepiece model, whose content (under 1 MB) is broadcast.
+    vocabulary: path on the driver of a sentencepiece model, whose content (under 1 MB) is broadcast; log_p: the
+    score of each of its pieces, by id.
     """
     with open(vocabulary, "rb") as f:
         content = f.read()
-    digest = hashlib.sha256(content).hexdigest()
-    shared = df.sparkSession.sparkContext.broadcast(content)
+    log_p = np.ascontiguousarray(log_p, dtype=np.float64)
+    digest = hashlib.sha256(content + log_p.tobytes()).hexdigest()
+    shared = df.sparkSession.sparkContext.broadcast((content, log_p))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if digest not in _KEPT:
-            _KEPT[digest] = PrefixCounter.from_model(shared.value)
-        counter = _KEPT[digest]
+            _KEPT.clear()
+            _KEPT[digest] = PrefixTrie.from_model(*shared.value)
+        trie = _KEPT[digest]
         for batch in batches:
             for part in runtime.chunks(batch, 1):
                 # bytes.split() cuts at the same six bytes as words are defined by
-                texts = [[w.decode() for w in text.encode().split()] if text else [] for text in part.column(1).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(map(len, texts), pa.int64()), pa.array(counter.counts(texts), pa.int64())], ["doc_id", "n_pretokens", "n_tokens"])
+                texts = [text.encode().split() if text else [] for text in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(map(len, texts), pa.int64()), pa.array(trie.counts(texts), pa.int64())], ["doc_id", "n_pretokens", "n_tokens"])
 
     docs = df.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     schema = StructType([docs.schema["doc_id"], *StructType.fromDDL("n_pretokens long, n_tokens long")])
