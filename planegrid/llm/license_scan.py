@@ -23,31 +23,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 from . import runtime, vectext
+from .license_texts import TEXTS
 
 U = np.uint64
-#: Fixed notices, by their names.
-TEMPLATES = {
-    "Apache-2.0": "Licensed under the Apache License, Version 2.0.",
-    "AGPL": "GNU Affero General Public License",
-    "Apache-2.0-disclaimer": 'Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.',
-    "BSD": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",
-    "BSD-3-endorsement": "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.",
-    "BSD-disclaimer": 'THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED.',
-    "CC-BY-NC-4.0": "Licensed under CC BY-NC 4.0.",
-    "CC-BY-SA-4.0": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
-    "GPL-3.0": "This work is licensed under the GNU General Public License, version 3.",
-    "GPL-header": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
-    "ISC": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
-    "LGPL": "GNU Lesser General Public License",
-    "MIT": "Released under the MIT License.",
-    "MIT-disclaimer": 'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT.',
-    "MIT-permission": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction.",
-    "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
-    "Unlicense": "This is free and unencumbered software released into the public domain.",
-    "all-rights-reserved": "All rights reserved.",
-}
-_rng = np.random.default_rng(77)
-_MULTIPLY = _rng.integers(0, 1 << 63, 64, dtype=np.uint64) * U(2) + U(1)
 _NONE = U(0xFFFFFFFFFFFFFFFF)
 
 
@@ -74,7 +52,8 @@ def _shingles(w: vectext.Words) -> np.ndarray:
 
 
 def _lane(shingles: np.ndarray, k: int) -> np.ndarray:
-    out = vectext.mix(shingles * _MULTIPLY[k])
+    """MinHash values of lane k, of which there are as many as asked for."""
+    out = vectext.mix(vectext.mix(shingles ^ U((k + 1) * 0x9E3779B97F4A7C15 % (1 << 64))) * U(0xC2B2AE3D27D4EB4F))
     out[shingles == _NONE] = _NONE
     return out
 
@@ -89,7 +68,7 @@ def _sliding(values: np.ndarray, width: int) -> np.ndarray:
     return least
 
 
-def scan(df: DataFrame, templates: dict[str, str] = TEMPLATES, containment: float = 0.8, miss: float = 1e-5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def scan(df: DataFrame, templates: dict[str, str] = TEXTS, containment: float = 0.8, miss: float = 1e-5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each row of df: doc_id, matches (license, first and stop word, containment), by place."""
     names = sorted(templates)
     known = []

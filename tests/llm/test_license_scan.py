@@ -16,7 +16,7 @@ def brute(text, containment=0.8):
     """All windows of all templates, nothing hashed."""
     w, out = plain(text), []
     pairs = list(zip(w, w[1:]))
-    for name, template in license_scan.TEMPLATES.items():
+    for name, template in license_scan.TEXTS.items():
         t = plain(template)
         wanted, size, best = set(zip(t, t[1:])), license_scan.window_of(len(t)), None
         for at in range(len(w)):
@@ -53,8 +53,8 @@ def test_whole_table(spark):
 
 def test_edited_and_odd_texts(spark):
     rnd = random.Random(2)
-    rows = [(None, None), (1, ""), (1, "All rights"), (2, "ALL -- rights... reserved"), (2, "all rights reserved " * 3), (3, "é " * 50_000 + license_scan.TEMPLATES["MIT"])]
-    for k, t in enumerate(license_scan.TEMPLATES.values()):
+    rows = [(None, None), (1, ""), (1, "All rights"), (2, "ALL -- rights... reserved"), (2, "all rights reserved " * 3), (3, "é " * 50_000 + license_scan.TEXTS["MIT"])]
+    for k, t in enumerate(license_scan.TEXTS.values()):
         w = t.split()
         w[rnd.randrange(len(w))] = "edited"
         rows.append((10 + k, f"some words before {' '.join(w)} and some after"))
@@ -75,3 +75,14 @@ def test_common_notices_are_found(spark):
     }
     got = license_scan.scan(spark.createDataFrame(list(texts.items()), "doc_id string, text string")).collect()
     assert {r.doc_id: [m.license for m in r.matches] for r in got} == {k: [k] for k in texts}
+
+
+def test_whole_texts_and_low_containment(spark):
+    """Bands follow from the containment asked for, however many that takes."""
+    text = " ".join(license_scan.TEXTS["MIT-text"].split()[:90])
+    assert license_scan.bands_for(170, 0.1, 1e-5) > 64
+    df = spark.createDataFrame([(1, "x " * 50 + text + " y" * 50), (2, "nothing of the kind " * 40)], "doc_id int, text string")
+    got = {r.doc_id: {m.license for m in r.matches} for r in license_scan.scan(df, {"MIT-text": license_scan.TEXTS["MIT-text"]}, containment=0.1).collect()}
+    assert got == {1: {"MIT-text"}, 2: set()}
+    whole = spark.createDataFrame([(k, f"Copyright 2020 A. N. Author\n{t}\nint main;") for k, t in license_scan.TEXTS.items()], "doc_id string, text string")
+    assert all(r.doc_id in {m.license for m in r.matches} for r in license_scan.scan(whole).collect())
