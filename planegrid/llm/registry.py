@@ -61,7 +61,8 @@ def packed(docs: DataFrame) -> DataFrame:
 
 
 def op8_token_count(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return token_count.count(documents(spark, sf_dir), runtime.public_file("piece_bpe_32k.model"))
+    docs, path = documents(spark, sf_dir), runtime.public_file("piece_bpe_32k.model")
+    return token_count.count(docs, path, lmscore.learned_scores(docs, path))
 
 
 def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
