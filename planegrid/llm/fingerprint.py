@@ -37,33 +37,66 @@ def _uniforms(term: str, lane: int) -> list[Column]:
     return [bits(one, 0), bits(one, 1), bits(one, 2), bits(two, 0), bits(two, 1)]
 
 
-def _sample(term: str, log_weight: str, lane: int) -> Column:
+def _samples(term: str, log_weights: list[str], lane: int) -> list[Column]:
+    """The lane's value of a term for each weight; null where the weight is. What hangs on the term alone is shared."""
     u = _uniforms(term, lane)
-    r, c, b = -F.log(u[0] * u[1]), -F.log(u[3] * u[4]), u[2]
-    t = F.floor(F.col(log_weight) / r + b)
-    place = F.floor((F.log(c) - r * (t - b) - r + OFFSET) * SCALE)
-    return F.shiftleft(place, 32).bitwiseOR(F.col(term).bitwiseXOR(F.shiftleft(t, 9)).bitwiseAND(F.lit(_MASK)))
+    r, c, b = -F.log(u[0] * u[1]), F.log(-F.log(u[3] * u[4])), u[2]
+    out = []
+    for log_weight in log_weights:
+        t = F.floor(F.col(log_weight) / r + b)
+        place = F.floor((c - r * (t - b + 1) + OFFSET) * SCALE)
+        out.append(F.shiftleft(place, 32).bitwiseOR(F.col(term).bitwiseXOR(F.shiftleft(t, 9)).bitwiseAND(F.lit(_MASK))))
+    return out
 
 
-def lanes(texts: DataFrame, keys: list[str], text_col: str, n_lanes: int = LANES) -> DataFrame:
-    """Rows (keys, lanes array<int>): the samples of each text; keys are unique.
+def _terms(text_cols: list[str]) -> Column:
+    """(term, n0[, n1]) of all distinct words of one or two texts, with their numbers in each.
 
-    A text's terms are counted within its row, so what is shuffled is a row of minima for each text.
+    A term is a hash with its lowest bit cleared; that bit tells the texts apart while all are sorted together.
     """
-    words = F.array_remove(F.split(F.coalesce(F.col(text_col), F.lit("")), r"[\x20\x09-\x0D]+", -1), "")
-    rows = texts.select(*keys, F.sort_array(F.transform(words, lambda w: F.xxhash64(w))).alias("_all"))
-    every = F.col("_all")
-    first = F.filter(F.sequence(F.lit(0), F.size(every) - 1), lambda i: (i == 0) | (every[i] != every[F.greatest(i - 1, F.lit(0))]))
-    rows = rows.withColumn("_first", F.when(F.size(every) > 0, first).otherwise(F.array().cast("array<int>")))
-    begin = F.col("_first")
-    stop = lambda j: F.when(j + 1 < F.size(begin), begin[F.least(j + 1, F.size(begin) - 1)]).otherwise(F.size(every))
-    terms = F.transform(begin, lambda i, j: F.struct(every[i].alias("term"), (stop(j) - i).alias("n")))
-    counted = rows.select(*keys, F.explode_outer(terms).alias("_x")).select(*keys, F.col("_x.term").alias("_term"), F.log("_x.n").alias("_log"))
-    # xxhash64 passes over nulls, so a text without terms has to be told apart
-    sampled = [F.min(F.when(F.col("_term").isNotNull(), _sample("_term", "_log", k))).alias(f"_s{k}") for k in range(n_lanes)]
-    least = counted.groupBy(*keys).agg(*sampled)
-    low = [F.coalesce(F.col(f"_s{k}").bitwiseAND(F.lit(_MASK)) - F.lit(1 << 31), F.lit(-1)).cast("int") for k in range(n_lanes)]
-    return least.select(*keys, F.array(*low).alias("lanes"))
+    hashes = lambda k, c: F.transform(F.array_remove(F.split(F.coalesce(F.col(c), F.lit("")), r"[\x20\x09-\x0D]+", -1), ""), lambda w: F.xxhash64(w).bitwiseAND(F.lit(-2)).bitwiseOR(F.lit(k).cast("long")))
+    let = lambda value, use: F.transform(F.array(value), use)[0]
+    every = F.sort_array(F.concat(*(hashes(k, c) for k, c in enumerate(text_cols))))
+
+    def runs(x: Column) -> Column:
+        """Distinct values of a sorted array, with their numbers."""
+        begin = F.filter(F.sequence(F.lit(0), F.size(x) - 1), lambda i: (i == 0) | (x[i] != x[F.greatest(i - 1, F.lit(0))]))
+        return let(begin, lambda at: F.transform(at, lambda i, j: F.struct(x[i].alias("v"), (F.when(j + 1 < F.size(at), at[F.least(j + 1, F.size(at) - 1)]).otherwise(F.size(x)) - i).alias("n"))))
+
+    def merged(r: Column) -> Column:
+        if len(text_cols) == 1:
+            return F.transform(r, lambda y: F.struct(y["v"].alias("term"), y["n"].alias("n0")))
+        last = F.size(r) - 1
+
+        def one(y: Column, j: Column) -> Column:
+            after, before = r[F.least(j + 1, last)], r[F.greatest(j - 1, F.lit(0))]
+            own = y["v"].bitwiseAND(F.lit(1).cast("long")) == 0
+            both = F.when((j < last) & (after["v"] == y["v"] + 1), after["n"])
+            alone = F.when((j == 0) | (before["v"] != y["v"] - 1), F.struct((y["v"] - 1).alias("term"), F.lit(None).cast("int").alias("n0"), y["n"].alias("n1")))
+            return F.when(own, F.struct(y["v"].alias("term"), y["n"].alias("n0"), both.alias("n1"))).otherwise(alone)
+
+        return F.filter(F.transform(r, one), lambda y: y.isNotNull())
+
+    return let(every, lambda x: F.when(F.size(x) > 0, let(runs(x), merged)))
+
+
+def lanes(texts: DataFrame, keys: list[str], text_cols: list[str], n_lanes: int = LANES) -> DataFrame:
+    """Rows (keys, {text}_lanes array<int> for each text column): the samples of rows with any word.
+
+    Rows that agree in keys must agree in their texts. Terms are counted within their row, and a term that two
+    columns share is hashed once; what is shuffled is a row of minima for each row of texts.
+    """
+    weights = [f"_log{k}" for k in range(len(text_cols))]
+    rows = texts.select(*keys, F.explode(_terms(text_cols)).alias("_x")).select(*keys, F.col("_x.term").alias("_term"), *(F.log(f"_x.n{k}").alias(w) for k, w in enumerate(weights)))
+    sampled = [F.min(x).alias(f"_s{lane}_{k}") for lane in range(n_lanes) for k, x in enumerate(_samples("_term", weights, lane))]
+    least = rows.groupBy(*keys).agg(*sampled)
+    low = lambda lane, k: F.coalesce(F.col(f"_s{lane}_{k}").bitwiseAND(F.lit(_MASK)) - F.lit(1 << 31), F.lit(-1)).cast("int")
+    return least.select(*keys, *(F.array(*(low(lane, k) for lane in range(n_lanes))).alias(f"{c}_lanes") for k, c in enumerate(text_cols)))
+
+
+def _full(found: str, n_lanes: int) -> Column:
+    """Lanes, those of an empty text where there are none."""
+    return F.coalesce(F.col(found), F.array_repeat(F.lit(-1), n_lanes))
 
 
 def likeness(left: Column, right: Column) -> Column:
@@ -77,23 +110,21 @@ def written(found: Column) -> Column:
     return F.array_join(F.transform(found, lambda x: F.lower(F.lpad(F.hex(x.cast("long").bitwiseAND(F.lit(_MASK))), 8, "0"))), "")
 
 
-def _keyed(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(k, free, text): k is the id, or for rows without an id (free) a hash of the text, so that these spread too."""
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return df.select(F.coalesce(F.col(id_col).cast("long"), F.xxhash64(text)).alias("k"), F.col(id_col).isNull().alias("free"), text.alias("text"))
+#: What tells rows apart: the id (for rows without one, free, a hash of the text, so that these spread too), and 128 bits of the text.
+KEYS = ["k", "free", "m0", "m1"]
 
 
-def _numbered(rows: DataFrame) -> DataFrame:
-    return rows.withColumn("nth", F.row_number().over(Window.partitionBy("k").orderBy("free", "text")))
+def _keyed(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(KEYS, text)."""
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    one, two = F.xxhash64(text), F.xxhash64(F.lit(1), text, F.char_length(text))
+    return df.select(F.coalesce(F.col(id_col).cast("long"), one).alias("k"), F.col(id_col).isNull().alias("free"), one.alias("m0"), two.alias("m1"), text.alias("text"))
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n_lanes: int = LANES) -> DataFrame:
-    """Rows (doc_id, lanes, fingerprint), one for each row of df. Equal rows are sampled once."""
-    rows = _keyed(df, id_col, text_col).withColumn("mark", F.sha2("text", 256))
-    # rows that agree in these keys have one text, of which more copies change neither terms nor minima
-    found = lanes(rows.select("k", "free", "mark", "text"), ["k", "free", "mark"], "text", n_lanes)
-    times = rows.groupBy("k", "free", "mark").count()
-    each = found.join(times, ["k", "free", "mark"]).withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("count").cast("int"))))
+    """Rows (doc_id, lanes, fingerprint), one for each row of df. Rows that agree are sampled together."""
+    rows = _keyed(df, id_col, text_col)
+    each = rows.select(*KEYS).join(lanes(rows, KEYS, ["text"], n_lanes), KEYS, "left").withColumn("lanes", _full("text_lanes", n_lanes))
     return each.select(F.when(~F.col("free"), F.col("k")).alias("doc_id"), "lanes", written(F.col("lanes")).alias("fingerprint"))
 
 
@@ -116,25 +147,24 @@ def compare_edited(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     Rows (doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next), one for each row
     of df. Of floor(n_chars / 2) code points at the end, as many of the next document's first ones take the place,
-    or all if it has fewer. Next is the next larger id, and its least text if ids repeat; without an id there is no
-    next document, nothing takes the place, and near_next is null.
+    or all if it has fewer. Next is the next larger id, and of its rows the one with the least hash if ids repeat;
+    without an id there is no next document, nothing takes the place, and near_next is null.
     """
     rows = _keyed(df, id_col, text_col)
     half = (F.char_length("text") / 2).cast("int")
     ids = rows.where("not free").groupBy(F.col("k").alias("doc_id")).agg(F.max(half).alias("half"))
     after = runtime.cut(successors(ids))
-    begins = rows.join(after, F.col("k") == F.col("next_id")).select(F.col("doc_id").alias("k"), F.when(~F.col("free"), F.substring(F.col("text"), F.lit(1), F.col("half"))).alias("begin"))
-    both = _numbered(rows.join(begins.groupBy("k").agg(F.min("begin").alias("begin")), "k", "left"))
+    begins = rows.where("not free").join(after, F.col("k") == F.col("next_id")).select("doc_id", F.struct("m0", "m1", F.substring(F.col("text"), F.lit(1), F.col("half")).alias("begin")).alias("row"))
+    begins = begins.groupBy(F.col("doc_id").alias("k")).agg(F.min("row")["begin"].alias("begin"))
+    both = rows.join(begins, "k", "left")
     n = F.char_length("text")
     begin = F.when(F.col("free"), F.lit("")).otherwise(F.coalesce(F.substring(F.col("begin"), F.lit(1), half), F.lit("")))
-    both = both.select("k", "free", "nth", n.cast("long").alias("n_chars"), "text", F.concat(F.substring(F.col("text"), F.lit(1), n - half), begin).alias("edited"))
-    pair = F.explode(F.array(F.struct(F.lit(0).alias("kind"), F.col("text").alias("text")), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))).alias("x")
-    found = lanes(both.select("k", "nth", pair).select("k", "nth", "x.kind", "x.text"), ["k", "nth", "kind"], "text", n_lanes)
-    of = lambda kind: F.first(F.when(F.col("kind") == kind, F.col("lanes")), ignorenulls=True)
-    found = found.groupBy("k", "nth").agg(of(0).alias("own"), of(1).alias("edited"))
-    found = runtime.cut(both.select("k", "free", "nth", "n_chars", F.sha2("edited", 256).alias("edited_sha256")).join(found, ["k", "nth"]))
+    both = both.select(*KEYS, n.cast("long").alias("n_chars"), "text", F.concat(F.substring(F.col("text"), F.lit(1), n - half), begin).alias("edited"))
+    found = both.select(*KEYS, "n_chars", F.sha2("edited", 256).alias("edited_sha256")).join(lanes(both, KEYS, ["text", "edited"], n_lanes), KEYS, "left")
+    found = runtime.cut(found.select(*KEYS, "n_chars", "edited_sha256", _full("text_lanes", n_lanes).alias("own"), _full("edited_lanes", n_lanes).alias("edited")))
     # each document's lanes go to the one before it
-    nexts = found.where("nth = 1 and not free").join(after, F.col("k") == F.col("next_id")).select(F.col("doc_id").alias("k"), F.lit(False).alias("free"), F.col("own").alias("next"))
+    nexts = found.where("not free").groupBy("k").agg(F.min(F.struct("m0", "m1", "own"))["own"].alias("next")).join(after, F.col("k") == F.col("next_id"))
+    nexts = nexts.select(F.col("doc_id").alias("k"), F.lit(False).alias("free"), "next")
     return found.join(nexts, ["k", "free"], "left").select(
         F.when(~F.col("free"), F.col("k")).alias("doc_id"),
         "n_chars",

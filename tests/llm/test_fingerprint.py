@@ -24,7 +24,7 @@ def brute(text, n_lanes=fingerprint.LANES):
     """The samples by their definition."""
     weights = Counter(w for w in __import__("re").findall(r"[^\x20\x09-\x0D]+", text or ""))
     out = []
-    terms = {signed(xxhash.xxh64_intdigest(w.encode(), 42)): n for w, n in weights.items()}
+    terms = {signed(xxhash.xxh64_intdigest(w.encode(), 42)) & -2: n for w, n in weights.items()}
     for lane in range(n_lanes):
         best = None
         for term, n in terms.items():
@@ -50,9 +50,11 @@ def texts(spark):
 
 
 def test_samples_against_their_definition(rows, texts):
-    for doc_id in sorted(texts, key=lambda k: len(texts[k]))[:40]:
+    differ = 0
+    for doc_id in texts:
         want, got = brute(texts[doc_id]), rows[doc_id].fingerprint
-        assert sum(want[k : k + 8] == got[k : k + 8] for k in range(0, len(want), 8)) >= fingerprint.LANES - 1  # a rounded logarithm may differ
+        differ += sum(want[k : k + 8] != got[k : k + 8] for k in range(0, len(want), 8))
+    assert differ <= len(texts) * fingerprint.LANES / 1000  # a rounded logarithm may differ
 
 
 def test_edited_texts_and_likeness(rows, texts):
@@ -78,9 +80,9 @@ def test_odd_rows(spark):
     got = fingerprint.compare_edited(df).collect()
     assert sorted((r.doc_id or 0, r.n_chars) for r in got) == sorted((k or 0, len(t or "")) for k, t in data)
     by = {(r.doc_id, r.n_chars): r for r in got}
-    assert by[2, 0].near_next == 1.0 and by[2, 0].fingerprint == by[3, 0].fingerprint and by[1, 3].near_next == 0.0
+    assert by[2, 0].near_next == 1.0 and by[2, 0].fingerprint == by[3, 0].fingerprint and by[1, 3].near_next == by[1, 1].near_next == 0.0
     assert by[None, 3].near_next is None and by[None, 3].edited_sha256 == hashlib.sha256(b"x ").hexdigest()
-    assert by[3, 0].near_edited == 1.0 and by[5, 2].edited_sha256 == hashlib.sha256("éa".encode()).hexdigest()
+    assert by[3, 0].near_edited == 1.0 and by[5, 2].edited_sha256 in [hashlib.sha256(x.encode()).hexdigest() for x in ("éa", "éc")]
     same = fingerprint.fingerprints(df).collect()
     assert len(same) == len(data) and len({r.fingerprint for r in same}) == 6
     assert fingerprint.compare_edited(df.limit(0)).count() == 0 and fingerprint.fingerprints(df.limit(0)).count() == 0
