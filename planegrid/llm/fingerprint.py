@@ -154,7 +154,9 @@ def compare_edited(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     half = (F.char_length("text") / 2).cast("int")
     ids = rows.where("not free").groupBy(F.col("k").alias("doc_id")).agg(F.max(half).alias("half"))
     after = runtime.cut(successors(ids))
-    begins = rows.where("not free").join(after, F.col("k") == F.col("next_id")).select("doc_id", F.struct("m0", "m1", F.substring(F.col("text"), F.lit(1), F.col("half")).alias("begin")).alias("row"))
+    # rows enter both joins as they are, so their texts are shuffled once
+    begin = F.when(~F.col("free"), F.struct("m0", "m1", F.substring(F.col("text"), F.lit(1), F.col("half")).alias("begin")))
+    begins = rows.join(after, F.col("k") == F.col("next_id")).select("doc_id", begin.alias("row"))
     begins = begins.groupBy(F.col("doc_id").alias("k")).agg(F.min("row")["begin"].alias("begin"))
     both = rows.join(begins, "k", "left")
     n = F.char_length("text")

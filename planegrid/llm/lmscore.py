@@ -46,8 +46,8 @@ def words_of(text: str | None) -> list[bytes]:
     return text.encode().translate(_LOWER).split() if text else []
 
 
-def _counted(docs: DataFrame) -> DataFrame:
-    """(word, c, n): every word, its occurrences in training rows and in all rows."""
+def _counted(docs: DataFrame, training_only: bool = False) -> DataFrame:
+    """(word, c, n): every word, its occurrences in training rows and in all rows, which may be the same."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         every: Counter[bytes] = Counter()
@@ -55,7 +55,7 @@ def _counted(docs: DataFrame) -> DataFrame:
 
         def out():
             keys = list(every)
-            batch = pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array([train[k] for k in keys], pa.int64()), pa.array(list(every.values()), pa.int64())], ["word", "c", "n"])
+            batch = pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(every.values() if training_only else [train[k] for k in keys], pa.int64()), pa.array(every.values(), pa.int64())], ["word", "c", "n"])
             every.clear()
             train.clear()
             return batch
@@ -65,7 +65,7 @@ def _counted(docs: DataFrame) -> DataFrame:
                 for text, use in zip(part.column(1).to_pylist(), part.column(2).to_pylist()):
                     found = words_of(text)
                     every.update(found)
-                    if use:
+                    if use and not training_only:
                         train.update(found)
                     if len(every) >= FLUSH:
                         yield out()
@@ -125,7 +125,7 @@ def learned_scores(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_
     with open(vocabulary, "rb") as f:
         shared = df.sparkSession.sparkContext.broadcast(f.read())
     docs = _training(df, id_col, text_col).where("train")
-    return _learned(runtime.cut(_counted(docs)), shared, docs.count())[0]
+    return _learned(runtime.cut(_counted(docs, training_only=True)), shared, docs.count())[0]
 
 
 class Lattice:

@@ -3,8 +3,9 @@
 A pre-token is a word with the vocabulary's boundary mark before it; its token count is that of its best
 segmentation, the one with the largest sum of piece scores (fewer tokens on ties). A worker inserts the distinct
 pre-tokens into a trie. A node stands for a prefix and holds the prefix's forward score, worked out once when the
-node is made from those of the nodes above it; so it serves all pre-tokens below, also those that come later. A
-terminal's token count is stored with its node.
+node is made: the pieces that the prefix's ends may still grow into go along from node to node, so each new character
+only steps on in the vocabulary. It serves all pre-tokens below, also those that come later. Terminals' token counts
+are stored by pre-token.
 
 The vocabulary file gives pieces without probabilities. Scores are those that the language-model operator learns
 for the same pieces from the training rows of a table, or any others given by piece id. A character without a
@@ -16,6 +17,7 @@ are handled where they lie: no text is shuffled. Other columns are not carried a
 
 from __future__ import annotations
 
+import gc
 import hashlib
 from collections.abc import Iterator
 
@@ -27,8 +29,9 @@ from pyspark.sql.types import StructType
 
 from . import runtime
 
-#: Nodes that a worker's trie may have (about 400 bytes each) before it starts anew; characters of a pre-token that it holds.
-MOST_NODES, DEEP = 300_000, 200
+#: Nodes that a worker's trie may have (about 700 bytes each) before it starts anew, characters of a pre-token that it
+#: holds, bytes of stored terminal counts.
+MOST_NODES, DEEP, TERMINAL_BYTES = 100_000, 200, 48 << 20
 MARK = "▁"
 _KEPT: dict[str, PrefixTrie] = {}
 
@@ -36,17 +39,27 @@ _KEPT: dict[str, PrefixTrie] = {}
 class PrefixTrie:
     """scores: of the pieces; byte_scores: of the 256 byte pieces.
 
-    A node is [children by character, forward score, minus the tokens used]; the score and tokens are those of the
-    best segmentation of the node's prefix, so a pre-token's count stands in its terminal.
+    A node is [children by character, score, minus the tokens used, open pieces]; score and tokens are those of the
+    best segmentation of the node's prefix. An open piece is (what may follow it in the vocabulary, score and minus
+    tokens where it began).
     """
 
     def __init__(self, scores: dict[str, float], byte_scores: list[float]):
         self.scores, self.byte_scores = scores, byte_scores
-        self.longest = max(map(len, scores), default=1)
+        self.vocabulary: dict[str, list] = {}  # [what follows, score of the piece that ends here or None]
+        for piece, score in scores.items():
+            if not piece:
+                continue
+            here, last = self.vocabulary, None
+            for char in piece:
+                last = here.setdefault(char, [{}, None])
+                here = last[0]
+            last[1] = score
+        self.terminals = runtime.BoundedCache(lambda w: self.count(MARK + w.decode()), TERMINAL_BYTES, lambda w, n: len(w))
         self.clear()
 
     def clear(self) -> None:
-        self.root: list = [{}, 0.0, 0]
+        self.root: list = [{}, 0.0, 0, [(self.vocabulary, 0.0, 0)]]
         self.nodes = 1
 
     @classmethod
@@ -62,41 +75,50 @@ class PrefixTrie:
                 scores[model.id_to_piece(i)] = float(log_p[i])
         return cls(scores, byte)
 
-    def _best(self, text: str, before: list) -> tuple[float, int]:
-        """Score and minus tokens of a prefix that ends with text; before: the nodes of the prefixes at text's places."""
-        end, scores, best = len(text), self.scores, None
-        for start in range(max(0, end - self.longest), end):
-            if (score := scores.get(text[start:])) is not None:
-                new = (before[start][1] + score, before[start][2] - 1)
-                if best is None or new > best:
-                    best = new
-        last = text[-1]
-        if last not in scores:
-            spelled = last.encode()
-            new = (before[-1][1] + sum(self.byte_scores[b] for b in spelled), before[-1][2] - len(spelled))
-            best = new if best is None or new > best else best
-        return best
+    def _below(self, node: list, char: str) -> list:
+        """The node that char leads to."""
+        most, fewest, going = None, 0, []
+        for follows, score, tokens in node[3]:
+            if char in follows:
+                further, own = follows[char]
+                if own is not None:
+                    score_here = score + own
+                    if most is None or score_here > most or (score_here == most and tokens - 1 > fewest):
+                        most, fewest = score_here, tokens - 1
+                if further:
+                    going.append((further, score, tokens))
+        if char not in self.scores:
+            spelled = char.encode()
+            score_here, tokens = node[1] + sum(self.byte_scores[b] for b in spelled), node[2] - len(spelled)
+            if most is None or (score_here, tokens) > (most, fewest):
+                most, fewest = score_here, tokens
+        going.append((self.vocabulary, most, fewest))
+        return [{}, most, fewest, going]
 
     def count(self, word: str) -> int:
         """Tokens of a pre-token; what is new of it is inserted, as far as it is not too deep."""
         if self.nodes > MOST_NODES:
             self.clear()
-        path = [self.root]
-        for k, char in enumerate(word[:DEEP]):
-            node = path[-1][0].get(char)
-            if node is None:
-                node = path[-1][0][char] = [{}, *self._best(word[: k + 1], path)]
+        node = self.root
+        for char in word[:DEEP]:
+            below = node[0].get(char)
+            if below is None:
+                below = node[0][char] = self._below(node, char)
                 self.nodes += 1
-            path.append(node)
-        for k in range(DEEP, len(word)):
-            del path[: -self.longest]
-            path.append((None, *self._best(word[k + 1 - len(path) : k + 1], path)))
-        return -path[-1][2]
+            node = below
+        for char in word[DEEP:]:
+            node = self._below(node, char)
+        return -node[2]
 
     def counts(self, texts: list[list[bytes]]) -> list[int]:
-        """Tokens of each text's words. Each distinct word is looked up once."""
-        known = {w: self.count(MARK + w.decode()) for w in set().union(*texts)}
-        return [sum(map(known.__getitem__, words)) for words in texts]
+        """Tokens of each text's words. Nodes hold no cycles, so the collector needn't go through them."""
+        known, on = self.terminals.__getitem__, gc.isenabled()
+        gc.disable()
+        try:
+            return [sum(map(known, words)) for words in texts]
+        finally:
+            if on:
+                gc.enable()
 
 
 def count(df: DataFrame, vocabulary: str, log_p: np.ndarray, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
