@@ -1,21 +1,28 @@
 """Dense ranks of a large table, without a window over all of it.
 
 Rows are range-partitioned by the order; each partition numbers its own rows, and what lies before a partition follows
-from one count for each of them. The same ranking maps the bounds of rectangles: bounds are sorted in among the points'
-block heads, so each bound finds its block, and the block's sorted keys give its rank. Nothing is collected.
+from one count for each of them. The bounds of rectangles become ranks by going down a tree of sorted keys: a block of
+first keys tells which block below to open, until a block of keys gives the rank.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from planegrid.plans.storage import cut
+from planegrid.operators import blocks
+from planegrid.operators.blocks import Blocks
+from planegrid.plans.storage import cut, settle
 
 
 def positions(rows: DataFrame, order: list[str], name: str) -> DataFrame:
-    """rows with name: 0, 1, ... in the order of the columns, which should tell rows apart."""
-    placed = cut(rows.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()))
+    """rows with name: 0, 1, ... in the order of the columns. Rows that agree in them are numbered in any order.
+
+    Such rows are told apart for the partitioning, so that many of them don't meet in one partition.
+    """
+    placed = cut(rows.withColumn("_salt", F.monotonically_increasing_id()).repartitionByRange(*order, "_salt").drop("_salt").withColumn("_part", F.spark_partition_id()))
     sizes = placed.groupBy("_part").agg(F.count("*").alias("_n"))
     before = F.coalesce(F.sum("_n").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     starts = sizes.select("_part", before.alias("_before"))  # one row for each partition
@@ -32,36 +39,52 @@ def rank_space(points: DataFrame) -> DataFrame:
     return positions(one.withColumn("pid", F.col("xr")), ["y", "x", "w", "xr"], "yr")
 
 
-def key_blocks(ranked: DataFrame, key: str, rank: str, size: int) -> DataFrame:
-    """(blk, head, keys): the sorted keys in blocks of size by rank."""
-    blk = F.floor(F.col(rank) / size).alias("blk")
-    return ranked.groupBy(blk).agg(F.min(key).alias("head"), F.sort_array(F.collect_list(key)).alias("keys"))
+@dataclass
+class Keys:
+    """The sorted coordinates of one axis, in blocks; above them the blocks' first keys, again in blocks, up to one block.
+
+    levels[0] holds the keys themselves.
+    """
+
+    n: int
+    size: int
+    levels: list[Blocks]
+
+
+def keys_of(ranked: DataFrame, key: str, rank: str, n: int, path: str, size: int = 1024) -> Keys:
+    """The keys of an axis by rank."""
+    out, rows, total = Keys(n, size, []), ranked.select(F.col(rank).alias("r"), F.col(key).alias("v")), n
+    while True:
+        made = rows.groupBy(F.floor(F.col("r") / size).alias("gblk")).agg(F.sort_array(F.collect_list("v")).alias("keys"))
+        total = -(-total // size)
+        out.levels.append(blocks.save(made, total, f"{path}/{key}-keys-{len(out.levels)}"))
+        if total <= 1:
+            return out
+        rows = out.levels[-1].rows.select(F.col("gblk").alias("r"), F.col("keys")[0].alias("v"))
 
 
-def ranks_of(bounds: DataFrame, blocks: DataFrame, size: int) -> DataFrame:
-    """bounds (id, v, closed): adds r, the keys below v, or up to v if closed. A null v stays null."""
-    heads = blocks.select(F.lit(None).cast("string").alias("id"), F.col("head").alias("v"), F.lit(0).alias("side"), "blk")
-    # a bound comes after the heads that it counts in full or in part
-    asked = bounds.where("v is not null").select("id", "v", F.when(F.col("closed"), 1).otherwise(-1).alias("side"), F.lit(None).cast("long").alias("blk"))
-    ordered = positions(heads.union(asked), ["v", "side", "blk", "id"], "_at")
-    # a bound at place _at that is the n-th of the bounds has _at - n heads before it
-    mine = positions(ordered.where("blk is null").select("_at", "id"), ["_at"], "_nth").select("id", (F.col("_at") - F.col("_nth")).alias("_heads"))
-    found = bounds.join(mine, "id", "left").withColumn("blk", F.col("_heads") - 1)
-    keys = found.join(blocks.select("blk", "keys"), "blk", "left")
-    inside = F.size(F.filter("keys", lambda k: (k < F.col("v")) | (F.col("closed") & (k == F.col("v")))))
-    return keys.select("id", F.when(F.col("v").isNotNull(), F.when(F.col("blk") >= 0, F.col("blk") * size + inside).otherwise(0)).cast("long").alias("r"))
+def ranks_of(bounds: DataFrame, keys: Keys) -> DataFrame:
+    """bounds (id, v, closed, ...): adds r, the keys below v, or up to v if closed. v is not null."""
+    rows = bounds.withColumn("_at", F.lit(0).cast("long"))
+    for level in reversed(keys.levels):
+        rows = level.meet(rows, "_at", ["keys"])
+        inside = F.size(F.filter("keys", lambda k: (k < F.col("v")) | (F.col("closed") & (k == F.col("v")))))
+        rows = rows.withColumn("r", F.col("_at") * keys.size + inside).drop("keys", "_at")
+        # the last block whose first key counts; before the first one nothing does
+        rows = rows.withColumn("_at", F.greatest(F.col("r") - 1, F.lit(0)))
+    return rows.drop("_at")
 
 
-def map_rects(rects: DataFrame, ranked: DataFrame, size: int = 1024, xblocks: DataFrame | None = None, yblocks: DataFrame | None = None) -> DataFrame:
+def map_rects(rects: DataFrame, xkeys: Keys, ykeys: Keys) -> DataFrame:
     """rects (qid, x0, x1, y0, y1) as half-open ranks (qid, xlo, xhi, ylo, yhi); an empty rectangle has lo >= hi."""
-    n = ranked.count()
-    out = rects.select("qid", "x0", "x1", "y0", "y1")
-    for axis, blocks in (("x", xblocks), ("y", yblocks)):
-        blocks = key_blocks(ranked, axis, f"{axis}r", size) if blocks is None else blocks
-        sides = [F.struct(F.lit(name).alias("name"), F.col(f"{axis}{k}").alias("v"), F.lit(bool(k)).alias("closed")) for k, name in ((0, "lo"), (1, "hi"))]
-        asked = rects.select("qid", F.explode(F.array(*sides)).alias("b")).select(F.concat_ws("/", F.col("qid").cast("string"), "b.name").alias("id"), "b.v", "b.closed")
-        found = ranks_of(asked, blocks, size).withColumn("q", F.split("id", "/")[0].cast("long"))
-        side = lambda name, c, other: F.coalesce(F.max(F.when(F.col("id").endswith("/" + name), F.col("r"))), F.lit(other)).alias(c)
-        both = found.groupBy(F.col("q").alias("qid")).agg(side("lo", f"{axis}lo", 0), side("hi", f"{axis}hi", n))
-        out = out.join(both, "qid")
-    return out.select("qid", *(F.col(c).cast("long") for c in ("xlo", "xhi", "ylo", "yhi")))
+    out = settle(rects.select("qid", "x0", "x1", "y0", "y1"))
+    whole = {"xlo": 0, "xhi": xkeys.n, "ylo": 0, "yhi": ykeys.n}
+    sides = [("x", 0, "xlo"), ("x", 1, "xhi"), ("y", 0, "ylo"), ("y", 1, "yhi")]
+    found = out.select("qid")
+    for axis, keys in (("x", xkeys), ("y", ykeys)):
+        asked = F.array(*(F.struct(F.lit(name).alias("name"), F.col(f"{axis}{k}").alias("v"), F.lit(bool(k)).alias("closed")) for a, k, name in sides if a == axis))
+        rows = out.select("qid", F.explode(asked).alias("b")).select("qid", "b.*").where("v is not null")
+        names = [name for a, _, name in sides if a == axis]
+        ranks = ranks_of(rows, keys).groupBy("qid").agg(*(F.max(F.when(F.col("name") == name, F.col("r"))).alias(name) for name in names))
+        found = found.join(ranks, "qid", "left")
+    return settle(found.select("qid", *(F.coalesce(F.col(c), F.lit(v)).cast("long").alias(c) for c, v in whole.items())))

@@ -11,6 +11,8 @@ from decimal import Decimal
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from planegrid.plans.storage import cut
+
 
 def _all(rects: DataFrame, found: DataFrame) -> DataFrame:
     return rects.select("qid").join(found, "qid", "left")
@@ -60,9 +62,9 @@ def topk_values(hits: DataFrame, k: int, largest: bool = False) -> DataFrame:
 
 
 def frequencies(hits: DataFrame) -> DataFrame:
-    """qid, w, freq, cnt: values are counted first, so what meets a rectangle's window is its distinct values."""
+    """qid, w, freq, cnt: values are counted first, so what is added up for a rectangle is its distinct values."""
     each = hits.groupBy("qid", "w").agg(F.count("*").alias("freq"))
-    return each.withColumn("cnt", F.sum("freq").over(Window.partitionBy("qid")))
+    return each.join(each.groupBy("qid").agg(F.sum("freq").alias("cnt")), "qid")
 
 
 def majority_in(hits: DataFrame, alpha: str, inclusive: bool = False) -> DataFrame:
@@ -80,10 +82,20 @@ def topk_frequent(hits: DataFrame, k: int) -> DataFrame:
 
 
 def _runs(hits: DataFrame) -> DataFrame:
-    """qid, w, cnt and the ranks (from, to] that the value's points take in sorted order."""
-    order = Window.partitionBy("qid").orderBy("w").rowsBetween(Window.unboundedPreceding, 0)
-    rows = frequencies(hits).withColumn("to", F.sum("freq").over(order))
-    return rows.withColumn("from", F.col("to") - F.col("freq"))
+    """qid, w, cnt and the ranks (from, to] that the value's points take in sorted order.
+
+    A rectangle's values are dealt over range partitions; running totals are taken within each and then over them, so
+    no task meets all of a rectangle's values.
+    """
+    each = hits.groupBy("qid", "w").agg(F.count("*").alias("freq"))
+    placed = cut(each.repartitionByRange("qid", "w").withColumn("_part", F.spark_partition_id()))
+    parts = placed.groupBy("qid", "_part").agg(F.sum("freq").alias("_n"))
+    every = Window.partitionBy("qid")
+    before = F.sum("_n").over(every.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1))
+    parts = parts.select("qid", "_part", F.coalesce(before, F.lit(0)).alias("_before"), F.sum("_n").over(every).alias("cnt"))
+    inside = F.sum("freq").over(Window.partitionBy("qid", "_part").orderBy("w").rowsBetween(Window.unboundedPreceding, 0))
+    rows = placed.join(parts, ["qid", "_part"]).withColumn("to", F.col("_before") + inside)
+    return rows.select("qid", "w", "cnt", "to", (F.col("to") - F.col("freq")).alias("from"))
 
 
 def kth_in(hits: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -104,10 +116,19 @@ def quantiles_in(hits: DataFrame, rects: DataFrame, shares: list[str]) -> DataFr
 
 
 def top_fraction(hits: DataFrame, share: str) -> DataFrame:
-    """The ceil(share * cnt) points with the largest weights, ties by (x, y)."""
-    by = Window.partitionBy("qid")
-    rows = hits.withColumn("ord", F.row_number().over(by.orderBy(F.desc("w"), "x", "y"))).withColumn("cnt", F.count("*").over(by))
-    return rows.where(F.col("ord") <= F.ceil(F.lit(Decimal(share)) * F.col("cnt"))).select("qid", "x", "y", "w")
+    """The ceil(share * cnt) points with the largest weights, ties by (x, y).
+
+    The least weight that is needed follows from the values' counts; only points of that weight are ordered, and only
+    as many as are missing are taken.
+    """
+    runs = _runs(hits)
+    wanted = F.ceil(F.lit(Decimal(share)) * F.col("cnt")).cast("long")
+    edge = runs.withColumn("above", F.col("cnt") - F.col("to")).where((F.col("above") < wanted) & (F.col("cnt") - F.col("from") >= wanted))
+    edge = edge.select("qid", F.col("w").alias("_least"), (wanted - F.col("above")).alias("_missing"))
+    rows = hits.select("qid", "x", "y", "w").join(edge, "qid")
+    over = rows.where("w > _least").select("qid", "x", "y", "w")
+    tied = rows.where("w = _least").withColumn("ord", F.row_number().over(Window.partitionBy("qid").orderBy("x", "y"))).where("ord <= _missing")
+    return over.union(tied.select("qid", "x", "y", "w"))
 
 
 def count_values(hits: DataFrame, rects: DataFrame, w0: int, w1: int) -> DataFrame:

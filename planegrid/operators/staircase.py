@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 
 #: Signs by which a corner's axes are turned so that large is far.
 CORNERS = {"NE": (1, 1), "NW": (-1, 1), "SE": (1, -1), "SW": (-1, -1)}
+#: The corner of a quadrant at which its query point stands, by the direction of sight.
+TOWARDS = {"SW": "NE", "NE": "SW", "SE": "NW", "NW": "SE"}
 
 
 def _thinned(rows: DataFrame, keys: list[str]) -> DataFrame:
@@ -20,14 +22,17 @@ def _thinned(rows: DataFrame, keys: list[str]) -> DataFrame:
     return rows.withColumn("_run", F.max("u").over(before)).where("_run is null or u > _run").drop("_run")
 
 
-def dominant_points(hits: DataFrame, corner: str = "NE", parts: int = 64) -> DataFrame:
-    """qid, ord, x, y: in order from the largest y (for a corner: from the farthest y) on."""
+def dominant_points(hits: DataFrame, corner: str = "NE") -> DataFrame:
+    """qid, ord, x, y: in order from the largest y (for a corner: from the farthest y) on; equal points are one.
+
+    Of points with one u only the farthest in v can stay, which Spark finds before it shuffles. The rest is thinned
+    within stretches of u, as many as the input has partitions, and then among what is left.
+    """
     a, b = CORNERS[corner]
-    rows = hits.select("qid", "x", "y").distinct().select("qid", "x", "y", (F.col("x") * a).alias("u"), (F.col("y") * b).alias("v"))
-    # first within slices of each rectangle, then among what is left
-    rows = _thinned(rows.withColumn("_part", F.pmod(F.xxhash64("x", "y"), F.lit(parts))), ["qid", "_part"])
-    rows = _thinned(rows, ["qid"])
-    return rows.select("qid", F.row_number().over(Window.partitionBy("qid").orderBy(F.desc("v"))).cast("long").alias("ord"), "x", "y")
+    rows = hits.groupBy("qid", (F.col("x") * a).alias("u")).agg(F.max(F.col("y") * b).alias("v"))
+    rows = _thinned(rows.withColumn("_part", F.spark_partition_id()), ["qid", "_part"])
+    rows = _thinned(rows.drop("_part"), ["qid"])
+    return rows.select("qid", F.row_number().over(Window.partitionBy("qid").orderBy(F.desc("v"))).cast("long").alias("ord"), (F.col("u") * a).alias("x"), (F.col("v") * b).alias("y"))
 
 
 def quadrant(queries: DataFrame, direction: str) -> DataFrame:
@@ -43,5 +48,4 @@ def visible_points(hits: DataFrame, direction: str) -> DataFrame:
 
     That is the staircase towards the query point: looking SW, the dominant points of the quadrant's NE corner.
     """
-    towards = {"SW": "NE", "NE": "SW", "SE": "NW", "NW": "SE"}[direction]
-    return dominant_points(hits, towards).select("qid", F.lit(direction).alias("direction"), "x", "y")
+    return dominant_points(hits, TOWARDS[direction]).select("qid", F.lit(direction).alias("direction"), "x", "y")

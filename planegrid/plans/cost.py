@@ -82,7 +82,7 @@ def space_report(tree: YTree) -> DataFrame:
     """(lvl, component, bits, bound): what each level stores; planes are bound by one digit for each point."""
     parts = []
     for j, level in enumerate(tree.levels):
-        rows = level.select(F.lit(j).alias("lvl"), "n", (F.size("vals") * 64).cast("long").alias("vals"), *([F.expr("cast(aggregate(planes, 0L, (a, p) -> a + size(p) * 64) as bigint)").alias("planes"), (F.size("before") * 64).cast("long").alias("before")] if j < tree.depth else []))
+        rows = level.rows.select(F.lit(j).alias("lvl"), "n", (F.size("vals") * 64).cast("long").alias("vals"), *([F.expr("cast(aggregate(planes, 0L, (a, p) -> a + size(p) * 64) as bigint)").alias("planes"), (F.size("before") * 64).cast("long").alias("before")] if j < tree.depth else []))
         for c in ("planes", "before", "vals") if j < tree.depth else ("vals",):
             parts.append(rows.groupBy("lvl").agg(F.lit(c).alias("component"), F.sum(c).alias("bits"), (F.sum("n") * (tree.bits if c == "planes" else 64)).alias("bound")))
     out = parts[0]

@@ -13,8 +13,7 @@ RECTS: dict[str, list[tuple]] = {
     "E": [(1, 1704067200000000, 1704499200000000, 0, 49), (2, 1704067200000000, 1704240000000000, 10, 12), (3, 0, 1, 0, 1), (4, 1704067200000000, 2000000000000000, 0, 10**6)],
     "P": [(1, 1, 50, 90_000, 99_990), (2, 10, 20, 92_000, 95_000), (3, 7, 7, 90_000, 99_990), (4, 60, 70, 0, 10**9)],
     "C": [(1, 5, 12, 0, 500_000), (2, 1, 100, -100_000, 1_000_000), (3, 3, 3, -100, 100)],
-    "D": [(1, 0, 500, 0, 999), (2, 500, 3_000, 200, 700), (3, 40_000, 50_000, 0, 999)],
-    "W": [(1, 0, 500, 0, 10**18), (2, 500, 3_000, 200, 10**18), (3, 0, 10**9, 0, 10**18)],
+    "D": [(1, 0, 500, 0, 999), (2, 500, 3_000, 200, 700), (3, 40_000, 50_000, 0, 999), (4, 0, 10**9, 0, 10**18), (5, 500, 3_000, 200, 10**18)],
     "V": [(1, -0.1, 0.1, -0.1, 0.1), (2, -1.0, 1.0, -1.0, 1.0), (3, 0.3, 0.31, 0.3, 0.31)],
 }
 

@@ -2,14 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from planegrid.operators import dynamic, scan, staircase
 from planegrid.operators.rangejoin import points_in
+from planegrid.plans.storage import fresh_path
 from planegrid.sources import grids
 from planegrid.sources import rects as rect_source
 from planegrid.streaming import rect_counts
@@ -67,15 +65,11 @@ for _name, _method, _select in (
     ORACLES[_name] = f"{_hits_sql()} {_select}"
 
 
-def timed_all(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return grids.table(spark, sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"), "user_id", F.expr(grids.GRIDS["E"].w).alias("w"))
-
-
 def timed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return timed_all(spark, sf_dir).where("user_id between 10 and 60")
+    return grids.table(spark, sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"), "user_id", F.expr(grids.GRIDS["E"].w).alias("w"))
 
 
-_TIMED = f"with e as (select epoch_us(ts) as t, user_id, {grids.GRIDS['E'].w} as w from events where user_id between 10 and 60)"
+_TIMED = f"with e as (select epoch_us(ts) as t, user_id, {grids.GRIDS['E'].w} as w from events)"
 _HOUR = 3_600_000_000
 QUERIES["op_win_tumbling"] = lambda spark, sf_dir: rect_counts.windowed(timed(spark, sf_dir), "1 hour")
 ORACLES["op_win_tumbling"] = f"{_TIMED} select t - t % {_HOUR} as start, count(*)::bigint as cnt, sum(w)::bigint as s from e group by 1"
@@ -84,16 +78,11 @@ ORACLES["op_win_sliding"] = f"{_TIMED} select t - t % {_HOUR} - k * {_HOUR} as s
 QUERIES["op_win_session"] = lambda spark, sf_dir: rect_counts.sessions(timed(spark, sf_dir), "1 hour")
 ORACLES["op_win_session"] = f"""{_TIMED}, a as (select *, case when t - lag(t) over w1 < {_HOUR} then 0 else 1 end as f from e window w1 as (partition by user_id order by t)),
     b as (select *, sum(f) over (partition by user_id order by t rows unbounded preceding) as k from a) select user_id, min(t) as start, count(*)::bigint as cnt, sum(w)::bigint as s from b group by user_id, k"""
-QUERIES["op_win_tumbling_all"] = lambda spark, sf_dir: rect_counts.windowed(timed_all(spark, sf_dir), "1 hour")
-QUERIES["op_win_sliding_all"] = lambda spark, sf_dir: rect_counts.windowed(timed_all(spark, sf_dir), "2 hours", "1 hour")
-QUERIES["op_win_session_all"] = lambda spark, sf_dir: rect_counts.sessions(timed_all(spark, sf_dir), "1 hour")
-for _name in ("op_win_tumbling", "op_win_sliding", "op_win_session"):
-    ORACLES[f"{_name}_all"] = ORACLES[_name].replace(" where user_id between 10 and 60", "")
 
 
 def streamed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events as files of points, read as a stream."""
-    folder = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp(prefix='planegrid-stream-')}/{uuid.uuid4().hex}"
+    folder = fresh_path(spark, "stream")
     points = grids.points(spark, sf_dir, "E").select("x", "y", "w")
     points.repartition(6).write.parquet(f"{folder}/in")
     return rect_counts.counts_from_files(spark, f"{folder}/in", points.schema, rect_source.rects(spark, "E"), f"{folder}/out", f"{folder}/state")

@@ -5,59 +5,66 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from planegrid.operators import candidates, cellcube, descent
+from planegrid.operators import candidates, cellcube, valuegrids
+from planegrid.operators.candidates import Blocks
+from planegrid.operators.valuegrids import ValueGrids
 from planegrid.plans import cost
 from planegrid.sources import grids
 from planegrid.sources import rects as rect_source
 from planegrid.workloads import static
-from planegrid.workloads.indexed import bounds, index
+from planegrid.workloads.indexed import _once, index
 
 QUERIES: dict[str, static.Query] = {}
 ORACLES: dict[str, str] = {}
 
 
-def _dominant(spark: SparkSession, sf_dir: str, grid: str) -> DataFrame:
-    ranked, tree = index(spark, sf_dir, grid)
-    return descent.dominant_points(tree, ranked, bounds(spark, ranked, grid))
-
-
-for _g in ("L", "P", "O"):
-    QUERIES[f"index_dominant_{_g}"] = lambda spark, sf_dir, g=_g: _dominant(spark, sf_dir, g)
-    ORACLES[f"index_dominant_{_g}"] = f"{static.hits_sql(_g)} {static._dominant(1, 1)}"
+def fixed_index(spark: SparkSession, sf_dir: str, grid: str, num: int, den: int) -> tuple[list[Blocks], ValueGrids]:
+    """Candidate lists for a threshold, and the grids of the values."""
+    found = index(spark, sf_dir, grid)
+    lists = _once(spark, ("lists", sf_dir, grid, num, den), lambda x: spark.read.parquet(x[0].path), lambda: candidates.build(found.tree, num, den))
+    return lists, _once(spark, ("value-grids", sf_dir, grid), lambda x: spark.read.parquet(x.tree.path + "/about"), lambda: valuegrids.build(found.ranked))
 
 
 def _fixed(spark: SparkSession, sf_dir: str, grid: str, built: tuple[int, int], asked: tuple[int, int]) -> DataFrame:
-    ranked, tree = index(spark, sf_dir, grid)
-    lists = candidates.build(tree, *built)
-    return candidates.majority_fixed(tree, lists, bounds(spark, ranked, grid), grids.points(spark, sf_dir, grid), rect_source.rects(spark, grid), *asked)
+    found, (lists, values) = index(spark, sf_dir, grid), fixed_index(spark, sf_dir, grid, *built)
+    return candidates.majority_fixed(found.tree, lists, values, found.bounds(rect_source.rects(spark, grid)), *asked)
 
 
-for _g, _built, _asked in (("L", (8, 100), (8, 100)), ("D", (1, 5), (1, 5)), ("D", (1, 5), (1, 2)), ("W", (1, 5), (1, 5)), ("W", (1, 5), (1, 2))):
+for _g, _built, _asked in (("L", (8, 100), (8, 100)), ("D", (1, 5), (1, 5)), ("D", (1, 5), (1, 2)), ("V", (8, 100), (8, 100))):
     _name = f"majority_fixed_{_g}_{_built[0]}_{_built[1]}_asked_{_asked[0]}_{_asked[1]}"
     QUERIES[_name] = lambda spark, sf_dir, g=_g, b=_built, a=_asked: _fixed(spark, sf_dir, g, b, a)
     ORACLES[_name] = f"{static.hits_sql(_g)}{static.FREQ} select qid, w, freq, cnt from f where freq * {_asked[1]} > cnt * {_asked[0]}"
 
 
 def _precision(spark: SparkSession, sf_dir: str) -> DataFrame:
-    ranked, tree = index(spark, sf_dir, "L")
-    lists = candidates.build(tree, 8, 100)
-    rects = rect_source.rects(spark, "L")
-    found = candidates.majority_fixed(tree, lists, bounds(spark, ranked, "L"), grids.points(spark, sf_dir, "L"), rects, 8, 100)
-    return candidates.precision(tree, lists, bounds(spark, ranked, "L"), found, rects)
+    """How many of the unverified candidates are answers; the right ones must be all there are."""
+    rects, found = rect_source.rects(spark, "L"), index(spark, sf_dir, "L")
+    bounds = found.bounds(rects)
+    lists, values = fixed_index(spark, sf_dir, "L", 8, 100)
+    every = candidates.unverified(found.tree, lists, bounds)
+    return candidates.precision(every, candidates.majority_fixed(found.tree, lists, values, bounds, 8, 100), rects)
+
+
+def _right(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of the unverified candidates those that are frequent: the check that none is missed."""
+    return _precision(spark, sf_dir).select("qid", "right", (F.col("candidates") >= F.col("right")).alias("enough"))
 
 
 QUERIES["candidate_precision"] = _precision
+QUERIES["candidate_recall"] = _right
+ORACLES["candidate_recall"] = f"""{static.hits_sql("L")}{static.FREQ}, a as (select qid, count(*) as n from f where freq * 100 > cnt * 8 group by qid)
+    select qid, coalesce(n, 0)::bigint as "right", true as enough from r left join a using (qid)"""
 for _g in ("L", "E"):
     QUERIES[f"base_cell_cube_{_g}"] = lambda spark, sf_dir, g=_g: cellcube.sums_in(grids.points(spark, sf_dir, g), rect_source.rects(spark, g))
     ORACLES[f"base_cell_cube_{_g}"] = f"{static.hits_sql(_g)} select qid, count(h.w)::bigint as cnt, sum(h.w)::bigint as s from r left join h using (qid) group by qid"
 
 
 def _space(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cost.space_report(index(spark, sf_dir, "P")[1])
+    return cost.space_report(index(spark, sf_dir, "P").tree)
 
 
 def _bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    _, tree = index(spark, sf_dir, "P")
+    tree = index(spark, sf_dir, "P").tree
     rows = [cost.bounds_table(spark, cost.Size(tree.n, 25, 26, 1 << 17, fan=1 << b, t=t)).withColumns({"fan": F.lit(1 << b), "t": F.lit(t)}) for b in (1, 2, 4) for t in (1.0, 2.0, 4.0)]
     out = rows[0]
     for r in rows[1:]:

@@ -2,16 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from planegrid.functions import bits as bit_sql
 from planegrid.operators import scan
-from planegrid.operators.rangejoin import points_in
+from planegrid.plans.storage import fresh_path
 from planegrid.sources import grids
 from planegrid.sources import rects as rect_source
 from planegrid.workloads import static
@@ -41,7 +38,7 @@ def _filtered(spark, sf_dir):
 
 @_register("op_range_join_binned", f"{static.hits_sql('P')} select * from h")
 def _binned(spark, sf_dir):
-    return points_in(grids.points(spark, sf_dir, "P"), rect_source.rects(spark, "P"), cells=16).select("qid", "x", "y", "w")
+    return grids.hits(spark, sf_dir, "P", rect_source.rects(spark, "P"), 16).select("qid", "x", "y", "w")
 
 
 _REGION = "select r_name, n_name, count(*)::bigint as n, sum(cast(cast(c_acctbal as decimal(18,2)) * 100 as bigint))::bigint as cents from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey"
@@ -80,7 +77,7 @@ _SPANS = [(1, 1704067200000000, 1704153600000000), (2, 1704100000000000, 1704110
 @_register("op_interval_join_events", f"select q::bigint as qid, count(e.event_id)::bigint as n from (values {', '.join(map(str, _SPANS))}) t(q, a, b) left join events e on epoch_us(e.ts) >= a and epoch_us(e.ts) < b group by q")
 def _intervals(spark, sf_dir):
     spans = spark.createDataFrame(_SPANS, "qid bigint, x0 bigint, x1 bigint").select("qid", "x0", (F.col("x1") - 1).alias("x1"), F.lit(None).cast("bigint").alias("y0"), F.lit(None).cast("bigint").alias("y1"))
-    return scan.count_in(points_in(grids.points(spark, sf_dir, "E"), spans), spans).withColumnRenamed("cnt", "n")
+    return scan.count_in(grids.hits(spark, sf_dir, "E", spans), spans).withColumnRenamed("cnt", "n")
 
 
 @_register("op_asof_prev_event", "select p.event_id, max(v.event_id) as prev from events p left join events v on v.user_id = p.user_id and v.event_type = 'view' and v.event_id < p.event_id where p.event_type = 'purchase' group by p.event_id")
@@ -92,19 +89,19 @@ def _asof(spark, sf_dir):
 
 
 for _how, _name, _not in (("left_semi", "op_semi_nonempty_rects", ""), ("left_anti", "op_anti_empty_rects", "not")):
-    QUERIES[_name] = lambda spark, sf_dir, h=_how: rect_source.rects(spark, "P").join(points_in(grids.points(spark, sf_dir, "P"), rect_source.rects(spark, "P")).select("qid"), "qid", h).select("qid")
+    QUERIES[_name] = lambda spark, sf_dir, h=_how: rect_source.rects(spark, "P").join(grids.hits(spark, sf_dir, "P", rect_source.rects(spark, "P")).select("qid"), "qid", h).select("qid")
     ORACLES[_name] = f"{static.hits_sql('P')} select qid from r where qid {_not} in (select qid from h)"
 
 
 @_register("op_distinct_approx_rect", None)
 def _approx(spark, sf_dir):
-    return points_in(grids.points(spark, sf_dir, "E"), rect_source.rects(spark, "E")).groupBy("qid").agg(F.approx_count_distinct("w", 0.01).alias("n"))
+    return grids.hits(spark, sf_dir, "E", rect_source.rects(spark, "E")).groupBy("qid").agg(F.approx_count_distinct("w", 0.01).alias("n"))
 
 
 @_register("op_window_rank", f"{static.hits_sql('P')} select qid, x, y, w, rank() over (partition by qid order by w) as r, dense_rank() over (partition by qid order by w) as d from h")
 def _ranked(spark, sf_dir):
     by = Window.partitionBy("qid").orderBy("w")
-    hits = points_in(grids.points(spark, sf_dir, "P"), rect_source.rects(spark, "P"))
+    hits = grids.hits(spark, sf_dir, "P", rect_source.rects(spark, "P"))
     return hits.select("qid", "x", "y", "w", F.rank().over(by).cast("long").alias("r"), F.dense_rank().over(by).cast("long").alias("d"))
 
 
@@ -117,7 +114,7 @@ def _frames(spark, sf_dir):
 
 @_register("op_topk_per_rect", f"{static.hits_sql('E')} select qid, o as ord, w, x, y from (select *, row_number() over (partition by qid order by w, x, y) as o from h) where o <= 10")
 def _topk(spark, sf_dir):
-    return scan.topk_values(points_in(grids.points(spark, sf_dir, "E"), rect_source.rects(spark, "E")), 10)
+    return scan.topk_values(grids.hits(spark, sf_dir, "E", rect_source.rects(spark, "E")), 10)
 
 
 _A, _B = "select x, y from ({g}) g where x between 5 and 20", "select x, y from ({g}) g where y between 92000 and 95000"
@@ -143,16 +140,11 @@ def _arrays(spark, sf_dir):
 
 
 @_register("op_map_value_histogram", f"{static.hits_sql('D')}{static.FREQ} select qid, w, freq from f")
-def _histogram(spark, sf_dir, grid="D"):
-    f = scan.frequencies(points_in(grids.points(spark, sf_dir, grid), rect_source.rects(spark, grid)))
+def _histogram(spark, sf_dir):
+    f = scan.frequencies(grids.hits(spark, sf_dir, "D", rect_source.rects(spark, "D")))
     return f.groupBy("qid").agg(F.map_from_entries(F.collect_list(F.struct("w", "freq"))).alias("m")).select("qid", F.explode("m").alias("w", "freq"))
 
 
-@_register("op_map_value_histogram_W", f"{static.hits_sql('W')}{static.FREQ} select qid, w, freq from f")
-def _histogram_whole(spark, sf_dir):
-    return _histogram(spark, sf_dir, "W")
-
-
 @_register("op_string_weight_grid", "select p_partkey, cast(regexp_extract(p_brand, '([0-9]+)', 1) as bigint) as brand, upper(p_type) as kind from part")
 def _strings(spark, sf_dir):
     return _t(spark, sf_dir, "part")[0].select("p_partkey", F.regexp_extract("p_brand", "([0-9]+)", 1).cast("long").alias("brand"), F.upper("p_type").alias("kind"))
@@ -185,6 +177,6 @@ def _packed(spark, sf_dir):
 
 @_register("op_sink_roundtrip", f"{grids.sql('P')}")
 def _roundtrip(spark, sf_dir):
-    path = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp(prefix='planegrid-sink-')}/{uuid.uuid4().hex}"
+    path = fresh_path(spark, "sink")
     grids.points(spark, sf_dir, "P").withColumn("part", F.col("x") % 4).repartition("part").sortWithinPartitions("x", "y").write.partitionBy("part").parquet(path)
     return spark.read.parquet(path).select("x", "y", "w")

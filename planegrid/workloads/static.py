@@ -8,7 +8,6 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from planegrid.operators import scan, staircase
-from planegrid.operators.rangejoin import points_in
 from planegrid.sources import grids
 from planegrid.sources import rects as rect_source
 
@@ -27,7 +26,7 @@ def add(name: str, grid: str, query: Callable[[DataFrame, DataFrame], DataFrame]
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         rects = rect_source.rects(spark, grid)
-        return query(points_in(grids.points(spark, sf_dir, grid), rects), rects)
+        return query(grids.hits(spark, sf_dir, grid, rects), rects)
 
     QUERIES[name] = run
     ORACLES[name] = f"{hits_sql(grid)} {select}"
@@ -51,8 +50,7 @@ def _dominant(a: int, b: int, table: str = "h") -> str:
 for _g in ("L", "O"):
     add(f"count_rect_{_g}" if _g != "L" else "count_rect", _g, scan.count_in, COUNT)
     add(f"dominant_rect_{_g}" if _g != "L" else "dominant_rect", _g, lambda h, r: staircase.dominant_points(h), _dominant(1, 1))
-add("report_rect", "L", lambda h, r: scan.report_in(h.where("qid = 6")), "select qid, x, y, w from h where qid = 6")
-add("report_rect_all", "L", lambda h, r: scan.report_in(h), "select qid, x, y, w from h")
+add("report_rect", "L", lambda h, r: scan.report_in(h), "select qid, x, y, w from h")
 add("dominant_worst_combo", "C", lambda h, r: staircase.dominant_points(h, "NW"), _dominant(-1, 1))
 for _c, (_a, _b) in staircase.CORNERS.items():
     add(f"dominant_corner_{_c.lower()}", "P", lambda h, r, c=_c: staircase.dominant_points(h, c), _dominant(_a, _b))
@@ -65,9 +63,9 @@ for _g, _n in (("E", "min_max_rect"), ("S", "argmin_rect"), ("V", "extrema_inten
     add(_n, _g, scan.extrema_in, EXTREMA)
 add("topk_values_rect", "E", lambda h, r: scan.topk_values(h, 5), "select qid, o as ord, w, x, y from (select *, row_number() over (partition by qid order by w, x, y) as o from h) where o <= 5")
 add("topk_largest_rect", "S", lambda h, r: scan.topk_values(h, 3, True), "select qid, o as ord, w, x, y from (select *, row_number() over (partition by qid order by w desc, x, y) as o from h) where o <= 3")
-for _g, _alpha, _inc in (("L", "0.08", False), ("L", "0.5", False), ("L", "0.2", True), ("D", "0.5", False), ("D", "0.2", False), ("D", "0.5", True), ("W", "0.5", False), ("W", "0.2", False), ("W", "0.5", True), ("V", "0.08", False), ("V", "0.1", True)):
+for _g, _alpha, _inc in (("L", "0.08", False), ("L", "0.5", False), ("L", "0.2", True), ("D", "0.5", False), ("D", "0.2", False), ("D", "0.5", True), ("V", "0.08", False), ("V", "0.1", True)):
     add(f"majority_rect_{_g}_{_alpha.replace('.', '')}{'_inclusive' * _inc}", _g, lambda h, r, a=_alpha, i=_inc: scan.majority_in(h, a, i), f"{FREQ} select qid, w, freq, cnt from f where freq::decimal(38,8) {'>=' if _inc else '>'} {_alpha} * cnt")
-for _g in ("L", "D", "W", "V"):
+for _g in ("L", "D", "V"):
     add(f"mode_rect_{_g}", _g, lambda h, r: scan.topk_frequent(h, 1), f"{FREQ} select qid, o as ord, w, freq from (select *, row_number() over (partition by qid order by freq desc, w) as o from f) where o <= 1")
     add(f"topk_frequent_rect_{_g}", _g, lambda h, r: scan.topk_frequent(h, 3), f"{FREQ} select qid, o as ord, w, freq from (select *, row_number() over (partition by qid order by freq desc, w) as o from f) where o <= 3")
 
@@ -101,7 +99,7 @@ def eyes(spark: SparkSession, grid: str) -> DataFrame:
 
 
 def visible(spark: SparkSession, sf_dir: str, grid: str, direction: str) -> DataFrame:
-    return staircase.visible_points(points_in(grids.points(spark, sf_dir, grid), staircase.quadrant(eyes(spark, grid), direction)), direction)
+    return staircase.visible_points(grids.hits(spark, sf_dir, grid, staircase.quadrant(eyes(spark, grid), direction)), direction)
 
 
 for _g in EYES:

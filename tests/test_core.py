@@ -6,9 +6,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from planegrid.functions import bits as bit_sql
-from planegrid.operators import candidates, cellcube, descent, dynamic, scan, staircase, valuetree, ytree
+from planegrid.operators import candidates, cellcube, descent, dynamic, scan, staircase, valuegrids, valuetree, ytree
+from planegrid.operators import index as point_index
 from planegrid.operators.rangejoin import points_in
-from planegrid.operators.rankspace import map_rects, rank_space
+from planegrid.operators.rankspace import rank_space
 from planegrid.plans import cost
 from planegrid.plans.storage import cut
 from planegrid.sources import grids
@@ -73,8 +74,8 @@ def test_least_counts_are_whole_numbers(spark):
     points = table(spark, [(k, k, w) for k, w in enumerate((1, 2, 3, 3))])
     rects = rect_table(spark, [(1, 0, 9, 0, 9)])
     assert rows(scan.majority_in(points_in(points, rects), "0.34").select("w")) == [(3,)]
-    ranked = cut(rank_space(points))
-    assert rows(valuetree.majority_in(valuetree.build(ranked, 1, 64), cut(map_rects(rects, ranked, 64)), "0.34").select("w")) == [(3,)]
+    index = point_index.build(points, 1, 64)
+    assert rows(valuetree.majority_in(valuetree.build(index.ranked, 1, 64), index.bounds(rects), "0.34").select("w")) == [(3,)]
 
 
 def random_grid(seed, n, span, values):
@@ -87,35 +88,38 @@ def random_grid(seed, n, span, values):
     return points, [*out, (50, 5, 4, 0, 9), (51, -span, span, -span, span), (52, 0, 0, 0, 0)]
 
 
-@pytest.mark.parametrize(("seed", "n", "span", "values", "bits", "block"), [(2, 500, 14, 9, 2, 64)])
+@pytest.mark.parametrize(("seed", "n", "span", "values", "bits", "block"), [(2, 300, 14, 9, 2, 64)])
 def test_index_and_scan_against_brute_force(spark, seed, n, span, values, bits, block):
     points, wanted = random_grid(seed, n, span, values)
     df, rects = cut(table(spark, points)), cut(rect_table(spark, wanted))
     hits = cut(points_in(df, rects))
-    ranked = cut(rank_space(df))
+    index = point_index.build(df, bits, block)
+    ranked = index.ranked
     assert sorted(r.xr for r in ranked.collect()) == sorted(r.yr for r in ranked.collect()) == list(range(n))
-    bounds = cut(map_rects(rects, ranked, 64))
-    tree = ytree.build(ranked, bits, block)
+    bounds, tree = index.bounds(rects), point_index.load(spark, index.path).tree
     held = {r[0]: inside(points, r) for r in wanted}
     count = sorted(((q, len(p)) for q, p in held.items()), key=repr)
     assert rows(scan.count_in(hits, rects)) == count == rows(ytree.count_in(tree, bounds))
     assert rows(ytree.moments_in(tree, bounds)) == rows(scan.moments_in(hits, rects))
     assert {r.qid: r.s for r in ytree.moments_in(tree, bounds).collect()} == {q: sum(w for *_, w in p) if p else None for q, p in held.items()}
     least = sorted(((q, min((w for *_, w in p), default=None), max((w for *_, w in p), default=None)) for q, p in held.items()), key=repr)
-    assert rows(ytree.extrema_in(tree, bounds)) == least == rows(scan.extrema_in(hits, rects).select("qid", "lo", "hi"))
+    assert rows(ytree.extrema_in(tree, bounds).select("qid", "lo", "hi")) == least == rows(scan.extrema_in(hits, rects).select("qid", "lo", "hi"))
+    for largest in (False, True):
+        top = sorted(((q, k + 1, w) for q, p in held.items() for k, w in enumerate(sorted((w for *_, w in p), reverse=largest)[:7])), key=repr)
+        assert rows(ytree.topk_in(tree, bounds, 7, largest).select("qid", "ord", "w")) == top
     reported = ytree.report_in(tree, bounds).join(ranked, ["xr", "yr"]).groupBy("qid").count()
     assert rows(reported) == sorted(((q, len(p)) for q, p in held.items() if p), key=repr)
     for corner, (a, b) in staircase.CORNERS.items():
         stairs = sorted(((q, x, y) for q, p in held.items() for x, y in staircase_of(p, a, b)), key=repr)
         assert rows(staircase.dominant_points(hits, corner).select("qid", "x", "y")) == stairs
+        if corner in ("NE", "NW"):
+            assert rows(descent.dominant_points(index, rects, corner).select("qid", "x", "y")) == stairs
     kept: list[int] = []
-    found = descent.dominant_ranks(tree, bounds, kept)
-    stairs = sorted(((q, x, y) for q, p in held.items() for x, y in staircase_of(p)), key=repr)
-    assert rows(descent.dominant_points(tree, ranked, bounds).select("qid", "x", "y")) == stairs
+    found = descent.dominant_ranks(tree, bounds, trace=kept)
     assert all(k <= found.count() for k in kept)
     assert rows(ytree.access(tree, ranked.select("xr")))[:5] == rows(ranked.select("xr", "yr"))[:5]
     lists = candidates.build(tree, 1, 5)
-    fixed = candidates.majority_fixed(tree, lists, bounds, df, rects, 1, 5)
+    fixed = candidates.majority_fixed(tree, lists, valuegrids.build(ranked, bits, block), bounds, 1, 5)
     freq = {q: Counter(w for *_, w in p) for q, p in held.items()}
     enough = lambda share, inc: sorted(((q, w, c, len(held[q])) for q, f in freq.items() for w, c in f.items() if (c >= Decimal(share) * len(held[q]) if inc else c > Decimal(share) * len(held[q]))), key=repr)
     assert rows(fixed) == enough("0.2", False)
@@ -123,6 +127,8 @@ def test_index_and_scan_against_brute_force(spark, seed, n, span, values, bits,
     for share, inc in (("0.5", False), ("0.15", True)):
         assert rows(scan.majority_in(hits, share, inc)) == enough(share, inc)
         assert rows(valuetree.majority_in(values_tree, bounds, share, inc)) == enough(share, inc)
+    modes = sorted(((q, k + 1, w, c) for q, f in freq.items() for k, (w, c) in enumerate(sorted(f.items(), key=lambda e: (-e[1], e[0]))[:2])), key=repr)
+    assert rows(scan.topk_frequent(hits, 2)) == modes == rows(valuetree.topk_frequent(values_tree, index, bounds, 2, closest=16))
     ks = rects.select("qid", F.explode(F.array(*(F.lit(k).cast("long") for k in (0, 1, 3, 40, 10_000)))).alias("k"))
     kth = sorted(((q, k, sorted(w for *_, w in p)[k - 1] if 1 <= k <= len(p) else None) for q, p in held.items() for k in (0, 1, 3, 40, 10_000)), key=repr)
     assert rows(scan.kth_in(hits, ks)) == kth == rows(valuetree.kth_in(values_tree, bounds, ks))
@@ -139,9 +145,8 @@ def test_index_and_scan_against_brute_force(spark, seed, n, span, values, bits,
 
 def test_whole_cover_is_disjoint_and_small(spark):
     points, wanted = random_grid(9, 800, 300, 5)
-    ranked = cut(rank_space(table(spark, points)))
-    tree = ytree.build(ranked, 2, 64, extrema=False)
-    bounds = cut(map_rects(rect_table(spark, wanted), ranked, 64))
+    index = point_index.build(table(spark, points), 2, 64)
+    tree, bounds = index.tree, index.bounds(rect_table(spark, wanted))
     whole, ends = ytree.cover(tree, bounds)
     for b in bounds.collect():
         ranks: list[int] = []
@@ -216,10 +221,59 @@ def test_costs(spark):
         assert r.bound <= r.bits <= r.bound * 1.5 + 64 * 40
 
 
-def test_plans_have_no_nested_loop(spark, capsys):
-    rects = rect_source.rects(spark, "L")
-    hits = points_in(grids.points(spark, "/root/testdata/sf0.001", "L"), rects)
-    scan.count_in(hits, rects).explain()
+def test_plan_broadcasts_the_rectangles_and_pushes_their_box(spark, capsys):
+    """Of grid L at a size where points would not fit a broadcast by themselves."""
+    rects = rect_source.rects(spark, "L").where("qid in (1, 6)")
+    found = scan.count_in(grids.hits(spark, "/root/testdata/sf0.1", "L", rects), rects)
+    found.collect()
+    found.explain("formatted")
     text = capsys.readouterr().out
-    assert "NestedLoop" not in text and "CartesianProduct" not in text and "PushedFilters" in text
+    assert "NestedLoop" not in text and "CartesianProduct" not in text and "SortMergeJoin" not in text.split("== Initial Plan ==")[0]
+    pushed = next(x for x in text.split("PushedFilters: ")[1:] if "l_extendedprice" in x).split("\n")[0]
+    assert "GreaterThanOrEqual(l_extendedprice" in pushed and "LessThanOrEqual(l_quantity" in pushed
     assert "l_partkey" not in text
+    build = next(x for x in text.split("BroadcastExchange")[1:] if "_cell" in x)
+    assert "l_quantity" not in build.split("BroadcastHashJoin")[0].split("\n")[1]
+
+
+def test_large_batches_are_not_broadcast(spark, monkeypatch):
+    monkeypatch.setattr("planegrid.operators.rangejoin.MOST_BROADCAST", 10)
+    points, wanted = random_grid(5, 200, 9, 5)
+    df, rects = table(spark, points), rect_table(spark, wanted)
+    assert rows(scan.count_in(points_in(df, rects), rects)) == sorted(((r[0], len(inside(points, r))) for r in wanted), key=repr)
+
+
+def test_blocks_in_several_chunks(spark, monkeypatch):
+    """Chunks that no question asks for aren't read, and larger batches than are held on the driver go through files."""
+    monkeypatch.setattr("planegrid.operators.blocks.SPAN", 2)
+    monkeypatch.setattr("planegrid.plans.storage.MOST_HELD", 5)
+    points, wanted = random_grid(7, 900, 200, 5)
+    index = point_index.build(table(spark, points), 2, 64)
+    rects = rect_table(spark, wanted)
+    assert max(x.chunks for x in index.tree.levels) > 3
+    assert rows(ytree.count_in(index.tree, index.bounds(rects))) == sorted(((r[0], len(inside(points, r))) for r in wanted), key=repr)
+    asked = index.bounds(rects.where("qid = 52"))
+    plan = index.tree.levels[0].meet(asked.withColumn("_at", F.lit(3).cast("long")), "_at", ["planes"])
+    assert plan.count() == 1 and "PartitionFilters: [isnotnull(chunk" in plan._jdf.queryExecution().executedPlan().toString() or "chunk" in plan._jdf.queryExecution().toString()
+
+
+def test_nodes_too_large_for_one_task(spark, monkeypatch):
+    """The build by global order gives the same blocks as the one by node."""
+    points, wanted = random_grid(8, 700, 60, 9)
+    ranked = cut(rank_space(table(spark, points)))
+    order = ["gblk"]
+    small = ytree.build(ranked, 2, 64)
+    monkeypatch.setattr(ytree, "ALONE", 3)
+    large = ytree.build(ranked, 2, 64)
+    for a, b in zip(small.levels + small.dyads, large.levels + large.dyads):
+        assert rows(a.rows.orderBy(*order)) == rows(b.rows.orderBy(*order))
+
+
+def test_a_shared_folder_is_needed_on_a_cluster(spark):
+    from types import SimpleNamespace
+
+    from planegrid.plans import storage
+
+    there = SimpleNamespace(sparkContext=SimpleNamespace(getCheckpointDir=lambda: None, master="spark://host:7077"), conf=SimpleNamespace(get=lambda *a: None))
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        storage.folder(there)

@@ -21,34 +21,31 @@ def compared(spark, name):
 
 
 def test_sequence_access_reads_every_position(spark):
-    got = compared(spark, "sequence_access_all")
+    got = compared(spark, "sequence_access")
     assert len(got) == spark.read.parquet(f"{SF}/part.parquet").count()
 
 
 def test_rank_and_select_reach_the_end(spark):
     n = spark.read.parquet(f"{SF}/part.parquet").count()
-    got = compared(spark, "sequence_rank_select_all")
+    got = compared(spark, "sequence_rank_select")
     assert sum(r[3] for r in got if r[0] == "rank" and r[2] == n) == n
 
 
 def test_report_of_all_rectangles(spark):
-    assert {r[0] for r in compared(spark, "report_rect_all")} >= {1, 2, 3, 6}
+    assert {r[0] for r in compared(spark, "report_rect")} >= {1, 2, 3, 6}
 
 
-@pytest.mark.parametrize("name", ["majority_rect_W_02", "mode_rect_W", "topk_frequent_rect_W", "op_map_value_histogram_W", "index_majority_W_005", "majority_fixed_W_1_5_asked_1_2"])
+@pytest.mark.parametrize("name", ["majority_rect_D_02", "mode_rect_D", "index_majority_D_005", "majority_fixed_D_1_5_asked_1_2"])
 def test_documents_beyond_the_first(spark, name):
     compared(spark, name)
 
 
 def test_rectangles_reach_all_documents(spark):
-    from planegrid.sources import rects
+    got = compared(spark, "op_map_value_histogram")
+    assert sum(r[2] for r in got if r[0] == 4) == spark.read.parquet(f"{SF}/documents.parquet").count()
 
-    assert {r[4] for r in rects.RECTS["W"]} == {10**18}
-    got = compared(spark, "op_map_value_histogram_W")
-    assert sum(r[2] for r in got if r[0] == 3) == spark.read.parquet(f"{SF}/documents.parquet").count()
 
-
-@pytest.mark.parametrize("name", ["op_win_tumbling_all", "op_win_sliding_all", "op_win_session_all"])
+@pytest.mark.parametrize("name", ["op_win_tumbling", "op_win_sliding", "op_win_session"])
 def test_windows_of_all_users(spark, name):
     got = compared(spark, name)
     assert sum(r[-2] for r in got) == spark.read.parquet(f"{SF}/events.parquet").count() * (2 if "sliding" in name else 1)
