@@ -64,6 +64,7 @@ def chunks(batch: pa.RecordBatch, text: int) -> Iterator[pa.RecordBatch]:
         to = min(n, max(at + 1, to))
         yield batch.slice(at, to - at)
         at = to
+    pa.default_memory_pool().release_unused()  # idle workers stay alive and would hold it
 
 
 class BoundedCache(dict):

@@ -30,17 +30,21 @@ def inverse(odd: int) -> int:
     return pow(int(odd), -1, 1 << 64)
 
 
-_POWERS: dict[tuple[int, int], np.ndarray] = {}
+_POWERS: dict[int, np.ndarray] = {}
+#: Powers that are kept; more are worked out anew for the few texts that need them.
+KEPT = 1 << 20
 
 
 def powers(base: int, n: int) -> np.ndarray:
-    """base**0 .. base**n modulo 2**64, kept for the next call."""
+    """base**0 .. base**n modulo 2**64."""
     key = int(base)
     have = _POWERS.get(key)
     if have is None or len(have) <= n:
         out = np.full(max(n + 1, 1 << 16), U(key), dtype=np.uint64)
         out[0] = 1
-        have = _POWERS[key] = np.multiply.accumulate(out)
+        have = np.multiply.accumulate(out, out=out)
+        if len(have) <= KEPT + (KEPT >> 2):
+            _POWERS[key] = have
     return have[: n + 1]
 
 
@@ -73,8 +77,13 @@ class Words:
         """A hash of each word."""
         n, base = len(self.data), BASE[family]
         sums = np.zeros(n + 1, dtype=np.uint64)
-        np.cumsum((self.data.astype(np.uint64) + U(1)) * powers(base, n)[:n], out=sums[1:])
-        raw = (sums[self.end] - sums[self.start]) * powers(inverse(base), n)[self.start]
+        terms = sums[1:]
+        np.add(self.data, U(1), out=terms, dtype=np.uint64)
+        terms *= powers(base, n)[:n]
+        np.cumsum(terms, out=terms)
+        raw = sums[self.end] - sums[self.start]
+        del sums, terms
+        raw *= powers(inverse(base), n)[self.start]
         out = mix(raw + (self.end - self.start).astype(np.uint64) * U(0xA24BAED4963EE407))
         for k in np.flatnonzero(self.end - self.start > SHORT).tolist():
             out[k] = digest(self.data[self.start[k] : self.end[k]], family)[0]
