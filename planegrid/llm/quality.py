@@ -228,7 +228,8 @@ def rate(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col
 
 
 def keep_good(df: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
-    """The rows of df that are kept, with df's columns. Rows are written once with their statistics, which the estimates read without the rows."""
+    """The rows of df that are kept, with df's columns. Texts are looked at twice, which takes no disk, rather than written."""
+    named = df.select(F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), F.col(source_col).alias("source"))
+    use = estimates(runtime.stored(statistics(named).select("_group", "_wide", "base_failed", *Q)))
     inside = df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_row"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), F.col(source_col).alias("source"))
-    stats = runtime.stored(statistics(inside).select("_row", "_group", "_wide", "base_failed", *Q))
-    return judged(stats, estimates(stats)).where("kept").select("_row.*")
+    return judged(statistics(inside), use).where("kept").select("_row.*")
