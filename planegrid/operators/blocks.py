@@ -8,6 +8,8 @@ size is broadcast, so blocks are never shuffled for it. A larger batch is joined
 from __future__ import annotations
 
 import json
+from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,6 +17,8 @@ from pyspark.sql import functions as F
 
 from planegrid.plans.storage import stored
 
+#: While a list, every meeting adds (table, rows that ask for a block): the steps of a batch of questions.
+TRACE: list[tuple[str, int]] | None = None
 #: Blocks of a chunk at least, chunks of a table at most, chunks that are named in a filter.
 SPAN, MOST_CHUNKS, MOST_NAMED = 4096, 4096, 1000
 
@@ -35,6 +39,8 @@ class Blocks:
     def meet(self, asked: DataFrame, at: str, columns: list[str], tag: str = "") -> DataFrame:
         """asked with the columns (their names ending in tag) of the block whose number is in column at."""
         part = self.rows
+        if TRACE is not None:
+            TRACE.append((self.path.rpartition("/")[2], asked.count()))
         if self.chunks > 1:
             wanted = [r.c for r in asked.select(F.floor(F.col(at) / self.span).alias("c")).distinct().limit(MOST_NAMED + 1).collect()]
             if len(wanted) <= MOST_NAMED:
@@ -43,6 +49,17 @@ class Blocks:
         return asked.join(part, at)
 
 
+@contextmanager
+def traced() -> Iterator[list[tuple[str, int]]]:
+    """Collects the steps of what is built inside; counting them costs a job for each meeting."""
+    global TRACE
+    TRACE, before = [], TRACE
+    try:
+        yield TRACE
+    finally:
+        TRACE = before
+
+
 def save(made: DataFrame, total: int, path: str) -> Blocks:
     """made: gblk and other columns, of which there are total."""
     span = SPAN

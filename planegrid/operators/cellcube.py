@@ -15,6 +15,22 @@ from planegrid.plans.storage import cut
 MOST = 1024
 
 
+def extrema_in(points: DataFrame, rects: DataFrame, cells: int = 32) -> DataFrame:
+    """qid, lo, hi: least and largest weights of the cells strictly inside a rectangle, and of the points in those that it cuts."""
+    if cells > MOST:
+        raise ValueError(f"at most {MOST} cells a side")
+    box = points.agg(*(f(c).cast("double").alias(f"{c}{k}") for c in ("x", "y") for k, f in ((0, F.min), (1, F.max)))).first()
+    cx, cy = _of("x", box.x0, box.x1, cells), _of("y", box.y0, box.y1, cells)
+    cube = cut(points.groupBy(cx.alias("i"), cy.alias("j")).agg(F.min("w").alias("a"), F.max("w").alias("b")))
+    side = lambda c, b0, b1: F.greatest(F.lit(-1), F.least(F.lit(cells), F.floor((F.col(c).cast("double") - b0) / max(b1 - b0, 1e-300) * cells))).cast("int")
+    spans = rects.where("x0 <= x1 and y0 <= y1").select("qid", (side("x0", box.x0, box.x1) + 1).alias("i0"), (side("x1", box.x0, box.x1) - 1).alias("i1"), (side("y0", box.y0, box.y1) + 1).alias("j0"), (side("y1", box.y0, box.y1) - 1).alias("j1"))
+    rows = spans.where("i0 <= i1 and j0 <= j1").withColumn("i", F.explode(F.sequence("i0", "i1"))).withColumn("j", F.explode(F.sequence("j0", "j1")))
+    whole = rows.join(cube, ["i", "j"]).select("qid", "a", "b")
+    cutoff = points_in(points, rects).join(spans, "qid").where(~(cx.between(F.col("i0"), F.col("i1")) & cy.between(F.col("j0"), F.col("j1"))))
+    found = whole.union(cutoff.select("qid", "w", "w")).groupBy("qid").agg(F.min("a").alias("lo"), F.max("b").alias("hi"))
+    return _all(rects, found).select("qid", "lo", "hi")
+
+
 def _of(c: str, low: float, high: float, cells: int):
     return F.least(F.floor((F.col(c).cast("double") - low) / max(high - low, 1e-300) * cells), F.lit(cells - 1)).cast("int")
 

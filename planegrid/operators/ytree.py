@@ -302,6 +302,38 @@ def topk_in(tree: YTree, bounds: DataFrame, k: int, largest: bool = False) -> Da
     return now.select("qid", place.alias("ord"), (F.col("key.w") * sign).alias("w"), F.col("key.xr").alias("xr"))
 
 
+def successor_in(tree: YTree, bounds: DataFrame, w: int, strict: bool = False) -> DataFrame:
+    """qid, succ: the least weight from w on, or above it, without a tree over values: a baseline.
+
+    A run of blocks whose least weight is enough offers it; one whose largest isn't is out; others are split, unless
+    what they hold can't be less than an offer.
+    """
+    enough = (lambda c: c > w) if strict else (lambda c: c >= w)
+    whole, ends = cover(tree, bounds)
+    values = [_leaf_points(tree, ends).select("qid", "w")]
+    open_ = []
+    for j in range(1, tree.depth + 1):
+        touched, inner = pieces(tree, whole.where(F.col("lvl") == j), j)
+        values.append(touched.select("qid", F.explode("part.w").alias("w")))
+        open_.append(runs_of(tree, inner, j, ["least", "most"]).select("qid", F.lit(j).alias("j"), "node", "h", "idx", "at", "least_run", "most_run"))
+    best = settle(reduce(DataFrame.union, values).where(enough(F.col("w"))).groupBy("qid").agg(F.min("w").alias("succ")))
+    now = settle(reduce(DataFrame.union, open_))
+    while not now.isEmpty():
+        least, most = F.col("least_run.w"), -F.col("most_run.w")
+        best = settle(best.union(now.where(enough(least)).select("qid", least)).groupBy("qid").agg(F.min("succ").alias("succ")))
+        now = now.join(best, "qid", "left").where(~enough(least) & enough(most))
+        parts, opened = [], []
+        for j in range(1, tree.depth + 1):
+            here = now.where(F.col("j") == j)
+            opened.append(tree.levels[j].meet(here.where("h = 0").select("qid", "at"), "at", ["vals"]).select("qid", F.explode("vals").alias("w")))
+            halves = here.where("h > 0").select("qid", "j", "node", (F.col("h") - 1).alias("h"), F.explode(F.array(F.col("idx") * 2, F.col("idx") * 2 + 1)).alias("idx"))
+            halves = halves.withColumn("at", tree.number(j, F.col("node"), F.expr("shiftleft(idx, h)")))
+            parts.append(runs_of(tree, halves, j, ["least", "most"]).select("qid", "j", "node", "h", "idx", "at", "least_run", "most_run"))
+        best = settle(best.union(reduce(DataFrame.union, opened).where(enough(F.col("w")))).groupBy("qid").agg(F.min("succ").alias("succ")))
+        now = settle(reduce(DataFrame.union, parts))
+    return bounds.select("qid").join(best, "qid", "left").select("qid", "succ")
+
+
 def report_in(tree: YTree, bounds: DataFrame) -> DataFrame:
     """qid, xr, yr, w of all points: whole nodes give way to their non-empty children down to the leaves, so what is read follows the answer's size."""
     whole, ends = cover(tree, bounds)

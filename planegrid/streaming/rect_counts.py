@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from planegrid.operators.rangejoin import box_of, points_in
 from planegrid.operators.scan import count_in
+from planegrid.plans.storage import settle
 
 
 def windowed(points: DataFrame, length: str, slide: str | None = None, late: str | None = None) -> DataFrame:
@@ -27,8 +29,11 @@ def counts_from_files(spark: SparkSession, folder: str, schema, rects: DataFrame
     """
     points = spark.readStream.schema(schema).option("maxFilesPerTrigger", 2).parquet(folder)
 
+    rects = settle(rects)
+    box = box_of(rects)
+
     def keep(batch: DataFrame, number: int) -> None:
-        inside = batch.join(F.broadcast(rects), F.col("x").between(F.col("x0"), F.col("x1")) & F.col("y").between(F.col("y0"), F.col("y1")))  # a batch of queries, small by its definition
+        inside = points_in(batch, rects, box=box)
         inside.groupBy("qid").agg(F.count("*").alias("cnt")).write.mode("overwrite").parquet(f"{target}/batch={number}")
 
     points.writeStream.foreachBatch(keep).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()

@@ -103,6 +103,12 @@ def by_path(forms: dict, spark: SparkSession, sf_dir: str, grid: str, rects: Dat
     return forms[cost.choose(index(spark, sf_dir, grid).tree, rects.count(), path)](spark, sf_dir, grid, rects)
 
 
+def thousands() -> dict[str, static.Query]:
+    """Counts and moments of a thousand rectangles over grid L by either path; not among the queries, as both give the same rows."""
+    rects = lambda spark: rect_source.spread(spark, 1000, (1, 50), (90_000, 10_500_000))
+    return {f"{p}_{w}_1000_L": lambda spark, sf_dir, f=f, p=p: by_path(f, spark, sf_dir, "L", rects(spark), p) for p in ("index", "scan") for w, f in (("count", _COUNTS), ("moments", _MOMENTS))}
+
+
 for _path in ("auto", "index", "scan"):
     for _what, _forms, _select in (("count", _COUNTS, static.COUNT), ("moments", _MOMENTS, static.MOMENTS)):
         QUERIES[f"path_{_path}_{_what}_L"] = lambda spark, sf_dir, f=_forms, p=_path: by_path(f, spark, sf_dir, "L", rect_source.rects(spark, "L"), p)

@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from planegrid.operators import candidates, cellcube, valuegrids
-from planegrid.operators.candidates import Blocks
+from planegrid.operators import blocks, candidates, cellcube, descent, valuegrids, ytree
+from planegrid.operators.blocks import Blocks
 from planegrid.operators.valuegrids import ValueGrids
 from planegrid.plans import cost
 from planegrid.sources import grids
@@ -59,6 +59,71 @@ for _g in ("L", "E"):
     ORACLES[f"base_cell_cube_{_g}"] = f"{static.hits_sql(_g)} select qid, count(h.w)::bigint as cnt, sum(h.w)::bigint as s from r left join h using (qid) group by qid"
 
 
+    QUERIES[f"base_cell_extrema_{_g}"] = lambda spark, sf_dir, g=_g: cellcube.extrema_in(grids.points(spark, sf_dir, g), rect_source.rects(spark, g))
+    ORACLES[f"base_cell_extrema_{_g}"] = f"{static.hits_sql(_g)} select qid, min(h.w) as lo, max(h.w) as hi from r left join h using (qid) group by qid"
+    for _strict, _up in ((False, ">="), (True, ">")):
+        QUERIES[f"base_ytree_succ_{_g}{'_strict' * _strict}"] = lambda spark, sf_dir, g=_g, s=_strict: ytree.successor_in((i := index(spark, sf_dir, g)).tree, i.bounds(rect_source.rects(spark, g)), 4, s)
+        ORACLES[f"base_ytree_succ_{_g}{'_strict' * _strict}"] = f"{static.hits_sql(_g)} select qid, min(case when h.w {_up} 4 then h.w end) as succ from r left join h using (qid) group by qid"
+
+
+def _ytree_majority(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Candidates of the tree over y, counted among the reported points instead of in grids of the values."""
+    found = index(spark, sf_dir, "L")
+    bounds = found.bounds(rect_source.rects(spark, "L"))
+    hits = ytree.report_in(found.tree, bounds)
+    freq = hits.join(candidates.values_for(found.tree, fixed_index(spark, sf_dir, "L", 8, 100)[0], bounds), ["qid", "w"], "left_semi").groupBy("qid", "w").agg(F.count("*").alias("freq"))
+    return freq.join(ytree.count_in(found.tree, bounds), "qid").where("freq * 100 > cnt * 8").select("qid", "w", "freq", "cnt")
+
+
+QUERIES["base_ytree_majority_L"] = _ytree_majority
+ORACLES["base_ytree_majority_L"] = ORACLES["majority_fixed_L_8_100_asked_8_100"]
+#: Sums at every 64th place, the least that a block may have: the form without sampling.
+QUERIES["base_unsampled_sums_L"] = lambda spark, sf_dir: ytree.moments_in((i := index(spark, sf_dir, "L", 4, 64)).tree, i.bounds(rect_source.rects(spark, "L")))
+ORACLES["base_unsampled_sums_L"] = f"{static.hits_sql('L')} {static.MOMENTS}"
+
+
+def _steps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """method, rects, steps, bound: blocks asked for by a batch, and the published step count of as many questions, without constants."""
+    found, rects = index(spark, sf_dir, "P"), rect_source.rects(spark, "P")
+    bounds, q = found.bounds(rects), rects.count()
+    p = cost.Size(found.n, 25, 26, 1 << 17, fan=found.tree.fan)
+    published = {(m, k): steps for m, k, steps, _ in cost.bounds(p)}
+    out = []
+    forms = {
+        "count": (lambda: ytree.count_in(found.tree, bounds), ("count", "static")),
+        "moments": (lambda: ytree.moments_in(found.tree, bounds), ("moments", "static")),
+        "extrema": (lambda: ytree.extrema_in(found.tree, bounds), ("extrema", "static")),
+        "top values": (lambda: ytree.topk_in(found.tree, bounds, 5), ("top values", "static")),
+        "report": (lambda: ytree.report_in(found.tree, bounds), ("report", "static")),
+        "dominance": (lambda: descent.dominant_points(found, rects), ("dominance", "static")),
+    }
+    for name, (run, key) in forms.items():
+        with blocks.traced() as trace:
+            n = run().count()
+        # output-sensitive bounds hold for each point that comes out
+        out.append((name, q, sum(k for _, k in trace), float(published[key]) * (max(n, q) if key[0] in ("report", "dominance", "top values") else q)))
+    return spark.createDataFrame(out, "method string, rects int, steps int, bound double").withColumn("ratio", F.round(F.col("steps") / F.col("bound"), 3))
+
+
+def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """fan, block, levels, bits a point and steps of counts and moments, over fan-outs and block lengths."""
+    out, rects = [], rect_source.rects(spark, "P")
+    for bits, block in ((1, 64), (2, 64), (4, 64), (4, 256), (4, 1024)):
+        found = index(spark, sf_dir, "P", bits, block)
+        bounds, space = found.bounds(rects), {r.component: r.b for r in cost.space_report(found.tree).groupBy("component").agg(F.sum("bits").alias("b")).collect()}
+        steps = []
+        for method in (ytree.count_in, ytree.moments_in):
+            with blocks.traced() as trace:
+                method(found.tree, bounds).count()
+            steps.append(sum(k for _, k in trace))
+        out.append((1 << bits, block, found.tree.depth + 1, (space["planes"] + space["before"]) / found.n, *steps))
+    return spark.createDataFrame(out, "fan int, block int, levels int, bits_per_point double, count_steps int, moments_steps int")
+
+
+QUERIES["steps"] = _steps
+QUERIES["sweep"] = _sweep
+
+
 def _space(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cost.space_report(index(spark, sf_dir, "P").tree)
 

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from planegrid.functions import bits as bit_sql
-from planegrid.operators import scan
+from planegrid.operators import index as point_index
+from planegrid.operators import scan, staircase, ytree
 from planegrid.plans.storage import fresh_path
 from planegrid.sources import grids
 from planegrid.sources import rects as rect_source
@@ -64,11 +67,26 @@ def _sets(spark, sf_dir):
     return rows.groupingSets([[F.col("r_name")], [F.col("n_name")], []], F.col("r_name"), F.col("n_name")).agg(F.count("*").alias("n"), F.sum("cents").alias("cents"))
 
 
-@_register("gis_region_stats", """with a as (select c_nationkey as k, cast(cast(c_acctbal as decimal(18,2)) * 100 as bigint) as w from customer), b as (select k, floor(w / 250000.0)::bigint as band, w from a)
-    select k, band, count(*)::bigint as cnt, sum(w)::bigint as s, min(w) as lo, max(w) as hi from b group by k, band""")
+_PARTIES = """a as (select 'customer' as kind, c_nationkey as k, cast(cast(c_acctbal as decimal(18,2)) * 100 as bigint) as w from customer
+    union all select 'supplier', s_nationkey, cast(cast(s_acctbal as decimal(18,2)) * 100 as bigint) from supplier), b as (select kind, k, floor(w / 250000.0)::bigint as band, w from a)"""
+
+
+def _bands(spark, sf_dir):
+    c, s = _t(spark, sf_dir, "customer", "supplier")
+    rows = lambda df, kind, p: df.select(F.lit(kind).alias("kind"), F.col(f"{p}_nationkey").alias("k"), F.expr(f"cast(cast({p}_acctbal as decimal(18,2)) * 100 as bigint)").alias("w"))
+    return rows(c, "customer", "c").union(rows(s, "supplier", "s")).withColumn("band", F.floor(F.col("w") / 250000.0))
+
+
+@_register("gis_region_stats", f"with {_PARTIES} select kind, k, band, count(*)::bigint as cnt, sum(w)::bigint as s, min(w) as lo, max(w) as hi from b group by kind, k, band")
 def _gis(spark, sf_dir):
-    rows = _t(spark, sf_dir, "customer")[0].select(F.col("c_nationkey").alias("k"), F.expr("cast(cast(c_acctbal as decimal(18,2)) * 100 as bigint)").alias("w"))
-    return rows.groupBy("k", F.floor(F.col("w") / 250000.0).alias("band")).agg(F.count("*").alias("cnt"), F.sum("w").alias("s"), F.min("w").alias("lo"), F.max("w").alias("hi"))
+    return _bands(spark, sf_dir).groupBy("kind", "k", "band").agg(F.count("*").alias("cnt"), F.sum("w").alias("s"), F.min("w").alias("lo"), F.max("w").alias("hi"))
+
+
+@_register("gis_region_mode", f"with {_PARTIES}, f as (select kind, k, band, count(*)::bigint as freq from b group by kind, k, band) select kind, k, band, freq from (select *, row_number() over (partition by kind, k order by freq desc, band) as o from f) where o = 1")
+def _gis_mode(spark, sf_dir):
+    each = _bands(spark, sf_dir).groupBy("kind", "k", "band").agg(F.count("*").alias("freq"))
+    order = Window.partitionBy("kind", "k").orderBy(F.desc("freq"), "band")
+    return each.withColumn("o", F.row_number().over(order)).where("o = 1").drop("o")
 
 
 _SPANS = [(1, 1704067200000000, 1704153600000000), (2, 1704100000000000, 1704110000000000), (3, 5, 6)]
@@ -93,9 +111,18 @@ for _how, _name, _not in (("left_semi", "op_semi_nonempty_rects", ""), ("left_an
     ORACLES[_name] = f"{static.hits_sql('P')} select qid from r where qid {_not} in (select qid from h)"
 
 
-@_register("op_distinct_approx_rect", None)
+@_register("op_distinct_approx_rect", f"{static.hits_sql('E')} select qid, count(distinct w)::bigint as n, true as near from h group by qid")
 def _approx(spark, sf_dir):
-    return grids.hits(spark, sf_dir, "E", rect_source.rects(spark, "E")).groupBy("qid").agg(F.approx_count_distinct("w", 0.01).alias("n"))
+    """The exact number, and whether the approximate one is within five hundredths of it."""
+    hits = grids.hits(spark, sf_dir, "E", rect_source.rects(spark, "E"))
+    found = hits.groupBy("qid").agg(F.approx_count_distinct("w", 0.01).alias("about")).join(hits.groupBy("qid").agg(F.count_distinct("w").alias("n")), "qid")
+    return found.select("qid", "n", (F.abs(F.col("about") - F.col("n")) <= 0.05 * F.col("n") + 1).alias("near"))
+
+
+@_register("op_window_staircase", f"with h as (select w as qid, x, y from ({grids.sql('P')})) {static._dominant(1, 1)}")
+def _stairs(spark, sf_dir):
+    """The dominant points of every weight class, by running maxima."""
+    return staircase.dominant_points(grids.points(spark, sf_dir, "P").withColumnRenamed("w", "qid"))
 
 
 @_register("op_window_rank", f"{static.hits_sql('P')} select qid, x, y, w, rank() over (partition by qid order by w) as r, dense_rank() over (partition by qid order by w) as d from h")
@@ -175,6 +202,41 @@ def _packed(spark, sf_dir):
     return asked.groupBy("d").agg(F.sum(F.expr(bit_sql.rank("planes", 2, "d", "off"))).alias("n")).select(F.col("d").cast("int").alias("d"), "n")
 
 
+_DIGITS = "select p_partkey % 16 as blk, p_partkey as pos, p_size % 4 as d from part"
+
+
+@_register("op_pandas_udf_rank", f"select blk, count(*)::bigint as n from ({_DIGITS}) where d = 1 group by blk")
+def _pandas_rank(spark, sf_dir):
+    """How often a digit occurs in a block, by a vectorised Python function: the form for digits that planes don't suit."""
+
+    @F.pandas_udf("bigint")
+    def ones(digits: pd.Series) -> pd.Series:
+        return digits.map(lambda d: int((np.asarray(d) == 1).sum())).astype("int64")
+
+    rows = _t(spark, sf_dir, "part")[0].select((F.col("p_partkey") % 16).alias("blk"), (F.col("p_size") % 4).cast("long").alias("d"))
+    return rows.groupBy("blk").agg(F.collect_list("d").alias("digits")).select("blk", ones("digits").alias("n")).where("n > 0")
+
+
+@_register("op_udaf_pack", f"select blk, bit_xor(d::bigint << ((pos // 16) % 30 * 2)::int)::bigint as packed from ({_DIGITS}) group by blk")
+def _pandas_pack(spark, sf_dir):
+    """Digits folded into one word for each block, by a grouped vectorised Python function."""
+
+    @F.pandas_udf("bigint")
+    def pack(digit: pd.Series, place: pd.Series) -> int:
+        return int(np.bitwise_xor.reduce(digit.to_numpy(np.int64) << (2 * place.to_numpy(np.int64))))
+
+    rows = _t(spark, sf_dir, "part")[0].select((F.col("p_partkey") % 16).alias("blk"), (F.col("p_size") % 4).cast("long").alias("d"), F.expr("p_partkey div 16 % 30").alias("place"))
+    return rows.groupBy("blk").agg(pack("d", "place").alias("packed"))
+
+
+@_register("op_index_roundtrip", f"{static.hits_sql('P')} {static.COUNT}")
+def _index_roundtrip(spark, sf_dir):
+    """An index that is written, and read again by its path alone."""
+    path = point_index.build(grids.points(spark, sf_dir, "P")).path
+    found = point_index.load(spark, path)
+    return ytree.count_in(found.tree, found.bounds(rect_source.rects(spark, "P")))
+
+
 @_register("op_sink_roundtrip", f"{grids.sql('P')}")
 def _roundtrip(spark, sf_dir):
     path = fresh_path(spark, "sink")

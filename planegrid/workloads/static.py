@@ -88,6 +88,7 @@ for _g, _w in (("E", 4_000), ("O", 700)):
         _up, _down = (">", "<") if _strict else (">=", "<=")
         add(f"neighbours_rect_{_g}{'_strict' * _strict}", _g, lambda h, r, w=_w, s=_strict: scan.neighbours(h, r, w, s), f"select qid, min(case when h.w {_up} {_w} then h.w end) as succ, max(case when h.w {_down} {_w} then h.w end) as pred from r left join h using (qid) group by qid")
 add("array_intensity_stats", "V", scan.moments_in, MOMENTS)
+add("array_intensity_quantiles", "V", lambda h, r: scan.quantiles_in(h, r, ["0.25", "0.5", "0.75"]), f"{RUNS}, c as (select distinct qid, cnt from f), a as (select qid, unnest([0.25, 0.5, 0.75])::decimal(9,8) as p from r) select a.qid, a.p::double as p, k.w from a left join c on a.qid = c.qid left join k on k.qid = a.qid and greatest(ceil(a.p * c.cnt), 1) > k.s and greatest(ceil(a.p * c.cnt), 1) <= k.t")
 add("distinct_values_rect", "E", scan.distinct_values, "select qid, count(distinct h.w)::bigint as n from r left join h using (qid) group by qid")
 
 #: Query points by grid, for visibility.
