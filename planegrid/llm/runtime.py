@@ -68,9 +68,11 @@ def chunks(batch: pa.RecordBatch, text: int) -> Iterator[pa.RecordBatch]:
 
 
 class BoundedCache(dict):
-    """Memo of make(key) that starts anew beyond a number of bytes, so a worker's memory stays bounded.
+    """Memo of make(key) within a number of bytes, so a worker's memory stays bounded.
 
-    size(key, value): bytes of an entry beside what any entry takes, or None if it is not to be kept.
+    When half of the bytes are in use, the entries become the older half and what was older goes; an older entry that
+    is asked for again moves back. So frequent keys stay. size(key, value): bytes of an entry beside what any entry
+    takes, or None if it is not to be kept.
     """
 
     #: What an entry takes at least: its place in the table, the headers of key and value.
@@ -78,15 +80,18 @@ class BoundedCache(dict):
 
     def __init__(self, make, most: int, size):
         super().__init__()
-        self.make, self.most, self.size, self.held = make, most, size, 0
+        self.make, self.most, self.size, self.held, self.older = make, most, size, 0, {}
 
     def __missing__(self, key):
-        value = self.make(key)
+        value = self.older.pop(key, None)
+        if value is None:
+            value = self.make(key)
         more = self.size(key, value)
         if more is None:
             return value
         self.held += more + self.ENTRY
-        if self.held > self.most:
+        if 2 * self.held > self.most:
+            self.older = dict(self)
             self.clear()
             self.held = more + self.ENTRY
         self[key] = value

@@ -31,7 +31,7 @@ from . import runtime
 
 #: Nodes that a worker's trie may have (about 700 bytes each) before it starts anew, characters of a pre-token that it
 #: holds, bytes of stored terminal counts.
-MOST_NODES, DEEP, TERMINAL_BYTES = 100_000, 200, 48 << 20
+MOST_NODES, DEEP, TERMINAL_BYTES = 100_000, 200, 160 << 20
 MARK = "▁"
 _KEPT: dict[str, PrefixTrie] = {}
 
