@@ -84,6 +84,21 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
+def text_edited(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op2_fingerprint says of texts that SQL can say too."""
+    return op2_fingerprint(spark, sf_dir).select("doc_id", "n_chars", "edited_sha256")
+
+
+def text_quality_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The counts and base rules of op4_quality_rules."""
+    return op4_quality_rules(spark, sf_dir).select("doc_id", *quality.COUNTS, "base_failed")
+
+
+def text_secrets_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The pattern counts of op9_secret_scan."""
+    return op9_secret_scan(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex")
+
+
 QUERIES: dict[str, Query] = {
     "pipeline": pipeline,
     "op1_byte_bpe": op1_byte_bpe,
@@ -96,12 +111,33 @@ QUERIES: dict[str, Query] = {
     "op8_token_count": op8_token_count,
     "op9_secret_scan": op9_secret_scan,
     "op10_substring_dedup": op10_substring_dedup,
+    "text_edited": text_edited,
+    "text_quality_base": text_quality_base,
+    "text_secrets_base": text_secrets_base,
 }
 
 #: Words of a text, as every operator here takes them; a null or empty text has none.
 SQL_WORDS = "regexp_extract_all(coalesce(text, ''), '[^ \\x09-\\x0D]+')"
 
 ORACLES: dict[str, str] = {
+    "text_edited": """
+        with d as (select doc_id, coalesce(text, '') as t, lead(coalesce(text, '')) over o as a, first_value(coalesce(text, '')) over o as b from documents window o as (order by doc_id))
+        select doc_id, length(t)::bigint as n_chars, sha256(substr(t, 1, length(t) - length(t) // 2) || substr(coalesce(a, b), 1, length(t) // 2)) as edited_sha256 from d
+    """,
+    "text_quality_base": f"""
+        with d as (select doc_id, coalesce(text, '') as t, {SQL_WORDS} as w, list_filter(string_split(coalesce(text, ''), chr(10)), lambda x: regexp_matches(x, '[^ \\x09-\\x0D]')) as l from documents),
+        win as (select doc_id, s, array_to_string(w[s:s+2], ' ') as g from (select doc_id, w, unnest(range(1, len(w) - 1)) as s from d where len(w) >= 3)),
+        twice as (select doc_id, s from win qualify count(*) over (partition by doc_id, g) > 1),
+        lain as (select doc_id, count(distinct s + k) as n from twice, range(3) r(k) group by doc_id)
+        select doc_id, len(w)::bigint as n_words, length(array_to_string(w, ''))::bigint as word_chars, (length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')))::bigint as n_symbols,
+            (len(l) - len(list_distinct(l)))::bigint as n_dup_lines, coalesce(n, 0)::bigint as n_repeat_words, len(w) < 50 or 100 * coalesce(n, 0) > 50 * len(w) as base_failed
+        from d left join lain using (doc_id)
+    """,
+    "text_secrets_base": """
+        with d as (select doc_id, coalesce(text, '') as t from documents)
+        select doc_id, len(list_filter(regexp_extract_all(t, '(?i:(password|passwd|secret|token|api_?key)["'']?\\x20*[:=]\\x20*["'']?([A-Za-z0-9+/_.=-]+))', 2), lambda x: length(x) >= 6))::bigint as n_assign,
+            len(list_filter(regexp_extract_all(t, 'AKIA[A-Z0-9]+'), lambda x: length(x) >= 20))::bigint as n_access, len(list_filter(regexp_extract_all(t, '[0-9a-f]+'), lambda x: length(x) >= 24))::bigint as n_hex from d
+    """,
     "op6_near_duplicates": f"""
         with recursive d as (select doc_id, {SQL_WORDS.replace("coalesce(text, '')", "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')")} as w from documents),
         sh as (select distinct doc_id, array_to_string(w[s:s+4], ' ') as t from (select doc_id, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) as s from d where len(w) > 0)),
