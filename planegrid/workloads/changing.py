@@ -12,6 +12,7 @@ from planegrid.sources import grids
 from planegrid.sources import rects as rect_source
 from planegrid.streaming import rect_counts
 from planegrid.workloads import static
+from planegrid.workloads.indexed import _once
 
 QUERIES: dict[str, static.Query] = {}
 ORACLES: dict[str, str] = {}
@@ -38,14 +39,18 @@ def base_and_log(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame
 
 
 def store(spark: SparkSession, sf_dir: str, compacted: bool) -> segments.Store:
-    """The same as a base and three batches, the first of which comes again."""
-    base, *batches = events(spark, sf_dir)
-    found = segments.start(base, block=1024)
-    for number in (0, 1, 0, 2):
-        found.append(number, batches[number])
-    if compacted:
-        found.compact()
-    return found
+    """The same as a base and three batches, the first of which comes again; made once for a session."""
+
+    def make() -> segments.Store:
+        base, *batches = events(spark, sf_dir)
+        found = segments.start(base, block=1024)
+        for number in (0, 1, 0, 2):
+            found.append(number, batches[number])
+        if compacted:
+            found.compact()
+        return found
+
+    return _once(spark, ("segments", sf_dir, compacted), lambda x: [spark.read.parquet(f"{i.path}/about") for s in x.segments for _, i in s.sides], make)
 
 
 _ALIVE = f"""select x, y, w from (select event_id as pid, x, y, case when pid % 10 = 7 and pid < 0.8 * n then w + 100 else w end as w, n from
