@@ -215,7 +215,9 @@ def _small(groups: DataFrame) -> DataFrame:
 
 def judged(stats: DataFrame, use: DataFrame) -> DataFrame:
     """stats with distance (null without an estimate) and kept."""
-    rows = stats.join(_small(use), "_group", "left").withColumn("distance", F.expr(f"sqrt({_FAR})"))
+    # a filter on the distance must stay above it: pushed down to the texts, it would work their features out some thirty
+    # times for each; an expression that isn't deterministic keeps it there
+    rows = stats.join(_small(use), "_group", "left").withColumn("distance", F.expr(f"sqrt({_FAR} + 0 * monotonically_increasing_id())"))
     near = F.coalesce(F.col("distance") <= math.sqrt(chi2_point(1 - TAIL, P)), F.lit(True))
     return rows.withColumn("kept", ~F.col("base_failed") & near).drop(*Q, "_group", "_wide", *_CENTER, *_INVERSE.values())
 
