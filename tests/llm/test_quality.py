@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 
 from planegrid.llm import quality
 from planegrid.llm.registry import op4_quality_rules
-from tests.conftest import SF
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 FLOOR = np.array(list(quality.FEATURES.values()), dtype=float)
