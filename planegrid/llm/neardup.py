@@ -428,4 +428,5 @@ def without_near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id
     """
     found = near_duplicates(df, percent, width, id_col, text_col)
     gone = runtime.cut(found.where("not kept").select(F.col("doc_id").alias("_gone_id"), F.col("mark").alias("_gone_mark")).distinct())
-    return df.join(gone, (F.col(f"`{id_col}`").cast("long") == F.col("_gone_id")) & (text_mark(f"`{text_col}`") == F.col("_gone_mark")), "left_anti")
+    # few enough are broadcast, so that texts needn't be shuffled
+    return df.join(_small(gone), (F.col(f"`{id_col}`").cast("long") == F.col("_gone_id")) & (text_mark(f"`{text_col}`") == F.col("_gone_mark")), "left_anti")
