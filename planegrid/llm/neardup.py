@@ -37,7 +37,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import runtime, vectext
-from .components import components, of_few
+from .components import of_few
 
 U = np.uint64
 #: The forest: trees, values in a tree's order, the depth from which rows count as neighbours, rows looked back.
@@ -242,14 +242,14 @@ def _dealt(rows: DataFrame, extra: list[str]) -> DataFrame:
     different components meet in a group (within side 0 if there is no side 1).
     """
     whole = rows.groupBy("key").agg(F.count("*").alias("c"), F.sum("bytes").alias("w"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo != hi")
-    whole = runtime.cut(whole.select("key", F.greatest(F.ceil(F.col("c") / BLOCK_ROWS), F.ceil(F.col("w") / BLOCK_BYTES)).alias("parts")))
+    whole = runtime.narrow(whole.select("key", F.greatest(F.ceil(F.col("c") / BLOCK_ROWS), F.ceil(F.col("w") / BLOCK_BYTES)).alias("parts")))
     columns = ["g", "side", "comp", "doc_id", *extra]
     out = rows.join(_small(whole.where("parts <= 1").select("key")), "key").select(F.col("key").alias("g"), F.lit(0).alias("side"), "comp", "doc_id", *extra)
     crowded = whole.where("parts > 1").select("key")
     if not crowded.isEmpty():
         many = runtime.cut(rows.join(_small(crowded), "key"))
         parts = lambda c, w: F.greatest(F.ceil(c / BLOCK_ROWS), F.ceil(w / BLOCK_BYTES)).cast("int")
-        each = runtime.cut(many.groupBy("key", "comp").agg(F.count("*").alias("c"), F.sum("bytes").alias("w")).withColumn("k", parts(F.col("c"), F.col("w"))))
+        each = runtime.narrow(many.groupBy("key", "comp").agg(F.count("*").alias("c"), F.sum("bytes").alias("w")).withColumn("k", parts(F.col("c"), F.col("w"))))
         large = each.where("k > 1").select("key", "comp", "k")
         mixed = each.where("k <= 1").groupBy("key").agg(F.sum("c").alias("c"), F.sum("w").alias("w")).select("key", parts(F.col("c"), F.col("w")).alias("k"))
         block = lambda owner, part: F.struct(F.lit(owner is not None).alias("large"), (owner if owner is not None else F.lit(0).cast("long")).alias("owner"), part.alias("part"))
@@ -257,9 +257,9 @@ def _dealt(rows: DataFrame, extra: list[str]) -> DataFrame:
         placed = many.join(large, ["key", "comp"]).select(*many.columns, block(F.col("comp"), at("doc_id")).alias("block"))
         rest = many.join(large, ["key", "comp"], "left_anti").join(mixed, "key").select(*many.columns, block(None, at("comp")).alias("block"))
         placed = runtime.cut(placed.unionByName(rest))
-        blocks = runtime.cut(placed.select("key", "block").distinct())
+        blocks = runtime.narrow(placed.select("key", "block").distinct())
         two = blocks.withColumnRenamed("block", "x").join(blocks.withColumnRenamed("block", "y"), "key")
-        two = runtime.cut(two.where("x < y and not (x.large and y.large and x.owner = y.owner) or x = y and not x.large").withColumn("g", F.xxhash64("key", "x", "y")))
+        two = runtime.narrow(two.where("x < y and not (x.large and y.large and x.owner = y.owner) or x = y and not x.large").withColumn("g", F.xxhash64("key", "x", "y")))
         for side, name in enumerate("xy"):
             pairs = two.where("x != y" if side else "true").select("key", F.col(name).alias("block"), "g")
             out = out.unionByName(placed.join(pairs, ["key", "block"]).withColumn("side", F.lit(side)).select(columns))
@@ -384,15 +384,15 @@ def _exact(members: DataFrame, width: int, percent: int) -> DataFrame:
 def _completed(docs: DataFrame, classes: DataFrame, joined: DataFrame, width: int, percent: int) -> DataFrame:
     """joined (node, component) with the links that crowded regions hold besides the candidates."""
     found = classes.join(joined.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", "n", "bits", "labels", F.coalesce("component", "doc_id").alias("comp"))
-    found = runtime.cut(found)
-    maybe = runtime.cut(_families(found, percent))
+    found = runtime.narrow(found)
+    maybe = runtime.narrow(_families(found, percent))
     if maybe.isEmpty():
         return joined
     family = of_few(maybe)
-    named = runtime.cut(maybe.select(F.explode(F.array("a", "b")).alias("comp")).distinct().join(family.withColumnRenamed("node", "comp"), "comp", "left").select("comp", F.coalesce("component", "comp").alias("key")))
-    members = runtime.cut(found.select("doc_id", "comp").join(named, "comp"))
+    named = runtime.narrow(maybe.select(F.explode(F.array("a", "b")).alias("comp")).distinct().join(family.withColumnRenamed("node", "comp"), "comp", "left").select("comp", F.coalesce("component", "comp").alias("key")))
+    members = runtime.narrow(found.select("doc_id", "comp").join(named, "comp"))
     members = runtime.cut(docs.join(_small(members), "doc_id").select("key", "comp", "doc_id", F.octet_length("text").alias("bytes"), "text"))
-    links = runtime.cut(_exact(members, width, percent))
+    links = runtime.narrow(_exact(members, width, percent))
     if links.isEmpty():
         return joined
     moved = of_few(links).toDF("component", "to")
@@ -403,22 +403,22 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id_col: st
     """One row for each row of df: doc_id, n_shingles, component_id, kept, mark (text_mark() of the row); see the module."""
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     sketch = runtime.cut(sketches(docs, width))
-    classes = runtime.cut(sketch.where("n > 0 and doc_id is not null").groupBy("d", "e").agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in ("n", "labels", "bits"))))
-    pairs = runtime.cut(_pairs(classes, percent))
+    classes = runtime.narrow(sketch.where("n > 0 and doc_id is not null").groupBy("d", "e").agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in ("n", "labels", "bits"))))
+    pairs = runtime.narrow(_pairs(classes, percent))
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
     texts = runtime.cut(docs.join(wanted, "doc_id").select("doc_id", "text"))
     best = pairs.groupBy("b").agg(F.min(F.struct("apart", "a")).alias("best")).select("best.a", "b")
-    tree = runtime.cut(_confirmed(best, texts, width, percent))
-    first = runtime.cut(components(tree))
+    tree = runtime.narrow(_confirmed(best, texts, width, percent))
+    first = runtime.narrow(of_few(tree))
     a, b = first.toDF("a", "at_a"), first.toDF("b", "at_b")
     ends = pairs.join(best, ["a", "b"], "left_anti").join(a, "a", "left").join(b, "b", "left").select("a", "b", F.coalesce("at_a", "a").alias("at_a"), F.coalesce("at_b", "b").alias("at_b"))
     apart = ends.where("at_a != at_b")
-    linked = runtime.cut(_confirmed(apart, texts, width, percent))
-    joined = _completed(docs, classes, components(tree.union(linked)), width, percent)
+    linked = runtime.narrow(_confirmed(apart, texts, width, percent))
+    joined = _completed(docs, classes, of_few(tree.union(linked)), width, percent)
     member = sketch.select("doc_id", "mark", "n", "d", "e")
     rep = classes.select("d", "e", F.col("doc_id").alias("node")).join(joined, "node", "left").select("d", "e", F.coalesce("component", "node").alias("component"))
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
-    return member.join(runtime.cut(rep), ["d", "e"], "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("doc_id") == F.coalesce("component", "doc_id"), F.lit(True)).alias("kept"), "mark")
+    return member.join(runtime.narrow(rep), ["d", "e"], "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("doc_id") == F.coalesce("component", "doc_id"), F.lit(True)).alias("kept"), "mark")
 
 
 def without_near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -427,6 +427,6 @@ def without_near_duplicates(df: DataFrame, percent: int = 80, width: int = 5, id
     Rows that share an id but not a text are told apart.
     """
     found = near_duplicates(df, percent, width, id_col, text_col)
-    gone = runtime.cut(found.where("not kept").select(F.col("doc_id").alias("_gone_id"), F.col("mark").alias("_gone_mark")).distinct())
+    gone = runtime.narrow(found.where("not kept").select(F.col("doc_id").alias("_gone_id"), F.col("mark").alias("_gone_mark")).distinct())
     # few enough are broadcast, so that texts needn't be shuffled
     return df.join(_small(gone), (F.col(f"`{id_col}`").cast("long") == F.col("_gone_id")) & (text_mark(f"`{text_col}`") == F.col("_gone_mark")), "left_anti")

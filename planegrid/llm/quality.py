@@ -143,9 +143,9 @@ def _inverted(found: DataFrame) -> DataFrame:
     return found.selectExpr("*", f"{det} as _det", *inverse).drop(*_FACTOR.values(), *m.values())
 
 
-def _fitted(sums: DataFrame, inflate: float) -> DataFrame:
-    """sums: the keys, _n, _rows, _s{i}, _s{i}_{k}. Centre, inverse and determinant of the inflated scatter with its floor."""
-    sums = runtime.cut(sums)  # one row for each group and start
+def _fitted(sums: DataFrame, inflate: float, groups: int) -> DataFrame:
+    """sums: the keys, _n, _rows, _s{i}, _s{i}_{k}; groups: its rows at most. Centre, inverse and determinant of the inflated scatter with its floor."""
+    sums = runtime.narrow(sums, groups)  # one row for each group and start
     sums = sums.selectExpr("*", *(f"_s{i} / _n as {_CENTER[i]}" for i in range(P)))
     floors = [x * x for x in FEATURES.values()]
 
@@ -170,15 +170,16 @@ def _sums(rows: DataFrame, q: list[str] = Q) -> DataFrame:
 
 def _starts(rows: DataFrame) -> DataFrame:
     """Centres and scatters (_key, _start, ...) to start from, by medians, by all rows, and by rows cut off at two deviations."""
-    middle = runtime.cut(rows.groupBy("_key").agg(F.expr("count(*) as _rows"), *(F.expr(f"percentile({q}, 0.5D) as {c}") for q, c in zip(Q, _CENTER))))
+    middle = runtime.narrow(rows.groupBy("_key").agg(F.expr("count(*) as _rows"), *(F.expr(f"percentile({q}, 0.5D) as {c}") for q, c in zip(Q, _CENTER))))
+    groups = middle.count()
     wide = rows.join(_small(middle), "_key").groupBy("_key").agg(*(F.expr(f"percentile(abs({q} - {c}), 0.5D) as _d{i}") for i, (q, c) in enumerate(zip(Q, _CENTER))))
     root = [f"sqrt(pow(1.4826D * _d{i}, 2) + {x * x}) as _r{i}" for i, x in enumerate(FEATURES.values())]
-    middle = runtime.cut(middle.join(wide, "_key").selectExpr("_key", "_rows", *_CENTER, *root))
+    middle = runtime.narrow(middle.join(wide, "_key").selectExpr("_key", "_rows", *_CENTER, *root), groups)
     first = _inverted(middle.selectExpr("_key", "0 as _start", "_rows", *_CENTER, *(f"{f'_r{i}' if i == k else '0D'} as {name}" for (i, k), name in _FACTOR.items())))
     near = rows.join(_small(middle), "_key")
-    every = _fitted(_sums(near.selectExpr("*", "1 as _start")), 1.0)
+    every = _fitted(_sums(near.selectExpr("*", "1 as _start")), 1.0, groups)
     cut_off = [f"cast(round(greatest(least({q}, {c} + 2 * _r{i}), {c} - 2 * _r{i})) as int) as _u{i}" for i, (q, c) in enumerate(zip(Q, _CENTER))]
-    inner = _fitted(_sums(near.selectExpr("*", "2 as _start", *cut_off), [f"_u{i}" for i in range(P)]), 1.0)
+    inner = _fitted(_sums(near.selectExpr("*", "2 as _start", *cut_off), [f"_u{i}" for i in range(P)]), 1.0, groups)
     return first.unionByName(every).unionByName(inner)
 
 
@@ -186,27 +187,28 @@ def estimates(stats: DataFrame) -> DataFrame:
     """Rows (_group, centre, inverse): the estimate that each group uses, from rows of statistics()."""
     rows = stats.where("not base_failed").selectExpr("explode(array(_group, _wide, '{}')) as _key", *Q)
     own = [*_CENTER, *_INVERSE.values()]
-    state = runtime.cut(_starts(rows).selectExpr("_key", "_start", "_rows", *own, "double('inf') as _det", "false as _done"))
+    state = runtime.narrow(_starts(rows).selectExpr("_key", "_start", "_rows", *own, "double('inf') as _det", "false as _done"))
     inflate = SHARE / _chi2_below(chi2_point(SHARE, P), P + 2)
-    small = F.broadcast if state.count() <= MOST_BROADCAST else lambda groups: groups
+    starts = state.count()
+    small = F.broadcast if starts <= MOST_BROADCAST else lambda groups: groups
     while not (going := state.where("not _done")).isEmpty():
         # distances count in hundredths up to 200, so a quantile is of a bounded number of values
         far = rows.join(small(going.drop("_det", "_done")), "_key").selectExpr("_key", "_start", "_rows", f"cast(floor(least(sqrt({_FAR}), 200D) * 100) as int) as _at", *Q)
-        limit = runtime.cut(far.groupBy("_key", "_start").agg(F.expr(f"percentile(_at, {SHARE!r}D) as _limit")))
-        fresh = _fitted(_sums(far.join(small(limit), ["_key", "_start"]).where("_at <= _limit")), inflate)
+        limit = runtime.narrow(far.groupBy("_key", "_start").agg(F.expr(f"percentile(_at, {SHARE!r}D) as _limit")), starts)
+        fresh = _fitted(_sums(far.join(small(limit), ["_key", "_start"]).where("_at <= _limit")), inflate, starts)
         fresh = fresh.select("_key", "_start", F.struct(*own, "_det").alias("_new"))
         # a step that doesn't lower the determinant is not taken, and ends the start's steps
         falls = f"coalesce(_new._det < _det - {SETTLED!r}D, false)"
-        state = runtime.cut(state.join(small(fresh), ["_key", "_start"], "left").selectExpr("_key", "_start", "_rows", *(f"if({falls}, _new.{c}, {c}) as {c}" for c in (*own, "_det")), f"not {falls} as _done"))
+        state = runtime.narrow(state.join(small(fresh), ["_key", "_start"], "left").selectExpr("_key", "_start", "_rows", *(f"if({falls}, _new.{c}, {c}) as {c}" for c in (*own, "_det")), f"not {falls} as _done"), starts)
     best = state.groupBy("_key").agg(F.expr("min_by(struct(*), struct(_det, _start)) as best")).select("best.*").drop("_det", "_done")
     weight = 0.975 / _chi2_below(chi2_point(0.975, P), P + 2)
     near = rows.join(small(best), "_key").where(f"{_FAR} <= {chi2_point(0.975, P)!r}D")
-    final = runtime.cut(_fitted(_sums(near), weight).drop("_start", "_det"))
+    final = runtime.narrow(_fitted(_sums(near), weight, starts).drop("_start", "_det"), starts)
     groups = stats.select("_group", "_wide").distinct()
     every = final.where("_key = '{}'").selectExpr(f"struct(_rows, {', '.join(own)}) as every")  # one row at most
     found, lang = (final.selectExpr(f"_key as {key}", f"struct(_rows, {', '.join(own)}) as {name}") for key, name in (("_group", "found"), ("_wide", "lang")))
     use = groups.join(found, "_group", "left").join(lang, "_wide", "left").join(F.broadcast(every), F.lit(True), "left")
-    return runtime.cut(use.selectExpr("_group", f"case when found._rows >= {ENOUGH} then found when lang._rows >= {ENOUGH} then lang else every end as use").select("_group", "use.*").drop("_rows"))
+    return runtime.narrow(use.selectExpr("_group", f"case when found._rows >= {ENOUGH} then found when lang._rows >= {ENOUGH} then lang else every end as use").select("_group", "use.*").drop("_rows"))
 
 
 def _small(groups: DataFrame) -> DataFrame:

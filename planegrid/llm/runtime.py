@@ -13,6 +13,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 #: Text that one worker turns into Python or numpy objects at a time; a single longer text makes a chunk of its own.
 CHUNK_BYTES = 1 << 20
+#: Rows of a narrow table that a task reads at least, where there are as many.
+NARROW_ROWS = 10_000
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
@@ -31,6 +33,17 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def narrow(df: DataFrame, rows: int | None = None) -> DataFrame:
+    """cut() for tables of narrow rows, which later stages read by a task for each NARROW_ROWS rows.
+
+    A shuffle has as many partitions for a hundred rows as for all texts, and each is a task and a file in every stage
+    that reads them. rows: how many there are at most; they are counted if it isn't given.
+    """
+    out = cut(df)
+    rows = out.count() if rows is None else rows
+    return out.coalesce(max(1, -(-rows // NARROW_ROWS)))
+
+
 def stored(df: DataFrame) -> DataFrame:
     """The same rows, written as Parquet below the shared checkpoint folder, so that readers take only the columns they need."""
     ensure_checkpoint_dir(df.sparkSession)
